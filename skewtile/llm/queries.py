@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from skewtile.llm import chat, decontam, mixing, quality, secrets, sharding, url_cascade, warc
+from skewtile.llm import chat, decontam, mixing, ngram_join, quality, secrets, sharding, url_cascade, warc
 
 RULES = [("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com/de/"), ("allow", "org/fr/")]
 
@@ -28,6 +28,10 @@ def op2_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.digests(chat.format_conversations(turns.unionByName(extra)))
 
 
+def op3_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.join_documents(_table(spark, sf_dir, "documents"), ngram_join.Similarity(4, 85))
+
+
 def op4_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The list is a stand-in for an external one: hosts that name themselves a farm, and those whose MD5 begins with 0 to 3."""
     pages = _table(spark, sf_dir, "pages")
@@ -59,6 +63,6 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_sharding, op2_chat, op4_urls, op5_warc, op6_secrets, op8_mixing, op9_quality, op10_decontamination)
+    f.__name__: f for f in (op1_sharding, op2_chat, op3_ngram_join, op4_urls, op5_warc, op6_secrets, op8_mixing, op9_quality, op10_decontamination)
 }
 ORACLE_SQL: dict[str, str] = {}
