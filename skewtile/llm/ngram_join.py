@@ -31,6 +31,7 @@ from pyspark.sql import functions as F
 
 from skewtile.llm import tokens as tk
 from skewtile.llm.components import components
+from skewtile.llm.runs import bounded_runs, edges, shared
 from skewtile.llm.scratch import settle
 
 GROUP_TOKENS, QUERY_TOKENS, EXPAND = 60_000, 600_000, 1 << 21
@@ -117,53 +118,41 @@ def _sketch(sim: Similarity):
     return run
 
 
-def _runs(batches: Iterator[pa.RecordBatch], columns: list[str]) -> Iterator[list[np.ndarray]]:
-    """Longs sorted by the first column, in pieces that don't cut a run of one value unless it outgrows a piece many times."""
-    held: list[list[np.ndarray]] = []
-    for b in batches:
-        cols = [b.column(b.schema.get_field_index(c)).to_numpy(zero_copy_only=False) for c in columns]
-        if not len(cols[0]):
-            continue
-        cut = int(np.searchsorted(cols[0], cols[0][-1], "left"))
-        if cut:
-            yield [np.concatenate(x) for x in zip(*held, [c[:cut] for c in cols])]
-            held = []
-        held.append([c[cut:] for c in cols])
-    if held:
-        yield [np.concatenate(x) for x in zip(*held)]
-
-
-def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Drops signatures that one document alone has, and repeats; rows come sorted by (sig, doc)."""
-    for sig, doc in _runs(batches, ["sig", "doc"]):
-        new = np.append(True, (sig[1:] != sig[:-1]) | (doc[1:] != doc[:-1]))
-        sig, doc = sig[new], doc[new]
-        edge = np.append(True, sig[1:] != sig[:-1])
-        alone = edge & np.append(edge[1:], True)
-        yield pa.RecordBatch.from_arrays([pa.array(sig[~alone]), pa.array(doc[~alone])], ["sig", "doc"])
-
-
 def _first_of_run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc, family): the smallest document of each signature, for each of its documents."""
-    for sig, doc in _runs(batches, ["sig", "doc"]):
-        edge = np.flatnonzero(np.append(True, sig[1:] != sig[:-1]))
-        family = np.repeat(doc[edge], np.diff(np.append(edge, len(sig))))
+    """(doc, family): the smallest document of a signature, for each of its documents; rows come sorted by (sig, doc)."""
+    first = None
+    for (sig, doc), piece in bounded_runs(batches, ["sig", "doc"]):
+        at = edges(sig)
+        family = np.repeat(doc[at[:-1]], np.diff(at))
+        if piece == 0:
+            first = doc[0]
+        elif piece > 0:
+            family = np.full(len(doc), first)
         order = np.lexsort((family, doc))
         keep = order[np.append(True, doc[order][1:] != doc[order][:-1])]
         yield pa.RecordBatch.from_arrays([pa.array(doc[keep]), pa.array(family[keep])], ["doc", "family"])
 
 
 def _to_try(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc, target): the groups, not above its own, with which a document shares a signature."""
+    """(doc, target): the groups, not above its own, with which a document shares a signature; rows come sorted by (sig, grp).
+    Of an unfinished run only the groups seen are carried."""
     seen: set[tuple[int, int]] = set()
-    for sig, doc, own in _runs(batches, ["sig", "doc", "grp"]):
-        edge = np.append(np.flatnonzero(np.append(True, sig[1:] != sig[:-1])), len(sig))
+    before: list[int] = []
+    for (sig, own, doc), piece in bounded_runs(batches, ["sig", "grp", "doc"]):
         found = [np.stack([doc, own], 1)]
-        for a, b in zip(edge, edge[1:]):
-            if own[a:b].min() != own[a:b].max():
-                for g in np.unique(own[a:b]):
-                    other = doc[a:b][own[a:b] > g]
-                    found.append(np.stack([other, np.full(len(other), g)], 1))
+        if piece <= 0:
+            before = []
+        if piece >= 0 or (own[1:] != own[:-1]).any():
+            at = edges(sig)
+            for a, b in zip(at, at[1:]):
+                groups = before if piece >= 0 else []
+                if own[a] != own[b - 1] or groups:
+                    for x, y in zip(c := a + edges(own[a:b]), c[1:]):
+                        found += [np.stack([doc[x:y], np.full(y - x, g)], 1) for g in groups if g != own[x]]
+                        if not groups or groups[-1] != own[x]:
+                            groups.append(int(own[x]))
+                elif piece >= 0:
+                    groups.append(int(own[a]))
         pairs = np.unique(np.concatenate(found), axis=0)
         fresh = [p for p in map(tuple, pairs.tolist()) if p not in seen]
         if len(seen) > 1 << 18:
@@ -278,10 +267,10 @@ def join_documents(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame
     member = settle(member.select("doc_id", "n_shingles", "rep", "weight"), "members")
 
     by_sig = sketch.where("doc_id is not null").select(F.explode("sigs").alias("sig"), F.col("doc_id").alias("doc")).repartition("sig").sortWithinPartitions("sig", "doc")
-    lists = settle(by_sig.mapInArrow(_shared, "sig long, doc long"), "lists")
+    lists = settle(by_sig.mapInArrow(shared("sig", False), "sig long, doc long"), "lists")
     alias = member.where("doc_id <> rep").select(F.col("doc_id").alias("_doc"), F.col("rep").alias("_rep"))
     lists = lists.join(alias, F.col("doc") == F.col("_doc"), "left").select("sig", F.coalesce("_rep", "doc").alias("doc"))
-    lists = lists.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(_shared, "sig long, doc long")
+    lists = lists.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(shared("sig", False), "sig long, doc long")
     lists = settle(lists, "lists")
 
     family = lists.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(_first_of_run, "doc long, family long").groupBy("doc").agg(F.min("family").alias("family"))
@@ -293,7 +282,7 @@ def join_documents(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame
     grouped = settle(grouped.select("doc", "grp", "n", "weight"), "groups")
 
     labelled = lists.join(grouped.select(F.col("doc").alias("_d"), "grp"), F.col("doc") == F.col("_d")).select("sig", "doc", "grp")
-    tries = labelled.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(_to_try, "doc long, target long").distinct()
+    tries = labelled.repartition("sig").sortWithinPartitions("sig", "grp").mapInArrow(_to_try, "doc long, target long").distinct()
     tries = tries.join(grouped, "doc").select("doc", "target", "n", "weight", (F.col("target") == F.col("grp")).alias("own"))
     tries = settle(tries, "tries")
     blocks = tries.groupBy(F.col("target").alias("_t")).agg(F.ceil(F.sum("n") / QUERY_TOKENS).alias("blocks"))

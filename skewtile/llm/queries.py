@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from skewtile.llm import chat, decontam, mixing, ngram_join, quality, secrets, sharding, url_cascade, warc
+from skewtile.llm import chat, decontam, mixing, ngram_join, quality, secrets, sharding, substring_dedup, url_cascade, warc
 
 RULES = [("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com/de/"), ("allow", "org/fr/")]
 
@@ -50,6 +50,11 @@ def op6_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.digests(secrets.find_secrets(_table(spark, sf_dir, "documents")))
 
 
+def op7_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cut = substring_dedup.remove_repeats(_table(spark, sf_dir, "documents"))
+    return cut.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_sources(_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -63,6 +68,6 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_sharding, op2_chat, op3_ngram_join, op4_urls, op5_warc, op6_secrets, op8_mixing, op9_quality, op10_decontamination)
+    f.__name__: f for f in (op1_sharding, op2_chat, op3_ngram_join, op4_urls, op5_warc, op6_secrets, op7_substring_dedup, op8_mixing, op9_quality, op10_decontamination)
 }
 ORACLE_SQL: dict[str, str] = {}
