@@ -207,7 +207,7 @@ def may_contain_batch(f: Filter, shapes: np.ndarray) -> np.ndarray:
             inner = f.internal[at]
             rank = ones[at + 1]
             leaf = hit & ~inner
-            out[q[leaf]] |= f.leaf[(at - rank)[leaf]]
+            out[q[leaf][f.leaf[(at - rank)[leaf]]]] = True
             go = hit & inner
             nq.append(q[go]), nn.append(rank[go]), nb.append(sub[go])
         q, node, box = np.concatenate(nq), np.concatenate(nn), np.concatenate(nb)
