@@ -33,7 +33,7 @@ def settle(df: DataFrame, name: str = "table") -> DataFrame:
     """Write df to the shared folder and return the written table, which cuts the lineage there."""
     spark = df.sparkSession
     path = new_path(spark, name)
-    df.write.parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

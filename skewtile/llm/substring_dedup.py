@@ -76,18 +76,18 @@ def _emit_anchors(window: int):
 
 
 def _emit_segments(window: int):
-    """(doc, start, anchor, key, seg): runs of windows whose anchors other documents share."""
+    """(doc, start, n_words, route, key, seg): runs of windows whose anchors other documents share."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for b in tk.slices(whole, "text"):
+        for batch in batches:
+            for b in tk.slices(batch, "text"):
                 raw, starts, ends, first, words = _words(b)
                 data = raw.tobytes()
                 anchor = _anchors(words, window).view(np.int64)
-                twelve = tk.gram_hashes(words, window).view(np.int64)
+                whole = tk.gram_hashes(words, window).view(np.int64)
                 docs = b.column("doc_id").to_pylist()
                 lists, longs = b.column("anchors"), b.column("long_anchors")
-                rows = ([], [], [], [], [])
+                rows = ([], [], [], [], [], [])
                 for i in range(b.num_rows):
                     a, z = first[i], first[i + 1] - window + 1
                     own = anchor[a:z]
@@ -102,11 +102,11 @@ def _emit_segments(window: int):
                             s, e = a + x, a + y - 1 + window - 1
                             seg = b" ".join(data[starts[s] : ends[e]].split())
                             key = int.from_bytes(hashlib.blake2b(seg, digest_size=8).digest(), "little", signed=True)
-                            for column, value in zip(rows, (docs[i], x, twelve[s] if in_long[x] else own[x], key, seg)):
+                            for column, value in zip(rows, (docs[i], x, y - x + window - 1, whole[s] if in_long[x] else own[x], key, seg)):
                                 column.append(value)
                 if rows[0]:
-                    types = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary())
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(rows, types)], ["doc", "start", "route", "key", "seg"])
+                    types = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.binary())
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(rows, types)], ["doc", "start", "n_words", "route", "key", "seg"])
 
     return run
 
@@ -176,16 +176,15 @@ def repeated_windows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """(doc, starts): the word places at which each document's windows repeat a smaller document's; documents with any."""
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).where("doc_id is not null")
     anchors = rows.mapInArrow(_emit_anchors(window), "anchor long, doc long").repartition("anchor").sortWithinPartitions("anchor", "doc")
-    common = settle(anchors.mapInArrow(shared("anchor", True), "anchor long, doc long, long_run boolean"), "anchors")
+    common = anchors.mapInArrow(shared("anchor", True), "anchor long, doc long, long_run boolean")
     per_doc = common.groupBy("doc").agg(
         F.collect_list(F.when(~F.col("long_run"), F.col("anchor"))).alias("anchors"),
         F.collect_list(F.when(F.col("long_run"), F.col("anchor"))).alias("long_anchors"),
     )
     with_anchors = rows.join(per_doc, F.col("doc_id") == F.col("doc")).drop("doc")
-    segments = settle(with_anchors.mapInArrow(_emit_segments(window), "doc long, start int, route long, key long, seg binary"), "segments")
+    segments = settle(with_anchors.mapInArrow(_emit_segments(window), "doc long, start int, n_words int, route long, key long, seg binary"), "segments")
     distinct = segments.groupBy("route", "key").agg(F.min("doc").alias("least"), F.count(F.lit(1)).alias("n"), F.first("seg").alias("seg"))
-    distinct = settle(distinct, "distinct")
-    words = distinct.agg(F.sum(F.length(F.regexp_replace(F.col("seg").cast("string"), "[^ ]", "")) + 2)).first()[0] or 0
+    words = segments.agg(F.sum("n_words")).first()[0] or 0
     shards = max(1, -(-int(words) // SHARD_WORDS))
     sharded = distinct.withColumn("shard", F.pmod(F.xxhash64("route"), F.lit(shards)))
     owners = sharded.groupBy("shard").applyInArrow(_search(window), "route long, key long, owners array<long>")
