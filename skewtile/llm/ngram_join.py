@@ -8,7 +8,9 @@ needs are opened and compared member by member. No pair that could link is left
 * two sets of sizes x <= y that link differ in at most r(x + y) tokens, r = (1 - t) / (1 + t), and y <= x / t;
 * token space is cut into m ranges of hash values, m above that difference, for each band of sizes, so two linked sets
   of neighbouring bands agree on at least one whole range; a signature hashes one range's tokens;
-* signatures that two classes share name the groups which a class must be tried on. Ranges empty on both sides
+* of the classes that share a signature, those are left out whose tokens that any other one has are fewer than a link needs:
+  this is the bound against the union of all other groups;
+* signatures that two of the rest share name the groups which a class must be tried on. Ranges empty on both sides
   count as agreement too: classes with so many empty ranges that those alone might agree write them as well.
 
 Copies cost one row per signature and are folded into their class before any comparison. Groups and the query
@@ -34,7 +36,7 @@ from skewtile.llm.components import components
 from skewtile.llm.runs import bounded_runs, edges, shared
 from skewtile.llm.scratch import settle
 
-GROUP_TOKENS, QUERY_TOKENS, EXPAND = 60_000, 600_000, 1 << 21
+GROUP_TOKENS, GROUP_CLASSES, QUERY_TOKENS, EXPAND = 60_000, 256, 600_000, 1 << 21
 BROADCAST_IDS = 1 << 20
 """Ids of documents to read again that may be broadcast (8 MB); more are joined by a shuffle."""
 _S1, _S2, _S3 = (tk.U(x) for x in (0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3))
@@ -176,6 +178,15 @@ def _tokens(sim: Similarity):
     return run
 
 
+def _token_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        sets = [np.frombuffer(t, np.int64) for t in b.column("tokens").to_pylist()]
+        docs = b.column("rep").to_numpy()
+        for i in range(0, len(sets), 256):
+            part = sets[i : i + 256]
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(part)), pa.array(np.repeat(docs[i : i + 256], [len(s) for s in part]))], ["tok", "doc"])
+
+
 def _labels(a: np.ndarray, b: np.ndarray, n: int) -> np.ndarray:
     """Smallest reachable node of each of n nodes under edges a-b."""
     label = np.arange(n)
@@ -191,9 +202,9 @@ def _labels(a: np.ndarray, b: np.ndarray, n: int) -> np.ndarray:
 
 
 def open_group(ids: np.ndarray, is_member: np.ndarray, weight: np.ndarray, sets: list[np.ndarray], own: np.ndarray, sim: Similarity) -> tuple[list, list, list, dict]:
-    """Compares the query classes of one block with one group's members. Returns (node, smallest linked node, links)
+    """Compares the query classes of one block with one group's members (repeated ids count once). Returns (node, smallest linked node, links)
     of every linked class, and counters of what was bounded and opened. own: the query is itself a member."""
-    members, queries = np.flatnonzero(is_member), np.flatnonzero(~is_member)
+    members, queries = (np.flatnonzero(x)[np.unique(ids[x], return_index=True)[1]] for x in (is_member, ~is_member))
     size = np.array([len(s) for s in sets], np.int64)
     flat = np.concatenate([sets[i] for i in members])
     of = np.repeat(np.arange(len(members)), size[members])
@@ -256,6 +267,12 @@ def _open(sim: Similarity):
     return run
 
 
+def _few(ids: DataFrame) -> DataFrame:
+    """Ids to join with: broadcast when they are counted and few, else left to a shuffle."""
+    ids = settle(ids, "ids")
+    return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+
+
 def join_documents(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable by links, itself included), n_links (documents it links with)."""
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
@@ -273,10 +290,20 @@ def join_documents(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame
     lists = lists.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(shared("sig", False), "sig long, doc long")
     lists = settle(lists, "lists")
 
+    sets = settle(rows.join(_few(lists.select(F.col("doc").alias("_w")).distinct()), F.col("doc_id") == F.col("_w"), "left_semi").mapInArrow(_tokens(sim), "rep long, tokens binary"), "sets")
+    common = sets.mapInArrow(_token_rows, "tok long, doc long").repartition("tok").sortWithinPartitions("tok", "doc")
+    common = common.mapInArrow(shared("tok", False), "tok long, doc long").groupBy("doc").agg(F.count(F.lit(1)).alias("has"))
+    size = classes.groupBy(F.col("rep").alias("_r")).agg(F.max("n").alias("n"), F.max("weight").alias("weight"))
+    t = sim.percent
+    least = f"({t} * (n + ({t} * n + 99) div 100) + {99 + t}) div {100 + t}"
+    alive = settle(common.join(size, F.col("doc") == F.col("_r")).where(F.col("has") >= F.expr(least)).select("doc", "n", "weight"), "alive")
+    lists = lists.join(_few(alive.select(F.col("doc").alias("_w"))), F.col("doc") == F.col("_w"), "left_semi")
+    lists = settle(lists.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(shared("sig", False), "sig long, doc long"), "lists")
+
     family = lists.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(_first_of_run, "doc long, family long").groupBy("doc").agg(F.min("family").alias("family"))
-    family = family.join(classes.groupBy(F.col("rep").alias("_r")).agg(F.max("n").alias("n"), F.max("weight").alias("weight")), F.col("doc") == F.col("_r")).drop("_r")
+    family = family.join(alive, "doc")
     family = settle(family.withColumn("bin", F.floor(F.log2("n") * 8).cast("int")), "family")
-    bins = family.groupBy(F.col("family").alias("_f"), F.col("bin").alias("_b")).agg(F.ceil(F.sum("n") / GROUP_TOKENS).alias("parts"))
+    bins = family.groupBy(F.col("family").alias("_f"), F.col("bin").alias("_b")).agg(F.greatest(F.ceil(F.sum("n") / GROUP_TOKENS), F.ceil(F.count(F.lit(1)) / GROUP_CLASSES)).alias("parts"))
     grouped = family.join(bins, (F.col("family") == F.col("_f")) & (F.col("bin") == F.col("_b")))
     grouped = grouped.withColumn("grp", F.xxhash64("family", "bin", F.pmod(F.xxhash64("doc"), F.col("parts"))))
     grouped = settle(grouped.select("doc", "grp", "n", "weight"), "groups")
@@ -292,9 +319,6 @@ def join_documents(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame
         "doc", F.col("grp").alias("target"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"), "weight", F.lit(True).alias("own"), F.lit(True).alias("member"))
     work = asking.unionByName(holding)
 
-    wanted = grouped.select(F.col("doc").alias("_w"))
-    wanted = F.broadcast(wanted) if grouped.count() <= BROADCAST_IDS else wanted
-    sets = rows.join(wanted, F.col("doc_id") == F.col("_w"), "left_semi").mapInArrow(_tokens(sim), "rep long, tokens binary").dropDuplicates(["rep"])
     opened = work.join(sets, F.col("doc") == F.col("rep")).select("target", "block", "rep", "weight", "own", "member", "tokens")
     found = settle(opened.groupBy("target", "block").applyInArrow(_open(sim), "node long, root long, links long"), "links")
 
