@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from skewtile.llm.oracles import ORACLE_SQL  # noqa: F401
 from skewtile.llm import chat, decontam, mixing, ngram_join, quality, secrets, sharding, substring_dedup, url_cascade, warc
 
 RULES = [("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com/de/"), ("allow", "org/fr/")]
@@ -70,4 +71,3 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f for f in (op1_sharding, op2_chat, op3_ngram_join, op4_urls, op5_warc, op6_secrets, op7_substring_dedup, op8_mixing, op9_quality, op10_decontamination)
 }
-ORACLE_SQL: dict[str, str] = {}
