@@ -18,6 +18,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from skewtile.llm.ranks import ranked
+from skewtile.llm.scratch import settle
 
 LIMIT = 3
 _BLANKS = "\t\n\x0b\x0c\r"
@@ -56,6 +57,7 @@ def offset(source: Column, seed: int) -> Column:
 def mix_sources(docs: DataFrame, seed: int = 7, weights: tuple[float, ...] = (1, 2, 3)) -> DataFrame:
     """doc_id, source, size, source_size, target, copies, taken; one row per document."""
     light = docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), F.xxhash64("doc_id", "text").alias("_tie"))
+    light = settle(light, "sizes")  # range partitioning reads its input twice: the texts once only
     place = ranked(light, "source", ["size", F.md5(F.col("doc_id").cast("string")), "_tie"], "rank")
     sizes = place.groupBy("source").agg(F.sum("size").alias("source_size"))
     goal = targets(sizes, weights).select(F.col("source").alias("_source"), "source_size", "target")

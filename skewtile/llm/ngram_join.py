@@ -8,9 +8,10 @@ needs are opened and compared member by member. No pair that could link is left
 * two sets of sizes x <= y that link differ in at most r(x + y) tokens, r = (1 - t) / (1 + t), and y <= x / t;
 * token space is cut into m ranges of hash values, m above that difference, for each band of sizes, so two linked sets
   of neighbouring bands agree on at least one whole range; a signature hashes one range's tokens;
-* of the classes that share a signature, those are left out whose tokens that any other one has are fewer than a link needs:
+* at least the slack of those ranges agree, so classes that share fewer signatures with all others are left out;
+* of the others, those are left out whose tokens that any other one has are fewer than a link needs:
   this is the bound against the union of all other groups;
-* signatures that two of the rest share name the groups which a class must be tried on. Ranges empty on both sides
+* signatures that two of the rest share name the groups which a group's classes must be tried on. Ranges empty on both sides
   count as agreement too: classes with so many empty ranges that those alone might agree write them as well.
 
 Copies cost one row per signature and are folded into their class before any comparison. Groups and the query
@@ -34,9 +35,9 @@ from pyspark.sql import functions as F
 from skewtile.llm import tokens as tk
 from skewtile.llm.components import components
 from skewtile.llm.runs import bounded_runs, edges, shared
-from skewtile.llm.scratch import settle
+from skewtile.llm.scratch import drop_settled, settle
 
-GROUP_TOKENS, GROUP_CLASSES, QUERY_TOKENS, EXPAND = 60_000, 256, 600_000, 1 << 21
+GROUP_TOKENS, GROUP_CLASSES, QUERY_TOKENS, EXPAND = 60_000, 256, 200_000, 1 << 21
 BROADCAST_IDS = 1 << 20
 """Ids of documents to read again that may be broadcast (8 MB); more are joined by a shuffle."""
 _S1, _S2, _S3 = (tk.U(x) for x in (0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3))
@@ -61,7 +62,7 @@ class Similarity:
     def ranges(self, largest: int) -> tuple[int, int]:
         """(ranges of token space, slack) for sets of up to `largest` tokens: ranges - slack differences at most."""
         d = 2 * largest * (100 - self.percent) // (100 + self.percent)
-        slack = 1 if d == 0 else 3 + d // 50
+        slack = 1 if d == 0 else 3 + d // 10
         return d + slack, slack
 
     def needed(self, x, y):
@@ -83,10 +84,11 @@ def shingle_sets(batch: pa.RecordBatch, k: int) -> Iterator[tuple[int, np.ndarra
             yield i, tk.gram_hashes(words[a:b], int(b - a)) ^ tk.U(int(_S3) * int(b - a) % 2**64)
 
 
-def signatures(toks: np.ndarray, sim: Similarity) -> np.ndarray:
+def signatures(toks: np.ndarray, sim: Similarity) -> tuple[np.ndarray, int]:
+    """The signatures of a set, and how many of them any set that links with it has too, at least."""
     n = len(toks)
     number, high = sim.band(n)
-    out = []
+    out, need = [], []
     value = tk.mix(toks ^ _S1)
     for band, largest in ((number, high), (number + 1, sim.band(high + 1)[1])):
         m, slack = sim.ranges(largest)
@@ -94,10 +96,12 @@ def signatures(toks: np.ndarray, sim: Similarity) -> np.ndarray:
         cut = np.append(0, np.flatnonzero(at[1:] != at[:-1]) + 1)
         place = at[cut] * _S2 + tk.U((band + 1) * int(_S3) % 2**64)
         out.append(tk.mix(np.add.reduceat(value, cut) + place))
-        if m - len(cut) >= slack:
+        gaps = m - len(cut)
+        need.append(slack if gaps >= slack else slack - gaps)
+        if gaps >= slack:
             empty = np.setdiff1d(np.arange(m, dtype=np.uint64), at[cut])
             out.append(tk.mix(_S1 ^ (empty * _S2 + tk.U((band + 1) * int(_S3) % 2**64))))
-    return np.concatenate(out)
+    return np.concatenate(out), min(need)
 
 
 def _sketch(sim: Similarity):
@@ -106,15 +110,16 @@ def _sketch(sim: Similarity):
             for b in tk.slices(whole, "text"):
                 n = np.zeros(b.num_rows, np.int64)
                 k1, k2 = np.zeros(b.num_rows, np.uint64), np.zeros(b.num_rows, np.uint64)
+                need = np.ones(b.num_rows, np.int32)
                 sigs = [np.zeros(0, np.uint64)] * b.num_rows
                 for i, toks in shingle_sets(b, sim.words):
                     n[i], k1[i], k2[i] = len(toks), tk.mix(toks ^ _S2).sum(), tk.mix(toks ^ _S3).sum()
-                    sigs[i] = signatures(toks, sim)
+                    sigs[i], need[i] = signatures(toks, sim)
                 at = pa.array(np.append(0, np.cumsum([len(s) for s in sigs])), pa.int32())
                 flat = pa.array(np.concatenate(sigs).view(np.int64))
                 yield pa.RecordBatch.from_arrays(
-                    [b.column("doc_id"), pa.array(n), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), pa.ListArray.from_arrays(at, flat)],
-                    ["doc_id", "n_shingles", "k1", "k2", "sigs"],
+                    [b.column("doc_id"), pa.array(n), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), pa.array(need), pa.ListArray.from_arrays(at, flat)],
+                    ["doc_id", "n_shingles", "k1", "k2", "need", "sigs"],
                 )
 
     return run
@@ -135,34 +140,28 @@ def _first_of_run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         yield pa.RecordBatch.from_arrays([pa.array(doc[keep]), pa.array(family[keep])], ["doc", "family"])
 
 
-def _to_try(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc, target): the groups, not above its own, with which a document shares a signature; rows come sorted by (sig, grp).
-    Of an unfinished run only the groups seen are carried."""
-    seen: set[tuple[int, int]] = set()
-    before: list[int] = []
-    for (sig, own, doc), piece in bounded_runs(batches, ["sig", "grp", "doc"]):
-        found = [np.stack([doc, own], 1)]
-        if piece <= 0:
-            before = []
-        if piece >= 0 or (own[1:] != own[:-1]).any():
+def _group_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(grp, target), target < grp: groups of which some members share a signature; rows come sorted by (sig, grp). Of an
+    unfinished run only the groups seen are carried."""
+    before = np.zeros(0, np.int64)
+    for (sig, grp), piece in bounded_runs(batches, ["sig", "grp"]):
+        new = np.append(True, (sig[1:] != sig[:-1]) | (grp[1:] != grp[:-1]))
+        sig, grp = sig[new], grp[new]
+        found = []
+        if piece >= 0:
+            known = before if piece else np.zeros(0, np.int64)
+            own = grp[~np.isin(grp, known)]
+            runs = [(own, known)]
+            before = np.append(known, own)
+        else:
             at = edges(sig)
-            for a, b in zip(at, at[1:]):
-                groups = before if piece >= 0 else []
-                if own[a] != own[b - 1] or groups:
-                    for x, y in zip(c := a + edges(own[a:b]), c[1:]):
-                        found += [np.stack([doc[x:y], np.full(y - x, g)], 1) for g in groups if g != own[x]]
-                        if not groups or groups[-1] != own[x]:
-                            groups.append(int(own[x]))
-                elif piece >= 0:
-                    groups.append(int(own[a]))
-        pairs = np.unique(np.concatenate(found), axis=0)
-        fresh = [p for p in map(tuple, pairs.tolist()) if p not in seen]
-        if len(seen) > 1 << 18:
-            seen.clear()
-        seen.update(fresh)
-        if fresh:
-            doc, target = zip(*fresh)
-            yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(target, pa.int64())], ["doc", "target"])
+            runs = [(grp[a:b], grp[:0]) for a, b in zip(at, at[1:]) if b - a > 1]
+        for own, known in runs:
+            low, high = np.triu_indices(len(own), 1)
+            found += [np.stack([own[high], own[low]], 1), np.stack([np.repeat(own, len(known)), np.tile(known, len(own))], 1)]
+        if found:
+            pairs = np.unique(np.concatenate(found), axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(pairs.max(1)), pa.array(pairs.min(1))], ["grp", "target"])
 
 
 def _tokens(sim: Similarity):
@@ -276,24 +275,26 @@ def _few(ids: DataFrame) -> DataFrame:
 def join_documents(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable by links, itself included), n_links (documents it links with)."""
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    sketch = settle(rows.mapInArrow(_sketch(sim), "doc_id long, n_shingles long, k1 long, k2 long, sigs array<long>"), "sketch")
-    light = sketch.select("doc_id", "n_shingles", "k1", "k2")
-    classes = light.where("n_shingles > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.countDistinct("doc_id").alias("weight"), F.first("n_shingles").alias("n"))
+    sketch = settle(rows.mapInArrow(_sketch(sim), "doc_id long, n_shingles long, k1 long, k2 long, need int, sigs array<long>"), "sketch")
+    light = sketch.select("doc_id", "n_shingles", "k1", "k2", "need")
+    classes = light.where("n_shingles > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.countDistinct("doc_id").alias("weight"), F.first("n_shingles").alias("n"), F.first("need").alias("need"))
     classes = settle(classes, "classes")
     member = light.join(classes.select(F.col("k1").alias("_k1"), F.col("k2").alias("_k2"), "rep", "weight"), (F.col("k1") == F.col("_k1")) & (F.col("k2") == F.col("_k2")) & (F.col("n_shingles") > 0), "left")
     member = settle(member.select("doc_id", "n_shingles", "rep", "weight"), "members")
 
     by_sig = sketch.where("doc_id is not null").select(F.explode("sigs").alias("sig"), F.col("doc_id").alias("doc")).repartition("sig").sortWithinPartitions("sig", "doc")
     lists = settle(by_sig.mapInArrow(shared("sig", False), "sig long, doc long"), "lists")
+    drop_settled(sketch)
     alias = member.where("doc_id <> rep").select(F.col("doc_id").alias("_doc"), F.col("rep").alias("_rep"))
     lists = lists.join(alias, F.col("doc") == F.col("_doc"), "left").select("sig", F.coalesce("_rep", "doc").alias("doc"))
     lists = lists.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(shared("sig", False), "sig long, doc long")
     lists = settle(lists, "lists")
 
-    sets = settle(rows.join(_few(lists.select(F.col("doc").alias("_w")).distinct()), F.col("doc_id") == F.col("_w"), "left_semi").mapInArrow(_tokens(sim), "rep long, tokens binary"), "sets")
+    size = classes.groupBy(F.col("rep").alias("_r")).agg(F.max("n").alias("n"), F.max("weight").alias("weight"), F.min("need").alias("need"))
+    live = lists.groupBy("doc").agg(F.count(F.lit(1)).alias("has")).join(size, F.col("doc") == F.col("_r")).where("has >= need")
+    sets = settle(rows.join(_few(live.select(F.col("doc").alias("_w"))), F.col("doc_id") == F.col("_w"), "left_semi").mapInArrow(_tokens(sim), "rep long, tokens binary"), "sets")
     common = sets.mapInArrow(_token_rows, "tok long, doc long").repartition("tok").sortWithinPartitions("tok", "doc")
     common = common.mapInArrow(shared("tok", False), "tok long, doc long").groupBy("doc").agg(F.count(F.lit(1)).alias("has"))
-    size = classes.groupBy(F.col("rep").alias("_r")).agg(F.max("n").alias("n"), F.max("weight").alias("weight"))
     t = sim.percent
     least = f"({t} * (n + ({t} * n + 99) div 100) + {99 + t}) div {100 + t}"
     alive = settle(common.join(size, F.col("doc") == F.col("_r")).where(F.col("has") >= F.expr(least)).select("doc", "n", "weight"), "alive")
@@ -308,9 +309,10 @@ def join_documents(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame
     grouped = grouped.withColumn("grp", F.xxhash64("family", "bin", F.pmod(F.xxhash64("doc"), F.col("parts"))))
     grouped = settle(grouped.select("doc", "grp", "n", "weight"), "groups")
 
-    labelled = lists.join(grouped.select(F.col("doc").alias("_d"), "grp"), F.col("doc") == F.col("_d")).select("sig", "doc", "grp")
-    tries = labelled.repartition("sig").sortWithinPartitions("sig", "grp").mapInArrow(_to_try, "doc long, target long").distinct()
-    tries = tries.join(grouped, "doc").select("doc", "target", "n", "weight", (F.col("target") == F.col("grp")).alias("own"))
+    labelled = lists.join(grouped.select(F.col("doc").alias("_d"), "grp"), F.col("doc") == F.col("_d")).select("sig", "grp")
+    pairs = labelled.repartition("sig").sortWithinPartitions("sig", "grp").mapInArrow(_group_pairs, "grp long, target long").distinct()
+    own = grouped.select("doc", F.col("grp").alias("target"), "n", "weight", F.lit(True).alias("own"))
+    tries = own.unionByName(grouped.join(pairs, "grp").select("doc", "target", "n", "weight", F.lit(False).alias("own")))
     tries = settle(tries, "tries")
     blocks = tries.groupBy(F.col("target").alias("_t")).agg(F.ceil(F.sum("n") / QUERY_TOKENS).alias("blocks"))
     asking = tries.join(blocks, F.col("target") == F.col("_t")).select(
