@@ -59,4 +59,6 @@ def hilbert(gx: np.ndarray, gy: np.ndarray, order: int = 16) -> np.ndarray:
 
 def to_grid(v: np.ndarray, low: float, high: float, cells: int) -> np.ndarray:
     """Cell numbers of values of [low, high]; the upper end belongs to the last cell."""
-    return np.clip(np.floor((v - low) / max(high - low, 1e-300) * cells), 0, cells - 1).astype(np.int64)
+    if high <= low:
+        return np.where(v > high, cells - 1, 0).astype(np.int64)
+    return np.clip(np.floor((v - low) / (high - low) * cells), 0, cells - 1).astype(np.int64)

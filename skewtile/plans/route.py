@@ -45,6 +45,8 @@ def bound_from_counts(cx: Column, cy: Column, tm: TileMap, counts: np.ndarray, k
     boxes, counts = tm.mbr, np.asarray(counts)
     use = counts > 0
     boxes, counts = boxes[use], counts[use]
+    if not len(boxes):
+        return F.lit(float("inf"))
 
     @F.pandas_udf("double")
     def bound(cx: pd.Series, cy: pd.Series, k: pd.Series) -> pd.Series:
@@ -56,8 +58,7 @@ def bound_from_counts(cx: Column, cy: Column, tm: TileMap, counts: np.ndarray, k
             enough = np.cumsum(counts[order], axis=1) >= k.to_numpy()[a : a + step, None]
             first = enough.argmax(1)
             rows = np.arange(len(d))
-            if len(boxes):
-                out[a : a + step] = np.where(enough.any(1), d[rows, order[rows, first]], np.inf)
+            out[a : a + step] = np.where(enough.any(1), d[rows, order[rows, first]], np.inf)
         return pd.Series(out)
 
     return bound(cx, cy, k)
