@@ -27,6 +27,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from skewtile.llm.scratch import with_ids
+
 Q = 12
 RATE = 0.05
 BLOCK_CHARS = 1 << 22
@@ -205,5 +207,4 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = RATE) -> D
 
 def clean_documents(docs: DataFrame, benchmark: DataFrame, rate: float = RATE) -> DataFrame:
     """The documents that hold no item, rows and columns as they were."""
-    held = find_contamination(docs, benchmark, rate).select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(held, F.col("doc_id").eqNullSafe(F.col("_id")), "left_anti")
+    return with_ids(docs, find_contamination(docs, benchmark, rate).select("doc_id").distinct(), "left_anti")

@@ -46,7 +46,7 @@ def suffix_ranks(text: np.ndarray, depth: int) -> dict[int, np.ndarray]:
     while d < depth:
         r = ranks[d]
         nxt = np.zeros(len(r), np.int64)
-        nxt[: len(r) - d] = r[d:] + 1
+        nxt[: max(0, len(r) - d)] = r[d:] + 1
         _, inverse = np.unique(r * (len(r) + 1) + nxt, return_inverse=True)
         d *= 2
         ranks[d] = inverse
@@ -70,7 +70,7 @@ class FMIndex:
         at = 0
         for d in sorted(ranks, reverse=True):
             if at + d <= length:
-                r = np.append(ranks[d][at:], np.full(at, -1))[self.rows] if at else ranks[d][self.rows]
+                r = np.append(ranks[d][at:], np.full(min(at, len(ranks[d])), -1))[self.rows] if at else ranks[d][self.rows]
                 same &= r[1:] == r[:-1]
                 at += d
         start = np.flatnonzero(np.append(True, ~same))
@@ -78,9 +78,11 @@ class FMIndex:
         return start[which], np.append(start[1:], len(self.rows))[which]
 
     def extend(self, symbol: np.ndarray, low: np.ndarray, high: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Backward search: the intervals of symbol + pattern from those of the patterns."""
+        """Backward search: the intervals of symbol + pattern from those of the patterns; empty for symbols that the text lacks."""
+        known = symbol < len(self.count) - 1
+        symbol = np.where(known, symbol, 0)
         a, b = self.wavelet.rank(symbol, low, high)
-        return self.count[symbol] + a, self.count[symbol] + b
+        return np.where(known, self.count[symbol] + a, 0), np.where(known, self.count[symbol] + b, 0)
 
     def match(self, starts: np.ndarray, lengths: np.ndarray, stream: np.ndarray | None = None, lane: int = 128) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Streams pieces of `stream` (the index's text unless given) right to left, all at once. Returns the start of

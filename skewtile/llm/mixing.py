@@ -71,6 +71,8 @@ def mix_sources(docs: DataFrame, seed: int = 7, weights: tuple[float, ...] = (1,
 
 def take_copies(docs: DataFrame, seed: int = 7, weights: tuple[float, ...] = (1, 2, 3)) -> DataFrame:
     """The mix itself: each document's row as many times as it was emitted. doc_id must name one row."""
-    plan = mix_sources(docs, seed, weights).where("copies > 0").select(F.col("doc_id").alias("_id"), "copies")
-    named = docs.join(plan, F.col("doc_id").eqNullSafe(F.col("_id")))
-    return named.select(*(docs[c] for c in docs.columns), F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))).alias("_copy")).drop("_copy")
+    plan = mix_sources(docs, seed, weights).where("copies > 0").select(F.col("doc_id").alias("_mixed"), F.col("copies").alias("_times"))
+    own = docs.select(F.struct(*(docs[c] for c in docs.columns)).alias("_doc"))  # so that no name can clash
+    taken = own.join(plan, F.col("_doc.doc_id").eqNullSafe(F.col("_mixed")))
+    taken = taken.select("_doc", F.explode(F.sequence(F.lit(1), F.col("_times").cast("int"))).alias("_copy"))
+    return taken.select("_doc.*")

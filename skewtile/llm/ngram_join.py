@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from skewtile.llm import tokens as tk
 from skewtile.llm.components import components
 from skewtile.llm.runs import bounded_runs, edges, shared
-from skewtile.llm.scratch import drop_settled, settle
+from skewtile.llm.scratch import drop_settled, settle, with_ids
 
 GROUP_TOKENS, GROUP_CLASSES, QUERY_TOKENS, EXPAND = 60_000, 256, 200_000, 1 << 21
 BROADCAST_IDS = 1 << 20
@@ -283,7 +283,7 @@ def join_documents(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame
     member = settle(member.select("doc_id", "n_shingles", "rep", "weight"), "members")
 
     by_sig = sketch.where("doc_id is not null").select(F.explode("sigs").alias("sig"), F.col("doc_id").alias("doc")).repartition("sig").sortWithinPartitions("sig", "doc")
-    lists = settle(by_sig.mapInArrow(shared("sig", False), "sig long, doc long"), "lists")
+    lists = settle(by_sig.mapInArrow(shared("sig", False), "sig long, doc long"), "lists", release=True)
     drop_settled(sketch)
     alias = member.where("doc_id <> rep").select(F.col("doc_id").alias("_doc"), F.col("rep").alias("_rep"))
     lists = lists.join(alias, F.col("doc") == F.col("_doc"), "left").select("sig", F.coalesce("_rep", "doc").alias("doc"))
@@ -297,7 +297,7 @@ def join_documents(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame
     common = common.mapInArrow(shared("tok", False), "tok long, doc long").groupBy("doc").agg(F.count(F.lit(1)).alias("has"))
     t = sim.percent
     least = f"({t} * (n + ({t} * n + 99) div 100) + {99 + t}) div {100 + t}"
-    alive = settle(common.join(size, F.col("doc") == F.col("_r")).where(F.col("has") >= F.expr(least)).select("doc", "n", "weight"), "alive")
+    alive = settle(common.join(size, F.col("doc") == F.col("_r")).where(F.col("has") >= F.expr(least)).select("doc", "n", "weight"), "alive", release=True)
     lists = lists.join(_few(alive.select(F.col("doc").alias("_w"))), F.col("doc") == F.col("_w"), "left_semi")
     lists = settle(lists.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(shared("sig", False), "sig long, doc long"), "lists")
 
@@ -336,5 +336,5 @@ def join_documents(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame
 
 def one_of_each(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame:
     """The documents with one left of each component (that with the smallest doc_id), rows and columns as they were."""
-    gone = join_documents(docs, sim).where("doc_id <> component_id").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("_id"), "left_anti")
+    gone = join_documents(docs, sim).where("doc_id <> component_id").select("doc_id").distinct()
+    return with_ids(docs, gone, "left_anti")

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from skewtile.llm import tokens as tk
-from skewtile.llm.scratch import settle
+from skewtile.llm.scratch import settle, with_ids
 
 _SYMBOL = np.zeros(256, np.int64)
 _SYMBOL[list(b"#*$%&|<>")] = 1  # fixed values: the symbol characters
@@ -137,5 +137,5 @@ def judge(docs: DataFrame, rules: Rules = Rules(), host: str = "source") -> Data
 
 def clean_documents(docs: DataFrame, rules: Rules = Rules(), host: str = "source") -> DataFrame:
     """The documents that the rules keep, rows and columns as they were. Documents of one doc_id go or stay together."""
-    kept = judge(docs, rules, host).groupBy(F.col("doc_id").alias("_id")).agg(F.min("kept").alias("_kept")).where("_kept").drop("_kept")
-    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
+    kept = judge(docs, rules, host).groupBy("doc_id").agg(F.min("kept").alias("all_kept")).where("all_kept").select("doc_id")
+    return with_ids(docs, kept)

@@ -29,14 +29,29 @@ def new_path(spark: SparkSession, name: str) -> str:
     return f"{shared_folder(spark)}/skewtile/{name}-{uuid.uuid4().hex}"
 
 
-def settle(df: DataFrame, name: str = "table") -> DataFrame:
-    """Write df to the shared folder and return the written table, which cuts the lineage there."""
+def settle(df: DataFrame, name: str = "table", release: bool = False) -> DataFrame:
+    """Write df to the shared folder and return the written table, which cuts the lineage there.
+
+    release: after a large shuffle, have the driver collect its garbage at once, for Spark deletes the files of a shuffle
+    when the plan that wrote it is collected."""
     spark = df.sparkSession
     path = new_path(spark, name)
     df.write.option("compression", "zstd").parquet(path)
+    if release:
+        spark._jvm.System.gc()
     return spark.read.schema(df.schema).parquet(path)
 
 
+def with_ids(docs: DataFrame, ids: DataFrame, how: str = "left_semi", key: str = "doc_id") -> DataFrame:
+    """docs whose key is (left_semi) or isn't (left_anti) among the ids, the one column of `ids`; null equals null. Whatever
+    columns docs has, they come out as they were."""
+    name = "_key"
+    while name in docs.columns:
+        name += "_"
+    ids = ids.toDF(name)
+    return docs.join(ids, docs[key].eqNullSafe(ids[name]), how)
+
+
 def drop_settled(df: DataFrame) -> None:
     """Delete a settled table that no plan reads any more."""
     spark = df.sparkSession

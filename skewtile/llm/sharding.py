@@ -47,18 +47,18 @@ def _proposals(state: DataFrame, links: DataFrame, n_shards: int, heavy: float)
     asked = asked.groupBy("_row").agg(
         F.first("size").alias("size"), F.first("shard").alias("shard"),
         F.array(*(F.sum(F.element_at("votes", s + 1)) for s in range(n_shards))).alias("votes"),
-        F.max(total).alias("total"), F.min("hub").alias("hub"),
+        F.max(total).alias("total"), F.min("hub").alias("hub"), F.first("h").alias("h"),
     )
     best = F.array_max("votes")
     goal = (F.array_position("votes", best) - 1).cast("int")
     own = F.element_at("votes", F.col("shard") + 1)
-    asked = asked.where(own < best).withColumn("goal", goal)
-    return asked.select("_row", "size", "shard", "goal", F.when(F.col("total") > heavy, F.xxhash64("_row")).otherwise(F.xxhash64("hub")).alias("tie"))
+    asked = asked.where((own < best) | (goal < F.col("shard"))).withColumn("goal", goal)
+    return asked.select("_row", "size", "shard", "goal", F.when(F.col("total") > heavy, F.xxhash64("h")).otherwise(F.xxhash64("hub")).alias("tie"))
 
 
 def propagate(nodes: DataFrame, links: DataFrame, n_shards: int = SHARDS, rounds: int = ROUNDS, slack: float = SLACK) -> DataFrame:
-    """nodes: (_row, size, shard); links: (_row, hub). Returns nodes with the shards after the rounds, in one written table."""
-    state = settle(nodes.select("_row", "size", "shard"), "shards")
+    """nodes: (_row, h, size, shard), h a hash that tells documents apart; links: (_row, hub). Returns nodes with the shards after the rounds, in one written table."""
+    state = settle(nodes.select("_row", "h", "size", "shard"), "shards")
     load = np.zeros(n_shards)
     for r in state.groupBy("shard").agg(F.sum("size").alias("b")).collect():  # n_shards rows
         load[r["shard"]] = r["b"]
@@ -74,7 +74,7 @@ def propagate(nodes: DataFrame, links: DataFrame, n_shards: int = SHARDS, rounds
         table = F.array(*(F.lit(float(x)) for x in share.ravel()))
         luck = F.pmod(F.xxhash64("tie", F.lit(k)), F.lit(1 << 20)) / F.lit(float(1 << 20))
         moved = asked.where(luck < F.element_at(table, F.col("shard") * n_shards + F.col("goal") + 1)).select("_row", F.col("goal").alias("_goal"))
-        state = settle(state.join(moved, "_row", "left").select("_row", "size", F.coalesce("_goal", "shard").alias("shard")), "shards")
+        state = settle(state.join(moved, "_row", "left").select("_row", "h", "size", F.coalesce("_goal", "shard").alias("shard")), "shards")
         load = np.zeros(n_shards)
         for r in state.groupBy("shard").agg(F.sum("size").alias("b")).collect():  # n_shards rows
             load[r["shard"]] = r["b"]
@@ -82,27 +82,27 @@ def propagate(nodes: DataFrame, links: DataFrame, n_shards: int = SHARDS, rounds
 
 
 def even_out(state: DataFrame, n_shards: int = SHARDS) -> DataFrame:
-    """state: (_row, size, shard, linked). Moves the fewest small unlinked documents that make the sizes near equal."""
+    """state: (_row, h, size, shard, linked). Moves the fewest small unlinked documents that make the sizes near equal."""
     load = np.zeros(n_shards)
     for r in state.groupBy("shard").agg(F.sum("size").alias("b")).collect():  # n_shards rows
         load[r["shard"]] = r["b"]
     goal = load.sum() / n_shards
-    order = [F.col("linked").desc(), F.col("size").desc(), F.xxhash64("_row")]
+    order = [F.col("linked").desc(), F.col("size").desc(), "h"]
     summed = ranked(state, "shard", order, "_rank", "size", "_before")
     stays = F.col("_before") + F.col("size") <= F.lit(float(goal))
-    kept = summed.where(stays).select("_row", "shard")
-    pool = summed.where(~stays).select("_row", "size", F.lit(0).alias("_all"))
+    kept = summed.where(stays).select("_row", "h", "size", "shard", "linked")
+    pool = summed.where(~stays).select("_row", "h", "size", "linked", F.lit(0).alias("_all"))
     kept_load = np.zeros(n_shards)
     for r in summed.where(stays).groupBy("shard").agg(F.sum("size").alias("b")).collect():  # n_shards rows
         kept_load[r["shard"]] = r["b"]
     room = np.maximum(0, goal - kept_load)
     upto = np.cumsum(room) * (load.sum() - kept_load.sum()) / max(room.sum(), 1e-9)
-    dealt = ranked(pool, "_all", [F.col("size").desc(), F.xxhash64("_row")], "_rank", "size", "_before")
+    dealt = ranked(pool, "_all", [F.col("size").desc(), "h"], "_rank", "size", "_before")
     middle = F.col("_before") + F.col("size") / 2
     shard = F.lit(n_shards - 1)
     for s in reversed(range(n_shards - 1)):
         shard = F.when(middle < float(upto[s]), s).otherwise(shard)
-    return kept.unionByName(dealt.select("_row", shard.cast("int").alias("shard")))
+    return kept.unionByName(dealt.select("_row", "h", "size", shard.cast("int").alias("shard"), "linked"))
 
 
 def equal_text_links(rows: DataFrame) -> DataFrame:
@@ -120,16 +120,19 @@ def shard_documents(docs: DataFrame, n_shards: int = SHARDS, rounds: int = ROUND
         (F.octet_length(text) + 1).cast("long").alias("size"),
         F.crc32(text).alias("text_crc32"),
         F.when(F.col("text").isNotNull(), F.xxhash64(text, F.octet_length(text))).alias("text_key"),
+        F.xxhash64("doc_id", text).alias("h"),
         F.monotonically_increasing_id().alias("_row"),
     )
     rows = settle(rows, "documents")
     links = settle(equal_text_links(rows), "links")
-    start = rows.select("_row", "size", F.pmod(F.xxhash64("doc_id", "_row"), F.lit(n_shards)).cast("int").alias("shard"))
+    start = rows.select("_row", "h", "size", F.pmod("h", F.lit(n_shards)).cast("int").alias("shard"))
     state = propagate(start, links, n_shards, rounds)
     linked = links.select(F.col("_row").alias("_linked")).distinct()
-    state = state.join(linked, F.col("_row") == F.col("_linked"), "left").select("_row", "size", "shard", F.col("_linked").isNotNull().cast("int").alias("linked"))
-    placed = rows.join(even_out(settle(state, "shards"), n_shards), "_row")
-    return ranked(placed, "shard", [F.xxhash64("doc_id"), "_row"], "slot").drop("_row")
+    state = state.join(linked, F.col("_row") == F.col("_linked"), "left").select("_row", "h", "size", "shard", F.col("_linked").isNotNull().cast("int").alias("linked"))
+    for _ in range(2):  # the second pass evens out what the first one's borders left
+        state = even_out(settle(state, "shards"), n_shards)
+    placed = rows.join(state.select("_row", "shard"), "_row")
+    return ranked(placed, "shard", ["h", "_row"], "slot").drop("_row", "h")
 
 
 def cut_bytes(sharded: DataFrame) -> DataFrame:

@@ -182,7 +182,7 @@ def repeated_windows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
         F.collect_list(F.when(F.col("long_run"), F.col("anchor"))).alias("long_anchors"),
     )
     with_anchors = rows.join(per_doc, F.col("doc_id") == F.col("doc")).drop("doc")
-    segments = settle(with_anchors.mapInArrow(_emit_segments(window), "doc long, start int, n_words int, route long, key long, seg binary"), "segments")
+    segments = settle(with_anchors.mapInArrow(_emit_segments(window), "doc long, start int, n_words int, route long, key long, seg binary"), "segments", release=True)
     distinct = segments.groupBy("route", "key").agg(F.min("doc").alias("least"), F.count(F.lit(1)).alias("n"), F.first("seg").alias("seg"))
     words = segments.agg(F.sum("n_words")).first()[0] or 0
     shards = max(1, -(-int(words) // SHARD_WORDS))
@@ -198,5 +198,5 @@ def repeated_windows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
 def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, n_words, n_removed, kept (the words left, joined by spaces); one row per document."""
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    hits = settle(repeated_windows(docs, window), "hits")
+    hits = settle(repeated_windows(docs, window), "hits", release=True)
     return rows.join(hits, F.col("doc_id") == F.col("doc"), "left").drop("doc").mapInArrow(_cut(window), "doc_id long, n_words long, n_removed long, kept string")

@@ -102,7 +102,7 @@ def build_cascade(listed: DataFrame, universe: DataFrame, bits_per_key: float =
     """listed, universe: one column of keys each (nulls are no keys). The listed keys join the universe.
 
     Raises CascadeTooLarge if a level would need over most_bytes."""
-    key = lambda df: df.select(F.col(df.columns[0]).cast("string").alias("key")).where("key is not null")
+    key = lambda df: df.toDF("key").select(F.col("key").cast("string")).where("key is not null")
     both = key(universe).withColumn("listed", F.lit(0)).unionByName(key(listed).withColumn("listed", F.lit(1)))
     both = settle(both.groupBy("key").agg(F.max("listed").alias("listed")), "universe")
     levels: list[Level] = []
