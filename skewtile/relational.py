@@ -327,22 +327,28 @@ def _ranked(s, d):
 
 
 _RANKED = f"(SELECT q.qid, d.pid, (d.x - q.x1 - 20000) * (d.x - q.x1 - 20000) + (d.y - q.y1 - 20000) * (d.y - q.y1 - 20000) AS d2 FROM {_QA} q JOIN {E} d ON {_IN})"
-_BYQ = Window.partitionBy("qid").orderBy("d2", "pid")
+
+
+def _byq():
+    return Window.partitionBy("qid").orderBy("d2", "pid")
 
 
 @query("rank_by_distance", f"SELECT qid, pid, row_number() OVER w AS rn, rank() OVER v AS rk, dense_rank() OVER v AS dr FROM {_RANKED} WINDOW w AS (PARTITION BY qid ORDER BY d2, pid), v AS (PARTITION BY qid ORDER BY d2)")
 def _(s, d):
     v = Window.partitionBy("qid").orderBy("d2")
-    return _ranked(s, d).select("qid", "pid", F.row_number().over(_BYQ).alias("rn"), F.rank().over(v).alias("rk"), F.dense_rank().over(v).alias("dr"))
+    return _ranked(s, d).select("qid", "pid", F.row_number().over(_byq()).alias("rn"), F.rank().over(v).alias("rk"), F.dense_rank().over(v).alias("dr"))
 
 
 @query("dist_rank_tile", f"SELECT qid, pid, ntile(4) OVER w AS q4, round(percent_rank() OVER w, 8) AS pr, round(cume_dist() OVER w, 8) AS cd FROM {_RANKED} WINDOW w AS (PARTITION BY qid ORDER BY d2, pid)")
 def _(s, d):
-    return _ranked(s, d).select("qid", "pid", F.ntile(4).over(_BYQ).alias("q4"), F.round(F.percent_rank().over(_BYQ), 8).alias("pr"), F.round(F.cume_dist().over(_BYQ), 8).alias("cd"))
+    return _ranked(s, d).select("qid", "pid", F.ntile(4).over(_byq()).alias("q4"), F.round(F.percent_rank().over(_byq()), 8).alias("pr"), F.round(F.cume_dist().over(_byq()), 8).alias("cd"))
 
 
 _USER = "PARTITION BY user_id ORDER BY ts, pid"
-_BYU = Window.partitionBy("user_id").orderBy("ts", "pid")
+
+
+def _byu():
+    return Window.partitionBy("user_id").orderBy("ts", "pid")
 
 
 @query("path_segments", f"SELECT pid, x, y, tx, ty FROM (SELECT pid, x, y, lead(x) OVER w AS tx, lead(y) OVER w AS ty FROM {E} WINDOW w AS ({_USER})) WHERE tx IS NOT NULL")
@@ -352,8 +358,8 @@ def _(s, d):
 
 @query("path_length", f"SELECT pid, round(coalesce(sum(step) OVER (PARTITION BY user_id ORDER BY ts, pid ROWS UNBOUNDED PRECEDING), 0), 3) AS gone FROM (SELECT *, abs(x - lag(x) OVER w) + abs(y - lag(y) OVER w) AS step FROM {E} WINDOW w AS ({_USER}))")
 def _(s, d):
-    e = ev(s, d).withColumn("step", F.abs(col("x") - F.lag("x").over(_BYU)) + F.abs(col("y") - F.lag("y").over(_BYU)))
-    return e.select("pid", F.round(F.coalesce(F.sum("step").over(_BYU.rowsBetween(Window.unboundedPreceding, 0)), lit(0.0)), 3).alias("gone"))
+    e = ev(s, d).withColumn("step", F.abs(col("x") - F.lag("x").over(_byu())) + F.abs(col("y") - F.lag("y").over(_byu())))
+    return e.select("pid", F.round(F.coalesce(F.sum("step").over(_byu().rowsBetween(Window.unboundedPreceding, 0)), lit(0.0)), 3).alias("gone"))
 
 
 @query("prefix_weight", f"SELECT gx, gy, sum(n) OVER (PARTITION BY gx ORDER BY gy ROWS UNBOUNDED PRECEDING) AS upto FROM (SELECT gx, gy, count(*) AS n FROM {_CELLS} GROUP BY gx, gy)")
@@ -364,7 +370,7 @@ def _(s, d):
 
 @query("moving_avg_value", f"SELECT pid, round(avg(y) OVER (PARTITION BY user_id ORDER BY ts, pid ROWS BETWEEN 3 PRECEDING AND CURRENT ROW), 4) AS m FROM {E}")
 def _(s, d):
-    return ev(s, d).select("pid", F.round(F.avg("y").over(_BYU.rowsBetween(-3, 0)), 4).alias("m"))
+    return ev(s, d).select("pid", F.round(F.avg("y").over(_byu().rowsBetween(-3, 0)), 4).alias("m"))
 
 
 @query("range_frame_count", f"SELECT pid, count(*) OVER (PARTITION BY event_type ORDER BY x RANGE BETWEEN 1000 PRECEDING AND 1000 FOLLOWING) AS n FROM {E}")
@@ -374,7 +380,7 @@ def _(s, d):
 
 @query("first_last_value", f"SELECT pid, first_value(pid) OVER w AS a, last_value(pid) OVER w AS b, nth_value(pid, 2) OVER w AS c FROM {E} WINDOW w AS ({_USER} ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
 def _(s, d):
-    w = _BYU.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    w = _byu().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     return ev(s, d).select("pid", F.first("pid").over(w).alias("a"), F.last("pid").over(w).alias("b"), F.nth_value("pid", 2).over(w).alias("c"))
 
 
