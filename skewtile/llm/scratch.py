@@ -29,16 +29,20 @@ def new_path(spark: SparkSession, name: str) -> str:
     return f"{shared_folder(spark)}/skewtile/{name}-{uuid.uuid4().hex}"
 
 
-def settle(df: DataFrame, name: str = "table", release: bool = False) -> DataFrame:
-    """Write df to the shared folder and return the written table, which cuts the lineage there.
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
-    release: after a large shuffle, have the driver collect its garbage at once, for Spark deletes the files of a shuffle
-    when the plan that wrote it is collected."""
+
+def settle(df: DataFrame, name: str = "table") -> DataFrame:
+    """Write df to the shared folder and return the written table, which cuts the lineage there. The shuffles behind the
+    written table are of no more use, so Spark deletes their files when the write ends."""
     spark = df.sparkSession
     path = new_path(spark, name)
-    df.write.option("compression", "zstd").parquet(path)
-    if release:
-        spark._jvm.System.gc()
+    before = spark.conf.get(_CLEANUP, None)
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.option("compression", "zstd").parquet(path)
+    finally:
+        spark.conf.unset(_CLEANUP) if before is None else spark.conf.set(_CLEANUP, before)
     return spark.read.schema(df.schema).parquet(path)
 
 

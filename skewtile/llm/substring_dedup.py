@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from skewtile.llm import tokens as tk
 from skewtile.llm.fm_index import FMIndex
 from skewtile.llm.runs import shared
-from skewtile.llm.scratch import settle
+from skewtile.llm.scratch import drop_settled, settle
 
 WINDOW, GRAM = 13, 6
 SHARD_WORDS = 1_000_000
@@ -182,12 +182,15 @@ def repeated_windows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
         F.collect_list(F.when(F.col("long_run"), F.col("anchor"))).alias("long_anchors"),
     )
     with_anchors = rows.join(per_doc, F.col("doc_id") == F.col("doc")).drop("doc")
-    segments = settle(with_anchors.mapInArrow(_emit_segments(window), "doc long, start int, n_words int, route long, key long, seg binary"), "segments", release=True)
+    segments = settle(with_anchors.mapInArrow(_emit_segments(window), "doc long, start int, n_words int, route long, key long, seg binary"), "segments")
     distinct = segments.groupBy("route", "key").agg(F.min("doc").alias("least"), F.count(F.lit(1)).alias("n"), F.first("seg").alias("seg"))
+    distinct = settle(distinct, "distinct")
     words = segments.agg(F.sum("n_words")).first()[0] or 0
     shards = max(1, -(-int(words) // SHARD_WORDS))
     sharded = distinct.withColumn("shard", F.pmod(F.xxhash64("route"), F.lit(shards)))
     owners = sharded.groupBy("shard").applyInArrow(_search(window), "route long, key long, owners array<long>")
+    owners = settle(owners, "owners")
+    drop_settled(distinct)
     owners = owners.select(F.col("route").alias("_route"), F.col("key").alias("_key"), "owners")
     hits = segments.select("doc", "start", "route", "key").join(owners, (F.col("route") == F.col("_route")) & (F.col("key") == F.col("_key")))
     places = F.transform("owners", lambda o, i: F.when(o < F.col("doc"), F.col("start") + i))
@@ -198,5 +201,5 @@ def repeated_windows(docs: DataFrame, window: int = WINDOW) -> DataFrame:
 def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, n_words, n_removed, kept (the words left, joined by spaces); one row per document."""
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    hits = settle(repeated_windows(docs, window), "hits", release=True)
+    hits = settle(repeated_windows(docs, window), "hits")
     return rows.join(hits, F.col("doc_id") == F.col("doc"), "left").drop("doc").mapInArrow(_cut(window), "doc_id long, n_words long, n_removed long, kept string")
