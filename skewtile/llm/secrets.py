@@ -4,8 +4,8 @@ A token is a run of 20 or more characters of the base64 and URL alphabets that h
 cases. Its encoding is inferred (hex, base32, base64), its characters become numbers of that alphabet,
 and three tests ask whether they look uniform and independent: chi-squared over alphabet bins, runs
 above and below the middle, serial correlation. The smallest of the three p-values, times three, is the
-evidence for randomness. Ordinary tokens give the null: for each encoding and length class, the share
-of words made of letters alone that score as high. That p-value is weighed by length (a longer token
+evidence for randomness. Ordinary tokens give the null: for each length class, the share of words made
+of letters alone, of that or a shorter class, that score as high. That p-value is weighed by length (a longer token
 can show more) and a false discovery rate is held over all candidates of the corpus by the
 step-up rule, on a table of score bins of fixed size.
 
@@ -83,7 +83,7 @@ def battery(token: str, kind: str) -> tuple[float, float, float]:
     size, codes = len(ALPHABETS[kind]), _CODE[kind]
     values = [codes[ord(c)] for c in token]
     n = len(values)
-    bins = max(4, min(size, 1 << int(math.log2(max(4, n // 5)))))
+    bins = min(size, max(8, 1 << int(math.log2(n / 2.5))))
     counts = Counter(v * bins // size for v in values)
     fair = n / bins
     chi = sum((counts.get(b, 0) - fair) ** 2 for b in range(bins)) / fair
@@ -137,8 +137,8 @@ def accepted_bins(scanned: DataFrame, rate: float) -> dict[tuple[int, int], bool
     null, seen = np.zeros((8, BINS)), np.zeros((8, BINS))
     for r in cells.collect():  # 8 length classes x BINS scores x 2 at most
         (null if r["plain"] else seen)[r["size"], r["score"]] += r["n"]
-    # p of a cell: the share of ordinary tokens of this or a longer class, smoothed by one, that score as high
-    tail = np.cumsum(np.cumsum(null[::-1], axis=0)[::-1][:, ::-1], axis=1)[:, ::-1]
+    # p of a cell: the share of ordinary tokens of this or a shorter class (which score higher), smoothed by one, that score as high
+    tail = np.cumsum(np.cumsum(null, axis=0)[:, ::-1], axis=1)[:, ::-1]
     p = (tail + 1) / (np.maximum(tail[:, :1], 1) + 1)
     uniform = 2.0 ** (-np.arange(BINS)[::-1] / 4.0)  # without ordinary tokens a cell rests on its score alone
     p = np.where(tail[:, :1] < 20, 0.05 / np.maximum(uniform * 20, 1e-9), p)
