@@ -87,7 +87,7 @@ class FilterStore:
             for pdf in it:
                 yield pd.DataFrame([to_row(r["tile"], obf.shrink(from_row(r), share) if r["n_bits"] > share else from_row(r)) for r in pdf.to_dict("records")], columns=list(pdf.columns))
 
-        return cls({r["tile"]: from_row(r) for r in rows.mapInPandas(fit, ROW).toLocalIterator()})
+        return cls({r["tile"]: from_row(r) for r in rows.mapInPandas(fit, ROW).collect()})
 
     @property
     def size_bits(self) -> int:
@@ -130,5 +130,5 @@ class FilterStore:
             return pd.DataFrame([to_row(tile, f)])
 
         rows = near.groupBy("tile").cogroup(probes.groupBy("tile")).applyInPandas(learn, ROW)
-        new = {r["tile"]: from_row(r) for r in rows.toLocalIterator()}
+        new = {r["tile"]: from_row(r) for r in rows.collect()}  # a bounded row a tile
         return FilterStore({**filters, **{t: obf.merge(filters[t], f) for t, f in new.items()}}, self.version + 1)
