@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from skewtile.functions.geometry import dist2
 from skewtile.operators import local as kernels
 from skewtile.operators import merge
-from skewtile.operators.tiled import TiledTable
+from skewtile.operators.tiled import TiledTable, retile
 from skewtile.plans import route
 
 _CANDIDATES = "qid long, pid long, x double, y double, dist2 double"
@@ -40,11 +40,10 @@ def catalyst_knn(data: DataFrame, routed: DataFrame, k: int) -> DataFrame:
     return near.where("dist2 <= r2").select("qid", "pid", "x", "y", "dist2")
 
 
-def replanned(q: DataFrame, tt: TiledTable, budget: int, by: str = "query") -> list[TiledTable]:
-    """The table in one or two parts after splitting tiles that receive too many focal points."""
+def replanned(q: DataFrame, tt: TiledTable, budget: int, by: str = "query") -> TiledTable:
+    """The table after splitting tiles that receive too many focal points."""
     at = route.home(q, tt.tiles).select("tile", F.col("cx").alias("x1"), F.col("cy").alias("y1"), F.col("cx").alias("x2"), F.col("cy").alias("y2"))
-    rest, split = tt.apply(tt.plan(at, budget, by))
-    return [rest] + ([split] if split is not None else [])
+    return retile(tt, tt.plan(at, budget, by))
 
 
 def knn_join(
@@ -63,12 +62,10 @@ def knn_join(
     want = k if per_query else F.lit(int(k))
     q = q.select("qid", F.col("cx").cast("double"), F.col("cy").cast("double"), want.cast("int").alias("k")).where("k > 0")
     need = (top or 0) + (1 if exclude_self else 0)
+    if plan:
+        tt = replanned(q, tt, budget, plan)
     if filter and tt.filters is None:
         tt = tt.with_filters()
-    if plan:
-        parts = replanned(q, tt, budget, plan)
-        if len(parts) == 2:
-            return _over_parts(q, parts, need, exclude_self, local, filter)
     counts = route.bound_from_counts(F.col("cx"), F.col("cy"), tt.tiles, tt.counts, F.col("k") + int(exclude_self))
     store = tt.filters if filter else None
     if bound == "home":
@@ -94,19 +91,6 @@ def _merged(q: DataFrame, found: DataFrame, k: int | None, exclude_self: bool) -
     return merge.topk(found.join(q.select("qid", "k"), "qid"), F.col("k"))
 
 
-def _over_parts(q: DataFrame, parts: list[TiledTable], need: int, exclude_self: bool, local: str, filter: bool) -> DataFrame:
-    """Two independent tables (untouched and split tiles), one radius from the counts of both, answers merged at the end."""
-    boxes = np.concatenate([p.tiles.mbr for p in parts])
-    both = parts[0].tiles.with_mbr(boxes)
-    bound = route.bound_from_counts(F.col("cx"), F.col("cy"), both, np.concatenate([p.counts for p in parts]), F.col("k") + int(exclude_self))
-    wide = q.withColumn("r2", bound)
-    found = None
-    for p in parts:
-        got = local_knn(p.df, route.circles(wide, p.tiles, F.col("r2"), p.filters if filter else None), need, local, bounded=True)
-        found = got if found is None else found.unionByName(got)
-    return _merged(q, found, None, exclude_self)
-
-
 def _sample_bound(tt: TiledTable, k: int, sample: int) -> Column:
     """A squared radius per tile from a sample of the data: the k-th sampled distance of the tile's middle plus the focal
     point's distance to it. A sample can only overestimate."""

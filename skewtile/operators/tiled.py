@@ -159,6 +159,18 @@ class TiledTable:
         return rest, made.with_filters() if self.filters is not None else made
 
 
+def retile(tt: TiledTable, plan: planner.SplitPlan) -> TiledTable:
+    """The whole table under the map with the plan's cuts, for operators that need every tile under one map."""
+    trees = {t: planner.graft(None, [h for h, _ in parts]) for t, parts in plan.splits.items() if len(parts) > 1}
+    if not trees:
+        return tt
+    new, _ = tt.tiles.split(trees)
+    df = tt.df.withColumn("tile", new.tile_of(F.col("x"), F.col("y")))
+    new, counts = measure(df, new)
+    out = TiledTable(df, new, counts, tt.n_slots)
+    return out.with_filters() if tt.filters is not None else out
+
+
 def _by_identity(plan: planner.SplitPlan, handles):
     for h, _ in handles:
         if isinstance(h, planner.Histogram) and id(h) in plan.splits:
