@@ -19,7 +19,7 @@ class Tile:
 
 @dataclass(frozen=True)
 class CostModel:
-    """Weights of one unit of each kind of work. The defaults are those of the published worked example (fixed values)."""
+    """Weights of one unit of each kind of work. The defaults are fixed values, those of the worked example in the tests."""
 
     p_local: float = 0.2
     p_merge: float = 0.05
