@@ -8,7 +8,8 @@ needs are opened and compared member by member. No pair that could link is left
 * two sets of sizes x <= y that link differ in at most r(x + y) tokens, r = (1 - t) / (1 + t), and y <= x / t;
 * token space is cut into m ranges of hash values, m above that difference, for each band of sizes, so two linked sets
   of neighbouring bands agree on at least one whole range; a signature hashes one range's tokens;
-* at least the slack of those ranges agree, so classes that share fewer signatures with all others are left out;
+* at least the slack of those ranges agree, of which as many may be empty as the class has gaps: classes that share fewer signatures with
+  all others than the slack less the gaps, or none, are left out;
 * of the others, those are left out whose tokens that any other one has are fewer than a link needs:
   this is the bound against the union of all other groups;
 * signatures that two of the rest share name the groups which a group's classes must be tried on. Ranges empty on both sides
@@ -97,7 +98,7 @@ def signatures(toks: np.ndarray, sim: Similarity) -> tuple[np.ndarray, int]:
         place = at[cut] * _S2 + tk.U((band + 1) * int(_S3) % 2**64)
         out.append(tk.mix(np.add.reduceat(value, cut) + place))
         gaps = m - len(cut)
-        need.append(slack if gaps >= slack else slack - gaps)
+        need.append(max(1, slack - gaps))  # a partner with fewer gaps than the slack writes no empty ranges
         if gaps >= slack:
             empty = np.setdiff1d(np.arange(m, dtype=np.uint64), at[cut])
             out.append(tk.mix(_S1 ^ (empty * _S2 + tk.U((band + 1) * int(_S3) % 2**64))))

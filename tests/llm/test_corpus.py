@@ -239,6 +239,23 @@ def test_ngram_join_of_one_large_group(spark, monkeypatch):
     assert got == jaccard_classes(rows, 4, 85)
 
 
+def test_ngram_join_of_small_sets_at_the_threshold(spark):
+    """Pairs of sets that just link share as many signatures as either asks for, and the join finds every link."""
+    for words, percent in ((5, 80), (4, 85), (1, 50)):
+        sim = ngram_join.Similarity(words, percent)
+        for seed in range(3000):
+            rng = np.random.default_rng(seed)
+            x = int(rng.integers(1, 13))
+            y = int(rng.integers(x, x * 100 // percent + 1))
+            both = sim.needed(x, y)
+            toks = rng.integers(0, 2**64, x + y - both, dtype=np.uint64)
+            (a, need_a), (b, need_b) = (ngram_join.signatures(np.sort(t), sim) for t in (toks[:x], toks[x - both :]))
+            assert len(np.intersect1d(a, b)) >= max(need_a, need_b), (sim, seed)
+    rows = [(2 * i + k, " ".join(f"p{i}w{j}" for j in range(4 + k))) for i in range(1500) for k in range(2)]
+    got = ngram_join.join_documents(spark.createDataFrame(rows, "doc_id long, text string"), ngram_join.Similarity(1, 80)).collect()
+    assert all(r.n_links == 1 and r.component_id == r.doc_id // 2 * 2 for r in got)
+
+
 def test_ngram_join_odd_rows(odd):
     got = {r.doc_id: r for r in ngram_join.join_documents(odd, ngram_join.Similarity(4, 85)).collect()}
     assert [got[i].n_shingles for i in (1, 2, 3, 4)] == [0, 0, 0, 1]
