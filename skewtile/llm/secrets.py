@@ -5,7 +5,7 @@ cases. Its encoding is inferred (hex, base32, base64), its characters become num
 and three tests ask whether they look uniform and independent: chi-squared over alphabet bins, runs
 above and below the middle, serial correlation. The smallest of the three p-values, times three, is the
 evidence for randomness. Ordinary tokens give the null: for each length class, the share of words made
-of letters alone, of that or a shorter class, that score as high. That p-value is weighed by length (a longer token
+of letters alone, of that or a shorter class, that score as high, joined with what the score alone tells. That p-value is weighed by length (a longer token
 can show more) and a false discovery rate is held over all candidates of the corpus by the
 step-up rule, on a table of score bins of fixed size.
 
@@ -47,6 +47,8 @@ _CODE["hex"] |= {ord(c.upper()): i for i, c in enumerate(ALPHABETS["hex"])}
 _SETS = {name: frozenset(map(chr, codes)) for name, codes in _CODE.items()}
 BINS = 64
 """Score bins of the null and candidate tables, for each length class: their size does not grow with the corpus."""
+PRIOR = 20
+"""Ordinary tokens that the score alone stands for beside those counted."""
 
 
 def base_spans(text: str) -> list[tuple[int, int, str]]:
@@ -137,11 +139,18 @@ def accepted_bins(scanned: DataFrame, rate: float) -> dict[tuple[int, int], bool
     null, seen = np.zeros((8, BINS)), np.zeros((8, BINS))
     for r in cells.collect():  # 8 length classes x BINS scores x 2 at most
         (null if r["plain"] else seen)[r["size"], r["score"]] += r["n"]
-    # p of a cell: the share of ordinary tokens of this or a shorter class (which score higher), smoothed by one, that score as high
+    return accepted_cells(null, seen, rate)
+
+
+def accepted_cells(null: np.ndarray, seen: np.ndarray, rate: float) -> dict[tuple[int, int], bool]:
+    """null, seen: ordinary and other tokens in each (length class, score bin).
+
+    p of a cell: the share of ordinary tokens of this or a shorter class (which score higher) that score as high, together
+    with PRIOR tokens more that are spread as the score alone tells. At every count of ordinary tokens it is above 0 and, in
+    the top bin, below 1 / (count + 1) until one of them scores as high."""
     tail = np.cumsum(np.cumsum(null, axis=0)[:, ::-1], axis=1)[:, ::-1]
-    p = (tail + 1) / (np.maximum(tail[:, :1], 1) + 1)
-    uniform = 2.0 ** (-np.arange(BINS)[::-1] / 4.0)  # without ordinary tokens a cell rests on its score alone
-    p = np.where(tail[:, :1] < 20, 0.05 / np.maximum(uniform * 20, 1e-9), p)
+    alone = np.minimum(1.0, 0.0025 * 2.0 ** (np.arange(BINS)[::-1] / 4.0))
+    p = (tail + PRIOR * alone) / (tail[:, :1] + PRIOR)
     weight = (1 + np.arange(8))[:, None] * np.ones((1, BINS))
     total = seen.sum()
     if not total:

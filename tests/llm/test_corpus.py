@@ -362,6 +362,23 @@ def test_secret_battery_finds_random_tokens_and_spares_words(spark, odd):
     assert secrets.find_secrets(odd.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("ordinary", [0, 10, 40, 80, 1000])
+def test_secrets_with_any_count_of_ordinary_tokens(ordinary):
+    rng = np.random.default_rng(21)
+    alphabet = np.array(list(secrets.ALPHABETS["base64"][:62]))
+    syllables = ["tion", "the", "ing", "re", "con", "ment", "er", "an"]
+    null, seen = np.zeros((8, secrets.BINS)), np.zeros((8, secrets.BINS))
+    for _ in range(ordinary):
+        _, size, at, plain = secrets.score("".join(rng.choice(syllables, 8)).ljust(20, "s"))
+        null[size, at] += plain
+    words = [secrets.score("".join(rng.choice(syllables, 12)) + "2")[1:3] for _ in range(20)]
+    planted = [secrets.score("".join(rng.choice(alphabet, 40)))[1:3] for _ in range(40)]
+    for cell in words + planted:
+        seen[cell] += 1
+    yes = secrets.accepted_cells(null, seen, 0.01)
+    assert null.sum() == ordinary and sum(yes[c] for c in planted) >= 20 and sum(yes[c] for c in words) <= 2
+
+
 def test_secret_digests_against_brute_force(spark, small):
     want = {r.doc_id: secrets.brute_base(r.text) for r in small.collect()}
     got = {r.doc_id: r for r in secrets.digests(secrets.find_secrets(small)).collect()}
