@@ -2,7 +2,7 @@
 
 Lines are normalised (A-Z lower-cased, white space folded) and hashed; each (host, line) counts the
 distinct texts that hold it, so copies of one document count once. A line above the limit of its host is
-boilerplate: its words are taken out, and a document left with too small a part of its words is rejected.
+boilerplate: it is taken out of the text, and a document left with too small a part of its words is rejected.
 
 Cases: a null or empty text has no words and fails the base rule; a null host is a host of its own;
 repeated rows are judged alike and count as one text; lines without words count nowhere; an empty
@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from skewtile.llm import tokens as tk
-from skewtile.llm.scratch import settle, with_ids
+from skewtile.llm.scratch import settle
 
 _SYMBOL = np.zeros(256, np.int64)
 _SYMBOL[list(b"#*$%&|<>")] = 1  # fixed values: the symbol characters
@@ -118,24 +118,53 @@ def boilerplate(measured: DataFrame, rules: Rules = Rules()) -> DataFrame:
     return out.where(F.col("n_texts") > rules.line_share * F.col("texts")).select("host", "line", "n_texts")
 
 
-def judge(docs: DataFrame, rules: Rules = Rules(), host: str = "source") -> DataFrame:
-    """doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, n_boilerplate_words, kept."""
+def _judged(docs: DataFrame, rules: Rules, host: str) -> DataFrame:
+    """The columns of judge(), host, and gone: the normalised lines of the document above its host's limit."""
     measured = settle(measure(docs, host).withColumn("_row", F.monotonically_increasing_id()), "measured")
     common = settle(boilerplate(measured, rules), "boilerplate")
     lines = measured.select("_row", "host", F.explode(F.arrays_zip("lines", "line_words")).alias("l"))
     lines = lines.select("_row", F.col("host").alias("_host"), F.col("l.lines").alias("_line"), F.col("l.line_words").alias("w"))
     gone = lines.join(common, F.col("_host").eqNullSafe(F.col("host")) & (F.col("_line") == F.col("line")), "left_semi")
-    gone = gone.groupBy(F.col("_row").alias("_gone")).agg(F.sum("w").alias("n_boilerplate_words"))
+    gone = gone.groupBy(F.col("_row").alias("_gone")).agg(F.sum("w").alias("n_boilerplate_words"), F.collect_list("_line").alias("gone"))
     out = measured.drop("lines", "line_words").join(gone, F.col("_row") == F.col("_gone"), "left")
     out = out.withColumn("n_boilerplate_words", F.coalesce("n_boilerplate_words", F.lit(0)))
     failed = (F.col("n_words") < rules.min_words) | (100 * F.col("n_repeat_words") > rules.repeat_percent * F.col("n_words"))
     left = F.col("n_words") - F.col("n_boilerplate_words")
     out = out.withColumn("base_failed", failed)
-    out = out.withColumn("kept", ~failed & (left >= rules.keep_share * F.col("n_words")))
-    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "n_boilerplate_words", "kept")
+    return out.withColumn("kept", ~failed & (left >= rules.keep_share * F.col("n_words")))
+
+
+def judge(docs: DataFrame, rules: Rules = Rules(), host: str = "source") -> DataFrame:
+    """doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, n_boilerplate_words, kept."""
+    return _judged(docs, rules, host).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "n_boilerplate_words", "kept")
+
+
+def _without(text: pa.Array, gone: pa.Array) -> pa.Array:
+    """Each text without the lines whose normalised form is among those gone."""
+    out = []
+    for t, g in zip(text, gone):
+        if (t := t.as_py()) is not None and (g := g.as_py()):
+            g = set(g)
+            stays = lambda parts: not parts or xxhash.xxh64_intdigest(b" ".join(parts).lower()) - 2**63 not in g  # noqa: E731, B023
+            t = b"\n".join(x for x in t.encode().split(b"\n") if stays(x.split())).decode()
+        out.append(t)
+    return pa.array(out, pa.string())
 
 
 def clean_documents(docs: DataFrame, rules: Rules = Rules(), host: str = "source") -> DataFrame:
-    """The documents that the rules keep, rows and columns as they were. Documents of one doc_id go or stay together."""
-    kept = judge(docs, rules, host).groupBy("doc_id").agg(F.min("kept").alias("all_kept")).where("all_kept").select("doc_id")
-    return with_ids(docs, kept)
+    """The documents that the rules keep, without their lines above the limit; n_chars, if there is one, follows the text. Other
+    columns are as they were. Documents of one doc_id go or stay together."""
+    per_host = _judged(docs, rules, host).groupBy("doc_id", "host").agg(F.min("kept").alias("kept"), F.array_distinct(F.flatten(F.collect_list("gone"))).alias("gone"))
+    kept = per_host.groupBy("doc_id").agg(F.min("kept").alias("all_kept"), F.collect_list(F.when(F.size("gone") > 0, F.struct("host", "gone"))).alias("gone")).where("all_kept")
+    key, cut = "_key", "_cut"
+    while {key, cut} & set(docs.columns):
+        key, cut = key + "_", cut + "_"
+    kept = kept.select(F.col("doc_id").alias(key), F.col("gone").alias(cut))
+    out = docs.join(kept, docs["doc_id"].eqNullSafe(kept[key]))
+    own = F.get(F.filter(cut, lambda x: x["host"].eqNullSafe(F.col(host).cast("string"))), F.lit(0))["gone"]
+    out = out.withColumn(cut, own)
+    changed = F.col(cut).isNotNull()
+    out = out.withColumn("text", F.when(changed, F.arrow_udf(_without, "string")(F.col("text").cast("string"), F.col(cut))).otherwise(F.col("text")))
+    if "n_chars" in docs.columns:
+        out = out.withColumn("n_chars", F.when(changed, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
+    return out.select(*docs.columns)

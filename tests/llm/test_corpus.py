@@ -505,6 +505,17 @@ def test_quality_boilerplate(spark):
     assert kept.count() == 60 and kept.columns == ["doc_id", "text", "source"]
 
 
+def test_quality_takes_lines_above_the_limit_out(spark):
+    own = lambda i: " ".join(f"é{i}w{j}" for j in range(60))
+    rows = [(i, f"Site  MENU\n{own(i)}\n\nsite menu\nend {i}", "h", 0) for i in range(30)] + [(50, f"site menu\n{own(50)}", "other", 7), (51, f"site menu\n{own(51)}", None, 7)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, n_chars int").withColumn("_key", F.lit(1)).withColumn("host", F.lit("x"))
+    out = quality.clean_documents(docs)
+    assert out.schema["n_chars"].dataType == docs.schema["n_chars"].dataType and out.columns == docs.columns
+    want = {i: f"{own(i)}\n\nend {i}" for i in range(30)}
+    want = {i: (t, len(t)) for i, t in want.items()} | {r[0]: (r[1], 7) for r in rows[30:]}
+    assert {r.doc_id: (r.text, r.n_chars) for r in out.collect()} == want
+
+
 # decontamination --------------------------------------------------------------------------------
 
 
