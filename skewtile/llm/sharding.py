@@ -2,14 +2,15 @@
 
 Links are hyperedges: documents that share a hub (by default, equal texts). In each round every hub tells
 how many bytes it has in each shard, each linked document asks for the shard where its neighbours
-have most, and the moves asked between each pair of shards are cut to what capacity allows. Moves of small
-hubs are taken or left whole, those of hubs that are large against a shard document by document. A
+have most, and the moves asked between each pair of shards are cut to what capacity allows. Only linked documents
+count against capacity, as unlinked ones make room in the end. Moves of small hubs are taken or left whole, those of
+hubs that are large against a shard document by document. Rounds go on until none is asked for, or no longer help. A
 last pass evens the sizes out: over-full shards give their smallest unlinked documents to the others.
 
-The rounds join tables of documents and hubs; the driver sees one row per pair of shards only.
+The rounds join tables of linked documents and hubs; the driver sees one row per pair of shards only.
 
 Cases: a null text has no bytes and shares no link; empty texts are equal texts; ties of
-shards go to the smaller; repeated rows are documents of their own; an empty table gives no rows;
+shards go to one told by a hash of the hub; repeated rows are documents of their own; an empty table gives no rows;
 other columns of the input are left alone, whatever their names.
 """
 
@@ -50,42 +51,51 @@ def _proposals(state: DataFrame, links: DataFrame, n_shards: int, heavy: float)
         F.max(total).alias("total"), F.min("hub").alias("hub"), F.first("h").alias("h"),
     )
     best = F.array_max("votes")
-    goal = (F.array_position("votes", best) - 1).cast("int")
+    turn = F.pmod(F.xxhash64("hub"), F.lit(n_shards)).cast("int")  # the shard from which the search for the best starts
+    turned = F.concat(F.slice("votes", turn + 1, n_shards - turn), F.slice("votes", F.lit(1), turn))
+    goal = F.pmod(F.array_position(turned, best) - 1 + turn, F.lit(n_shards)).cast("int")
     own = F.element_at("votes", F.col("shard") + 1)
-    asked = asked.where((own < best) | (goal < F.col("shard"))).withColumn("goal", goal)
+    asked = asked.withColumn("goal", goal).where((own < best) | (F.col("goal") != F.col("shard")))
     return asked.select("_row", "size", "shard", "goal", F.when(F.col("total") > heavy, F.xxhash64("h")).otherwise(F.xxhash64("hub")).alias("tie"))
 
 
-def propagate(nodes: DataFrame, links: DataFrame, n_shards: int = SHARDS, rounds: int = ROUNDS, slack: float = SLACK) -> DataFrame:
-    """nodes: (_row, h, size, shard), h a hash that tells documents apart; links: (_row, hub). Returns nodes with the shards after the rounds, in one written table."""
-    state = settle(nodes.select("_row", "h", "size", "shard"), "shards")
+def _load(state: DataFrame, n_shards: int) -> np.ndarray:
     load = np.zeros(n_shards)
     for r in state.groupBy("shard").agg(F.sum("size").alias("b")).collect():  # n_shards rows
         load[r["shard"]] = r["b"]
-    capacity = load.sum() / n_shards * (1 + slack)
-    for k in range(rounds):
+    return load
+
+
+def propagate(nodes: DataFrame, links: DataFrame, n_shards: int = SHARDS, rounds: int = ROUNDS, slack: float = SLACK) -> DataFrame:
+    """nodes: (_row, h, size, shard), h a hash that tells documents apart; links: (_row, hub). Returns nodes with the shards after the
+    rounds, and linked. Rounds end when no move is asked for, or when `rounds` of them in a row haven't brought the bytes asked to move down."""
+    linked = links.select(F.col("_row").alias("_linked")).distinct()
+    nodes = nodes.join(linked, F.col("_row") == F.col("_linked"), "left").select("_row", "h", "size", "shard", F.col("_linked").isNotNull().cast("int").alias("linked"))
+    nodes = settle(nodes, "shards")
+    capacity = _load(nodes, n_shards).sum() / n_shards * (1 + slack)
+    state = nodes.where("linked = 1").select("_row", "h", "size", "shard")
+    least, waited, k = np.inf, 0, 0
+    while True:
         asked = settle(_proposals(state, links, n_shards, HEAVY * capacity), "asked")
         wanted = np.zeros((n_shards, n_shards))
         for r in asked.groupBy("shard", "goal").agg(F.sum("size").alias("b")).collect():  # n_shards squared rows
             wanted[r["shard"], r["goal"]] = r["b"]
-        if not wanted.any():
+        waited = 0 if wanted.sum() < 0.99 * least else waited + 1
+        least = min(least, wanted.sum())
+        if not wanted.any() or waited >= rounds:
             break
-        share = quotas(load, wanted, capacity) / np.maximum(wanted, 1)
+        share = quotas(_load(state, n_shards), wanted, capacity) / np.maximum(wanted, 1)
         table = F.array(*(F.lit(float(x)) for x in share.ravel()))
         luck = F.pmod(F.xxhash64("tie", F.lit(k)), F.lit(1 << 20)) / F.lit(float(1 << 20))
         moved = asked.where(luck < F.element_at(table, F.col("shard") * n_shards + F.col("goal") + 1)).select("_row", F.col("goal").alias("_goal"))
         state = settle(state.join(moved, "_row", "left").select("_row", "h", "size", F.coalesce("_goal", "shard").alias("shard")), "shards")
-        load = np.zeros(n_shards)
-        for r in state.groupBy("shard").agg(F.sum("size").alias("b")).collect():  # n_shards rows
-            load[r["shard"]] = r["b"]
-    return state
+        k += 1
+    return nodes.where("linked = 0").unionByName(state.withColumn("linked", F.lit(1)))
 
 
 def even_out(state: DataFrame, n_shards: int = SHARDS) -> DataFrame:
     """state: (_row, h, size, shard, linked). Moves the fewest small unlinked documents that make the sizes near equal."""
-    load = np.zeros(n_shards)
-    for r in state.groupBy("shard").agg(F.sum("size").alias("b")).collect():  # n_shards rows
-        load[r["shard"]] = r["b"]
+    load = _load(state, n_shards)
     goal = load.sum() / n_shards
     order = [F.col("linked").desc(), F.col("size").desc(), "h"]
     summed = ranked(state, "shard", order, "_rank", "size", "_before")
@@ -127,8 +137,6 @@ def shard_documents(docs: DataFrame, n_shards: int = SHARDS, rounds: int = ROUND
     links = settle(equal_text_links(rows), "links")
     start = rows.select("_row", "h", "size", F.pmod("h", F.lit(n_shards)).cast("int").alias("shard"))
     state = propagate(start, links, n_shards, rounds)
-    linked = links.select(F.col("_row").alias("_linked")).distinct()
-    state = state.join(linked, F.col("_row") == F.col("_linked"), "left").select("_row", "h", "size", "shard", F.col("_linked").isNotNull().cast("int").alias("linked"))
     for _ in range(2):  # the second pass evens out what the first one's borders left
         state = even_out(settle(state, "shards"), n_shards)
     placed = rows.join(state.select("_row", "shard"), "_row")

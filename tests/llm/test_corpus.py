@@ -156,6 +156,15 @@ def test_sharding_quotas():
     assert (moves <= asked + 1e-9).all() and (after <= np.maximum(36, load) + 1e-3).all() and moves.sum() > 0
 
 
+def test_sharding_cuts_few_links(spark):
+    """Half of all rows in pairs of equal texts: few of the linked bytes stay cut, of 44 % at the start."""
+    rows = [(i, f"text {i if i % 2 else i // 4} " + "word " * (i // 4 % 40)) for i in range(2400)]
+    out = sharding.shard_documents(spark.createDataFrame(rows, "doc_id long, text string"))
+    start = out.withColumn("shard", F.pmod(F.xxhash64("doc_id"), F.lit(8)))
+    before, after = sharding.cut_bytes(start).first(), sharding.cut_bytes(out).first()
+    assert after.cut_bytes <= 0.05 * before.cut_bytes and after.most_bytes <= 1.03 * after.least_bytes
+
+
 def test_sharding_odd_rows(odd):
     rows = sharding.shard_documents(odd).collect()
     assert sorted(r.doc_id for r in rows) == sorted(r[0] for r in ODD)
