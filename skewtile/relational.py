@@ -95,12 +95,20 @@ def _(s, d):
     return s.sql("SELECT v.name, count(*) AS n FROM VALUES ('a', 600000, 0, 900000, 300000), ('b', 1500000, 0, 1700000, 200000) AS v(name, x1, y1, x2, y2) JOIN plane_e d ON d.x BETWEEN v.x1 AND v.x2 AND d.y BETWEEN v.y1 AND v.y2 GROUP BY v.name")
 
 
-@query("wkb_points", f"SELECT pid, x, y FROM {E} WHERE pid % 10 = 0")
-def _(s, d):
-    w = pl.events(s, d).where("pid % 10 = 0").select("pid", shapes.point_wkb(col("x"), col("y")).alias("wkb"))
+def _sampled(every: int):
+    """(suffix, condition) of a query over a sample of the events by pid, and of the same query over all of them."""
+    return ("", f"pid % {every} = 0"), ("_all", "true")
+
+
+def _wkb_points(s, d, rows):
+    w = pl.events(s, d).where(rows).select("pid", shapes.point_wkb(col("x"), col("y")).alias("wkb"))
     return w.withColumn("p", shapes.wkb_point(col("wkb"))).select("pid", "p.x", "p.y")
 
 
+for _n, _w in _sampled(10):
+    query(f"wkb_points{_n}", f"SELECT pid, x, y FROM {E} WHERE {_w}")(lambda s, d, w=_w: _wkb_points(s, d, w))
+
+
 # projections and predicates ---------------------------------------------------------------------
 
 for _p in pl.PLANES:
@@ -450,9 +458,12 @@ def _(s, d):
 _HAV = "round(2 * 6371000e0 * asin(least(1e0, sqrt(pow(sin((radians(48e0) - radians(y / 1e5)) / 2), 2) + cos(radians(y / 1e5)) * cos(radians(48e0)) * pow(sin((radians(11e0) - radians(x / 1e5)) / 2), 2)))), 3)"
 
 
-@query("haversine_sample", f"SELECT pid, {_HAV} AS m FROM {E} WHERE pid % 10 = 0")
-def _(s, d):
-    return pl.events(s, d).where("pid % 10 = 0").select("pid", F.round(g.haversine_m(col("x") / 1e5, col("y") / 1e5, lit(11.0), lit(48.0)), 3).alias("m"))
+def _haversine(s, d, rows):
+    return pl.events(s, d).where(rows).select("pid", F.round(g.haversine_m(col("x") / 1e5, col("y") / 1e5, lit(11.0), lit(48.0)), 3).alias("m"))
+
+
+for _n, _w in _sampled(10):
+    query({"": "haversine_sample"}.get(_n, "haversine_all"), f"SELECT pid, {_HAV} AS m FROM {E} WHERE {_w}")(lambda s, d, w=_w: _haversine(s, d, w))
 
 
 _BITS = " + ".join(f"((CAST(floor({c} / 1e4) AS BIGINT) >> {b}) & 1) * {1 << (2 * b + o)}" for o, c in ((0, "x"), (1, "y")) for b in range(10))
@@ -555,26 +566,32 @@ def _(s, d):
 # user functions ---------------------------------------------------------------------------------
 
 
-@query("udf_area_label", f"SELECT pid, {_AREA} AS area FROM {E} WHERE pid % 10 = 0")
-def _(s, d):
+def _area_label(s, d, rows):
     areas = dict(pl.AREAS)
 
     @F.udf("string")
     def label(x, y):
         return next((n for n, b in areas.items() if b[0] <= x <= b[2] and b[1] <= y <= b[3]), "rest")
 
-    return pl.events(s, d).where("pid % 10 = 0").select("pid", label("x", "y").alias("area"))
+    return pl.events(s, d).where(rows).select("pid", label("x", "y").alias("area"))
 
 
-@query("udf_haversine", f"SELECT pid, {_HAV} AS m FROM {E} WHERE pid % 10 = 0")
-def _(s, d):
+for _n, _w in _sampled(10):
+    query(f"udf_area_label{_n}", f"SELECT pid, {_AREA} AS area FROM {E} WHERE {_w}")(lambda s, d, w=_w: _area_label(s, d, w))
+
+
+def _udf_haversine(s, d, rows):
     @F.pandas_udf("double")
     def metres(x: pd.Series, y: pd.Series) -> pd.Series:
         lat, lon = np.radians(y / 1e5), np.radians(x / 1e5)
         a = np.sin((np.radians(48) - lat) / 2) ** 2 + np.cos(lat) * np.cos(np.radians(48)) * np.sin((np.radians(11) - lon) / 2) ** 2
         return 2 * 6371000.0 * np.arcsin(np.minimum(1, np.sqrt(a)))
 
-    return pl.events(s, d).where("pid % 10 = 0").select("pid", F.round(metres("x", "y"), 3).alias("m"))
+    return pl.events(s, d).where(rows).select("pid", F.round(metres("x", "y"), 3).alias("m"))
+
+
+for _n, _w in _sampled(10):
+    query(f"udf_haversine{_n}", f"SELECT pid, {_HAV} AS m FROM {E} WHERE {_w}")(lambda s, d, w=_w: _udf_haversine(s, d, w))
 
 
 @query("udf_hilbert")

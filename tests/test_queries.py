@@ -30,3 +30,8 @@ def test_entry(spark):
 
     assert set(e.oracle_sql()) <= set(e.queries())
     assert e.entry(spark).count() == 39
+
+
+@pytest.mark.parametrize("name", ["udf_area_label_all", "udf_haversine_all", "haversine_all", "wkb_points_all"])
+def test_all_events_are_computed(spark, name):
+    assert QUERIES[name](spark, SMALL).count() == spark.read.parquet(f"{SMALL}/events.parquet").count()
