@@ -363,11 +363,17 @@ query(
     lambda s, d: shapes.shape_search(_order_boxes(s, d, 7), 2000000.0, 4000000.0, 2500000.0, 4500000.0).select("sid"),
     f"SELECT sid FROM {_BOXES.format(l=L, m=7)} WHERE x1 <= 2500000 AND 2000000 <= x2 AND y1 <= 4500000 AND 4000000 <= y2",
 )
+query(
+    "shape_window_rects_all",
+    lambda s, d: shapes.shape_search(_order_boxes(s, d, 1), 2000000.0, 4000000.0, 2500000.0, 4500000.0).select("sid"),
+    f"SELECT sid FROM {_BOXES.format(l=L, m=1)} WHERE x1 <= 2500000 AND 2000000 <= x2 AND y1 <= 4500000 AND 4000000 <= y2",
+)
+query("shape_intersects_rects_all", lambda s, d: shapes.shape_join(_order_boxes(s, d, 97), _order_boxes(s, d, 1), exact=False))
 query("shape_polyline_window", lambda s, d: shapes.shape_search(shapes.paths(pl.events(s, d, "user_id", "ts")), 600000.0, 900000.0, 700000.0, 1000000.0).select("sid"))
 
 
 def _paths_boxes(s: SparkSession, d: str) -> DataFrame:
-    lines = shapes.paths(pl.events(s, d, "user_id", "ts").where("user_id % 20 = 0"))
+    lines = shapes.paths(pl.events(s, d, "user_id", "ts"))
     boxes = s.createDataFrame([(i, 500000.0 * i, 200000.0, 500000.0 * i + 60000, 500000.0) for i in range(5)], "sid long, x1 double, y1 double, x2 double, y2 double")
     return shapes.shape_join(lines, boxes.select(*shapes.rect_shape(*(F.col(c) for c in ("sid", "x1", "y1", "x2", "y2")))), cell=300000.0)
 
