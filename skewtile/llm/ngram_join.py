@@ -5,18 +5,20 @@ groups of similar ones, each group keeps the union of its tokens, a query class'
 union bounds its overlap with every member, and only groups whose bound reaches the least overlap that a link
 needs are opened and compared member by member. No pair that could link is left out:
 
+* a link needs an overlap of t times the larger set at least, so two linked sets share the first tokens of their overlap among
+  the first tokens of each, in one order of all tokens: classes that share fewer of those with all others are left out;
+* of the others, those are left out whose tokens that any other one has are fewer than a link needs:
+  this is the bound against the union of all other groups;
 * two sets of sizes x <= y that link differ in at most r(x + y) tokens, r = (1 - t) / (1 + t), and y <= x / t;
 * token space is cut into m ranges of hash values, m above that difference, for each band of sizes, so two linked sets
   of neighbouring bands agree on at least one whole range; a signature hashes one range's tokens;
 * at least the slack of those ranges agree, of which as many may be empty as the class has gaps: classes that share fewer signatures with
   all others than the slack less the gaps, or none, are left out;
-* of the others, those are left out whose tokens that any other one has are fewer than a link needs:
-  this is the bound against the union of all other groups;
 * signatures that two of the rest share name the groups which a group's classes must be tried on. Ranges empty on both sides
   count as agreement too: classes with so many empty ranges that those alone might agree write them as well.
 
-Copies cost one row per signature and are folded into their class before any comparison. Groups and the query
-blocks sent to them are bounded in tokens, however many classes look alike.
+Copies are folded into their class before any comparison. A token that many classes of a task have leaves the task once, so no
+frequent token gathers its documents. Groups and the query blocks sent to them are bounded in tokens and classes, however many classes look alike.
 
 Cases: A-Z fold to a-z; null and empty texts have no shingles and link with nothing; texts
 shorter than a shingle count as one; rows of one doc_id are one document (rows with other texts under it are linked to it); a
@@ -35,10 +37,12 @@ from pyspark.sql import functions as F
 
 from skewtile.llm import tokens as tk
 from skewtile.llm.components import components
-from skewtile.llm.runs import bounded_runs, edges, shared
+from skewtile.llm.runs import bounded_runs, edges
 from skewtile.llm.scratch import drop_settled, settle, with_ids
 
-GROUP_TOKENS, GROUP_CLASSES, QUERY_TOKENS, EXPAND = 60_000, 256, 200_000, 1 << 21
+GROUP_TOKENS, GROUP_CLASSES, QUERY_TOKENS, QUERY_CLASSES, EXPAND = 60_000, 256, 200_000, 512, 1 << 21
+PAIRS, BLOCK_TOKENS = 1 << 20, 1 << 21
+"""Pairs of groups that a task holds, and tokens that it combines, at a time."""
 BROADCAST_IDS = 1 << 20
 """Ids of documents to read again that may be broadcast (8 MB); more are joined by a shuffle."""
 _S1, _S2, _S3 = (tk.U(x) for x in (0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3))
@@ -70,6 +74,11 @@ class Similarity:
         """The least intersection of linked sets of sizes x and y."""
         return -(-self.percent * (x + y) // (100 + self.percent))
 
+    def first_tokens(self, n: int) -> tuple[int, int]:
+        """(tokens of a set of n, in order, that are tried first; how many of them any set that links with it has among its own)."""
+        least = -(-self.percent * n // 100)
+        return min(n, n - least + max(1, n // 10)), max(1, least // 10)
+
 
 def shingle_sets(batch: pa.RecordBatch, k: int) -> Iterator[tuple[int, np.ndarray]]:
     """(row, sorted distinct shingle hashes) of each text with a word."""
@@ -111,58 +120,140 @@ def _sketch(sim: Similarity):
             for b in tk.slices(whole, "text"):
                 n = np.zeros(b.num_rows, np.int64)
                 k1, k2 = np.zeros(b.num_rows, np.uint64), np.zeros(b.num_rows, np.uint64)
-                need = np.ones(b.num_rows, np.int32)
-                sigs = [np.zeros(0, np.uint64)] * b.num_rows
+                first = [np.zeros(0, np.uint64)] * b.num_rows
                 for i, toks in shingle_sets(b, sim.words):
                     n[i], k1[i], k2[i] = len(toks), tk.mix(toks ^ _S2).sum(), tk.mix(toks ^ _S3).sum()
-                    sigs[i], need[i] = signatures(toks, sim)
-                at = pa.array(np.append(0, np.cumsum([len(s) for s in sigs])), pa.int32())
-                flat = pa.array(np.concatenate(sigs).view(np.int64))
+                    first[i] = toks[: sim.first_tokens(len(toks))[0]]
+                at = pa.array(np.append(0, np.cumsum([len(s) for s in first])), pa.int32())
+                flat = pa.array(np.concatenate(first).view(np.int64))
                 yield pa.RecordBatch.from_arrays(
-                    [b.column("doc_id"), pa.array(n), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), pa.array(need), pa.ListArray.from_arrays(at, flat)],
-                    ["doc_id", "n_shingles", "k1", "k2", "need", "sigs"],
+                    [b.column("doc_id"), pa.array(n), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), pa.ListArray.from_arrays(at, flat)],
+                    ["doc_id", "n_shingles", "k1", "k2", "first"],
                 )
 
     return run
 
 
-def _first_of_run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc, family): the smallest document of a signature, for each of its documents; rows come sorted by (sig, doc)."""
-    first = None
-    for (sig, doc), piece in bounded_runs(batches, ["sig", "doc"]):
-        at = edges(sig)
-        family = np.repeat(doc[at[:-1]], np.diff(at))
-        if piece == 0:
-            first = doc[0]
-        elif piece > 0:
-            family = np.full(len(doc), first)
-        order = np.lexsort((family, doc))
-        keep = order[np.append(True, doc[order][1:] != doc[order][:-1])]
-        yield pa.RecordBatch.from_arrays([pa.array(doc[keep]), pa.array(family[keep])], ["doc", "family"])
+def _combined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(tok, n, cls) of batches (cls, toks): a token that one class of a block has, with n = 0; one that several have, once, with
+    n = -1; and for each class how many of its tokens are of the latter kind, under its own hash, with that n."""
+
+    def flush(toks: np.ndarray, cls: np.ndarray) -> Iterator[pa.RecordBatch]:
+        order = np.lexsort((cls, toks))
+        toks, cls = toks[order], cls[order]
+        new = np.append(True, (toks[1:] != toks[:-1]) | (cls[1:] != cls[:-1]))
+        toks, cls = toks[new], cls[new]
+        at = edges(toks)
+        many = np.repeat(np.diff(at) > 1, np.diff(at))
+        who, n = np.unique(cls[many], return_counts=True)
+        once = at[:-1][np.diff(at) > 1]
+        own = tk.mix(who.view(np.uint64) ^ _S1).view(np.int64)
+        cols = (np.concatenate(x) for x in ((toks[~many], toks[once], own), (np.zeros((~many).sum(), np.int64), np.full(len(once), -1), n), (cls[~many], cls[once], who)))
+        yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["tok", "n", "cls"])
+
+    held, room = [], 0
+    for whole in batches:
+        for i in range(0, whole.num_rows, 1024):
+            b = whole.slice(i, 1024)
+            sets = b.column("toks")
+            size = np.diff(sets.offsets.to_numpy())
+            held.append((sets.flatten().to_numpy(), np.repeat(b.column("cls").to_numpy(), size)))
+            room += int(size.sum())
+            if room >= BLOCK_TOKENS:
+                yield from flush(*(np.concatenate(x) for x in zip(*held)))
+                held, room = [], 0
+    if room:
+        yield from flush(*(np.concatenate(x) for x in zip(*held)))
+
+
+def _credits(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(cls, has): tokens that a class shares with another one; rows come sorted by (tok, n, cls)."""
+    common, lone = False, None
+    for (tok, n, cls), piece in bounded_runs(batches, ["tok", "n", "cls"]):
+        passed = n > 0
+        out = [(cls[passed], n[passed])]
+        tok, n, cls = tok[~passed], n[~passed], cls[~passed]
+        if piece < 0:
+            if len(tok):
+                new = np.append(True, (tok[1:] != tok[:-1]) | (cls[1:] != cls[:-1]) | (n[1:] != n[:-1]))
+                tok, n, cls = tok[new], n[new], cls[new]
+                at = edges(tok)
+                shared_here = np.repeat((np.diff(at) > 1) | (n[at[:-1]] < 0), np.diff(at)) & (n == 0)
+                out.append((cls[shared_here], np.ones(shared_here.sum(), np.int64)))
+        else:
+            if piece == 0:
+                common, lone = False, None
+            common |= bool((n < 0).any())
+            cls = cls[n == 0]
+            cls = cls[np.append(True, cls[1:] != cls[:-1])] if len(cls) else cls
+            if lone is not None and len(cls) and cls[0] == lone:
+                cls = cls[1:]
+            if lone is not None and not common and len(cls):
+                common = True
+                out.append((np.array([lone]), np.ones(1, np.int64)))
+            if len(cls):
+                common |= len(cls) > 1
+                lone = cls[-1]
+                if common:
+                    out.append((cls, np.ones(len(cls), np.int64)))
+        who, has = (np.concatenate(x) for x in zip(*out))
+        if len(who):
+            who, code = np.unique(who, return_inverse=True)
+            yield pa.RecordBatch.from_arrays([pa.array(who), pa.array(np.bincount(code, weights=has).astype(np.int64))], ["cls", "has"])
+
+
+def shared_tokens(sets: DataFrame) -> DataFrame:
+    """(cls, has) of sets (cls, toks): the tokens of a class that another class has too, for classes with any. Rows that repeat a class may
+    count a token again."""
+    rows = sets.mapInArrow(_combined, "tok long, n long, cls long").repartition("tok").sortWithinPartitions("tok", "n", "cls")
+    return rows.mapInArrow(_credits, "cls long, has long").groupBy("cls").agg(F.sum("has").alias("has"))
+
+
+def _range_signatures(sim: Similarity):
+    """(doc, need, sigs) of rows (rep, toks)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for i in range(0, whole.num_rows, 1024):
+                b = whole.slice(i, 1024)
+                got = [signatures(x.values.to_numpy().view(np.uint64), sim) for x in b.column("toks")]
+                at = pa.array(np.append(0, np.cumsum([len(s) for s, _ in got])), pa.int32())
+                flat = pa.array(np.concatenate([s for s, _ in got]).view(np.int64))
+                yield pa.RecordBatch.from_arrays([b.column("rep"), pa.array([n for _, n in got], pa.int32()), pa.ListArray.from_arrays(at, flat)], ["doc", "need", "sigs"])
+
+    return run
 
 
 def _group_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(grp, target), target < grp: groups of which some members share a signature; rows come sorted by (sig, grp). Of an
-    unfinished run only the groups seen are carried."""
-    before = np.zeros(0, np.int64)
+    """(grp, target), target < grp: groups of which some members share a signature; rows come distinct and sorted by (sig, grp). PAIRS
+    pairs are held at a time; of an unfinished run only the groups seen are carried."""
+    before, held, room = np.zeros(0, np.int64), [], 0
+
+    def flush() -> pa.RecordBatch:
+        pairs = np.unique(np.concatenate(held), axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["grp", "target"])
+
+    def meet(low: np.ndarray, high: np.ndarray) -> Iterator[pa.RecordBatch]:
+        nonlocal held, room
+        held.append(np.stack([high, low], 1))
+        room += len(low)
+        if room >= PAIRS:
+            yield flush()
+            held, room = [], 0
+
     for (sig, grp), piece in bounded_runs(batches, ["sig", "grp"]):
-        new = np.append(True, (sig[1:] != sig[:-1]) | (grp[1:] != grp[:-1]))
-        sig, grp = sig[new], grp[new]
-        found = []
+        known = before if piece > 0 else before[:0]
+        for i in range(0, len(known), max(1, PAIRS // len(grp))):
+            part = known[i : i + max(1, PAIRS // len(grp))]
+            yield from meet(np.tile(part, len(grp)), np.repeat(grp, len(part)))
         if piece >= 0:
-            known = before if piece else np.zeros(0, np.int64)
-            own = grp[~np.isin(grp, known)]
-            runs = [(own, known)]
-            before = np.append(known, own)
-        else:
-            at = edges(sig)
-            runs = [(grp[a:b], grp[:0]) for a, b in zip(at, at[1:]) if b - a > 1]
-        for own, known in runs:
-            low, high = np.triu_indices(len(own), 1)
-            found += [np.stack([own[high], own[low]], 1), np.stack([np.repeat(own, len(known)), np.tile(known, len(own))], 1)]
-        if found:
-            pairs = np.unique(np.concatenate(found), axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(pairs.max(1)), pa.array(pairs.min(1))], ["grp", "target"])
+            before = np.append(known, grp)
+        at, step = np.arange(len(sig)), 1
+        while len(at := at[at + step < len(sig)]) and len(at := at[sig[at + step] == sig[at]]):  # pairs that stand `step` apart
+            yield from meet(grp[at], grp[at + step])
+            step += 1
+    if room:
+        yield flush()
 
 
 def _tokens(sim: Similarity):
@@ -172,21 +263,14 @@ def _tokens(sim: Similarity):
                 rows, sets = [], []
                 for i, toks in shingle_sets(b, sim.words):
                     rows.append(i)
-                    sets.append(toks.tobytes())
-                yield pa.RecordBatch.from_arrays([b.column("doc_id").take(pa.array(rows, pa.int64())), pa.array(sets, pa.binary())], ["rep", "tokens"])
+                    sets.append(toks.view(np.int64))
+                at = pa.array(np.append(0, np.cumsum([len(s) for s in sets])), pa.int32())
+                toks = pa.ListArray.from_arrays(at, pa.array(np.concatenate(sets) if sets else np.zeros(0, np.int64)))
+                yield pa.RecordBatch.from_arrays([b.column("doc_id").take(pa.array(rows, pa.int64())), toks], ["rep", "toks"])
 
     return run
 
 
-def _token_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        sets = [np.frombuffer(t, np.int64) for t in b.column("tokens").to_pylist()]
-        docs = b.column("rep").to_numpy()
-        for i in range(0, len(sets), 256):
-            part = sets[i : i + 256]
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(part)), pa.array(np.repeat(docs[i : i + 256], [len(s) for s in part]))], ["tok", "doc"])
-
-
 def _labels(a: np.ndarray, b: np.ndarray, n: int) -> np.ndarray:
     """Smallest reachable node of each of n nodes under edges a-b."""
     label = np.arange(n)
@@ -257,7 +341,7 @@ def _open(sim: Similarity):
     def run(table: pa.Table) -> pa.Table:
         table = table.combine_chunks()
         get = lambda c: table.column(c).to_numpy()
-        sets = [np.frombuffer(x, np.uint64) for x in table.column("tokens").to_pylist()]
+        sets = [x.values.to_numpy().view(np.uint64) for x in table.column("toks")]
         member = get("member").astype(bool)
         out = ([], [], [])
         if member.any() and not member.all():
@@ -273,56 +357,58 @@ def _few(ids: DataFrame) -> DataFrame:
     return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
 
 
+def _classes(sketch: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(rep, cls, n, weight) of each class of equal sets, and (doc_id, n_shingles, rep, weight) of each document."""
+    light = sketch.select("doc_id", "n_shingles", "k1", "k2")
+    classes = light.where("n_shingles > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.countDistinct("doc_id").alias("weight"), F.first("n_shingles").alias("n"))
+    classes = settle(classes, "classes")
+    told = classes.select(F.col("k1").alias("_k1"), F.col("k2").alias("_k2"), "rep", "weight")
+    member = light.join(told, (F.col("k1") == F.col("_k1")) & (F.col("k2") == F.col("_k2")) & (F.col("n_shingles") > 0), "left")
+    return classes.select("rep", F.col("k1").alias("cls"), "n", "weight"), settle(member.select("doc_id", "n_shingles", "rep", "weight"), "members")
+
+
 def join_documents(docs: DataFrame, sim: Similarity = Similarity()) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable by links, itself included), n_links (documents it links with)."""
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    sketch = settle(rows.mapInArrow(_sketch(sim), "doc_id long, n_shingles long, k1 long, k2 long, need int, sigs array<long>"), "sketch")
-    light = sketch.select("doc_id", "n_shingles", "k1", "k2", "need")
-    classes = light.where("n_shingles > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.countDistinct("doc_id").alias("weight"), F.first("n_shingles").alias("n"), F.first("need").alias("need"))
-    classes = settle(classes, "classes")
-    member = light.join(classes.select(F.col("k1").alias("_k1"), F.col("k2").alias("_k2"), "rep", "weight"), (F.col("k1") == F.col("_k1")) & (F.col("k2") == F.col("_k2")) & (F.col("n_shingles") > 0), "left")
-    member = settle(member.select("doc_id", "n_shingles", "rep", "weight"), "members")
-
-    by_sig = sketch.where("doc_id is not null").select(F.explode("sigs").alias("sig"), F.col("doc_id").alias("doc")).repartition("sig").sortWithinPartitions("sig", "doc")
-    lists = settle(by_sig.mapInArrow(shared("sig", False), "sig long, doc long"), "lists")
-    drop_settled(sketch)
-    alias = member.where("doc_id <> rep").select(F.col("doc_id").alias("_doc"), F.col("rep").alias("_rep"))
-    lists = lists.join(alias, F.col("doc") == F.col("_doc"), "left").select("sig", F.coalesce("_rep", "doc").alias("doc"))
-    lists = lists.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(shared("sig", False), "sig long, doc long")
-    lists = settle(lists, "lists")
-
-    size = classes.groupBy(F.col("rep").alias("_r")).agg(F.max("n").alias("n"), F.max("weight").alias("weight"), F.min("need").alias("need"))
-    live = lists.groupBy("doc").agg(F.count(F.lit(1)).alias("has")).join(size, F.col("doc") == F.col("_r")).where("has >= need")
-    sets = settle(rows.join(_few(live.select(F.col("doc").alias("_w"))), F.col("doc_id") == F.col("_w"), "left_semi").mapInArrow(_tokens(sim), "rep long, tokens binary"), "sets")
-    common = sets.mapInArrow(_token_rows, "tok long, doc long").repartition("tok").sortWithinPartitions("tok", "doc")
-    common = common.mapInArrow(shared("tok", False), "tok long, doc long").groupBy("doc").agg(F.count(F.lit(1)).alias("has"))
+    sketch = settle(rows.mapInArrow(_sketch(sim), "doc_id long, n_shingles long, k1 long, k2 long, first array<long>"), "sketch")
+    classes, member = _classes(sketch)
     t = sim.percent
-    least = f"({t} * (n + ({t} * n + 99) div 100) + {99 + t}) div {100 + t}"
-    alive = settle(common.join(size, F.col("doc") == F.col("_r")).where(F.col("has") >= F.expr(least)).select("doc", "n", "weight"), "alive")
-    lists = lists.join(_few(alive.select(F.col("doc").alias("_w"))), F.col("doc") == F.col("_w"), "left_semi")
-    lists = settle(lists.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(shared("sig", False), "sig long, doc long"), "lists")
+    least = f"(({t} * n + 99) div 100)"
 
-    family = lists.repartition("sig").sortWithinPartitions("sig", "doc").mapInArrow(_first_of_run, "doc long, family long").groupBy("doc").agg(F.min("family").alias("family"))
-    family = family.join(alive, "doc")
+    tried = shared_tokens(sketch.where("n_shingles > 0 AND doc_id is not null").select(F.col("k1").alias("cls"), F.col("first").alias("toks")))
+    live = classes.join(tried, "cls").where(f"rep is not null AND has >= greatest(1, {least} div 10)")
+    sets = settle(rows.join(_few(live.select(F.col("rep").alias("_w"))), F.col("doc_id") == F.col("_w"), "left_semi").mapInArrow(_tokens(sim), "rep long, toks array<long>"), "sets")
+    drop_settled(sketch)
+    size = classes.groupBy("rep").agg(F.max("n").alias("n"), F.min("n").alias("n_least"), F.max("weight").alias("weight"))  # several texts may have one doc_id
+    common = shared_tokens(sets.select(F.col("rep").alias("cls"), "toks")).withColumnRenamed("cls", "rep")
+    alive = common.join(size, "rep").withColumn("n", F.col("n_least")).where(F.expr(f"has >= ({t} * (n + {least}) + {99 + t}) div {100 + t}"))
+    sets = settle(sets.join(_few(alive.select(F.col("rep").alias("_w"))), F.col("rep") == F.col("_w"), "left_semi"), "sets")
+
+    signed = sets.mapInArrow(_range_signatures(sim), "doc long, need int, sigs array<long>").select("doc", "need", F.explode("sigs").alias("sig"))
+    signed = settle(signed, "signatures")
+    firsts = signed.groupBy("sig").agg(F.min("doc").alias("family"), F.max("doc").alias("_last")).where("family < _last").select(F.col("sig").alias("_sig"), "family")
+    lists = settle(signed.join(firsts, F.col("sig") == F.col("_sig")).select("sig", "doc", "need", "family"), "lists")
+    family = lists.groupBy("doc").agg(F.countDistinct("sig").alias("has"), F.min("need").alias("need"), F.min("family").alias("family")).where("has >= need")
+    family = family.join(size, F.col("doc") == F.col("rep")).select("doc", "family", "n", "weight")
     family = settle(family.withColumn("bin", F.floor(F.log2("n") * 8).cast("int")), "family")
     bins = family.groupBy(F.col("family").alias("_f"), F.col("bin").alias("_b")).agg(F.greatest(F.ceil(F.sum("n") / GROUP_TOKENS), F.ceil(F.count(F.lit(1)) / GROUP_CLASSES)).alias("parts"))
     grouped = family.join(bins, (F.col("family") == F.col("_f")) & (F.col("bin") == F.col("_b")))
     grouped = grouped.withColumn("grp", F.xxhash64("family", "bin", F.pmod(F.xxhash64("doc"), F.col("parts"))))
     grouped = settle(grouped.select("doc", "grp", "n", "weight"), "groups")
 
-    labelled = lists.join(grouped.select(F.col("doc").alias("_d"), "grp"), F.col("doc") == F.col("_d")).select("sig", "grp")
+    labelled = lists.join(grouped.select(F.col("doc").alias("_d"), "grp"), F.col("doc") == F.col("_d")).select("sig", "grp").distinct()
     pairs = labelled.repartition("sig").sortWithinPartitions("sig", "grp").mapInArrow(_group_pairs, "grp long, target long").distinct()
     own = grouped.select("doc", F.col("grp").alias("target"), "n", "weight", F.lit(True).alias("own"))
     tries = own.unionByName(grouped.join(pairs, "grp").select("doc", "target", "n", "weight", F.lit(False).alias("own")))
     tries = settle(tries, "tries")
-    blocks = tries.groupBy(F.col("target").alias("_t")).agg(F.ceil(F.sum("n") / QUERY_TOKENS).alias("blocks"))
+    blocks = tries.groupBy(F.col("target").alias("_t")).agg(F.greatest(F.ceil(F.sum("n") / QUERY_TOKENS), F.ceil(F.count(F.lit(1)) / QUERY_CLASSES)).alias("blocks"))
     asking = tries.join(blocks, F.col("target") == F.col("_t")).select(
         "doc", "target", F.pmod(F.xxhash64("doc"), F.col("blocks")).alias("block"), "weight", "own", F.lit(False).alias("member"))
     holding = grouped.join(blocks, F.col("grp") == F.col("_t")).select(
         "doc", F.col("grp").alias("target"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"), "weight", F.lit(True).alias("own"), F.lit(True).alias("member"))
     work = asking.unionByName(holding)
 
-    opened = work.join(sets, F.col("doc") == F.col("rep")).select("target", "block", "rep", "weight", "own", "member", "tokens")
+    opened = work.join(sets, F.col("doc") == F.col("rep")).select("target", "block", "rep", "weight", "own", "member", "toks")
     found = settle(opened.groupBy("target", "block").applyInArrow(_open(sim), "node long, root long, links long"), "links")
 
     part = components(found.select(F.col("node").alias("u"), F.col("root").alias("v")))
