@@ -8,8 +8,8 @@ the target; copies never pass the rounded-up expectation, which is 3 at most.
 
 Cases: a null text has size 0 and is emitted like others; a null source is a source of its own and
 comes last; a source without words has target 0 and takes nothing; repeated rows are documents of
-their own; an empty table gives no rows; columns named as ours in the input are ignored by
-mix_sources and kept by take_copies.
+their own, and copies of equal rows are shared among them; an empty table gives no rows; columns named as ours in
+the input are ignored by mix_sources and kept by take_copies.
 """
 
 from __future__ import annotations
@@ -54,9 +54,19 @@ def offset(source: Column, seed: int) -> Column:
     return F.conv(F.substring(told, 1, 8), 16, 10).cast("double") / F.lit(2.0**32)
 
 
+def _row_key(doc_id: Column, source: Column, text: Column) -> Column:
+    """Equal for equal rows, whatever their other columns."""
+    return F.xxhash64(doc_id, source, text)
+
+
 def mix_sources(docs: DataFrame, seed: int = 7, weights: tuple[float, ...] = (1, 2, 3)) -> DataFrame:
     """doc_id, source, size, source_size, target, copies, taken; one row per document."""
-    light = docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), F.xxhash64("doc_id", "text").alias("_tie"))
+    return _mixed(docs, seed, weights).drop("_tie")
+
+
+def _mixed(docs: DataFrame, seed: int, weights: tuple[float, ...]) -> DataFrame:
+    """mix_sources and each row's key."""
+    light = docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), _row_key(F.col("doc_id"), F.col("source"), F.col("text")).alias("_tie"))
     light = settle(light, "sizes")  # range partitioning reads its input twice: the texts once only
     place = ranked(light, "source", ["size", F.md5(F.col("doc_id").cast("string")), "_tie"], "rank")
     sizes = place.groupBy("source").agg(F.sum("size").alias("source_size"))
@@ -66,13 +76,17 @@ def mix_sources(docs: DataFrame, seed: int = 7, weights: tuple[float, ...] = (1,
     u = offset(F.col("source"), seed)
     passed = F.floor(u + share * (F.col("rank") + 1)) - F.floor(u + share * F.col("rank"))
     out = out.withColumn("copies", passed.cast("long"))
-    return out.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+    return out.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"), "_tie")
 
 
 def take_copies(docs: DataFrame, seed: int = 7, weights: tuple[float, ...] = (1, 2, 3)) -> DataFrame:
-    """The mix itself: each document's row as many times as it was emitted. doc_id must name one row."""
-    plan = mix_sources(docs, seed, weights).where("copies > 0").select(F.col("doc_id").alias("_mixed"), F.col("copies").alias("_times"))
+    """The mix itself: each document's row as many times as it was emitted. The copies of equal rows are dealt evenly among them, as
+    the sample can't tell them apart."""
+    plan = _mixed(docs, seed, weights).groupBy(F.col("_tie").alias("_mixed")).agg(F.sum("copies").alias("_copies"), F.count(F.lit(1)).alias("_rows")).where("_copies > 0")
     own = docs.select(F.struct(*(docs[c] for c in docs.columns)).alias("_doc"))  # so that no name can clash
-    taken = own.join(plan, F.col("_doc.doc_id").eqNullSafe(F.col("_mixed")))
-    taken = taken.select("_doc", F.explode(F.sequence(F.lit(1), F.col("_times").cast("int"))).alias("_copy"))
+    own = own.withColumn("_own", _row_key(F.col("_doc.doc_id"), F.col("_doc.source"), F.col("_doc.text")))
+    taken = own.join(plan, F.col("_own") == F.col("_mixed"))
+    turn = F.row_number().over(Window.partitionBy("_own").orderBy("_own"))  # the join's own partitioning and order
+    taken = taken.withColumn("_turn", turn).withColumn("_times", F.floor(F.col("_copies") / F.col("_rows")) + (F.col("_turn") <= F.col("_copies") % F.col("_rows")).cast("int"))
+    taken = taken.where("_times > 0").select("_doc", F.explode(F.sequence(F.lit(1), F.col("_times").cast("int"))).alias("_copy"))
     return taken.select("_doc.*")
