@@ -76,12 +76,12 @@ dup AS (SELECT doc_id, count(*) - count(DISTINCT line) AS n_dup_lines FROM lines
 g AS (SELECT doc_id, i, md5_number(array_to_string(ws[i:i+2], ' ')) AS h FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 1)) AS i FROM w)),
 two AS (SELECT doc_id, h FROM g GROUP BY doc_id, h HAVING count(*) > 1),
 rep AS (SELECT doc_id, count(DISTINCT j) AS n FROM (SELECT g.doc_id, unnest([i, i + 1, i + 2]) AS j FROM g JOIN two ON two.doc_id = g.doc_id AND two.h = g.h) GROUP BY doc_id),
-per AS (SELECT host, count(DISTINCT text) AS texts FROM d GROUP BY host),
-hot AS (SELECT l.host, l.norm FROM lines l JOIN per ON per.host IS NOT DISTINCT FROM l.host WHERE n > 0 GROUP BY l.host, l.norm, texts HAVING count(DISTINCT text) > 10 AND count(DISTINCT text) > 0.05 * texts),
+per AS (SELECT host, count(DISTINCT doc_id) AS docs FROM d GROUP BY host),
+hot AS (SELECT l.host, l.norm FROM lines l JOIN per ON per.host IS NOT DISTINCT FROM l.host WHERE n > 0 GROUP BY l.host, l.norm, docs HAVING count(DISTINCT doc_id) > 10 AND count(DISTINCT doc_id) > 0.05 * docs),
 gone AS (SELECT l.doc_id, sum(l.n) AS b FROM lines l JOIN hot ON hot.host IS NOT DISTINCT FROM l.host AND hot.norm = l.norm GROUP BY l.doc_id)
 SELECT c.doc_id, CAST(n_words AS BIGINT) AS n_words, word_chars, CAST(n_symbols AS BIGINT) AS n_symbols, coalesce(n_dup_lines, 0) AS n_dup_lines, coalesce(rep.n, 0) AS n_repeat_words,
   (n_words < 50 OR 100 * coalesce(rep.n, 0) > 50 * n_words) AS base_failed, CAST(coalesce(b, 0) AS BIGINT) AS n_boilerplate_words,
-  NOT (n_words < 50 OR 100 * coalesce(rep.n, 0) > 50 * n_words) AND n_words - coalesce(b, 0) >= 0.2 * n_words AS kept
+  NOT (n_words < 50 OR 100 * coalesce(rep.n, 0) > 50 * n_words) AND n_words - coalesce(b, 0) >= 50 AND n_words - coalesce(b, 0) >= 0.2 * n_words AS kept
 FROM c LEFT JOIN dup ON dup.doc_id = c.doc_id LEFT JOIN rep ON rep.doc_id = c.doc_id LEFT JOIN gone ON gone.doc_id = c.doc_id"""
 
 ORACLE_SQL = {"op2_chat": OP2, "op3_ngram_join": OP3, "op4_urls": OP4, "op5_warc": OP5, "op7_substring_dedup": OP7, "op8_mixing": OP8, "op9_quality": OP9}

@@ -1,12 +1,12 @@
 """Quality rules: counts within a text, and line frequency across the documents of a host.
 
 Lines are normalised (A-Z lower-cased, white space folded) and hashed; each (host, line) counts the
-distinct texts that hold it, so copies of one document count once. A line above the limit of its host is
-boilerplate: it is taken out of the text, and a document left with too small a part of its words is rejected.
+distinct documents that hold it. A line above the limit of its host is boilerplate: it is taken out of the text, and a
+document left with too few words, or too small a part of them, is rejected.
 
 Cases: a null or empty text has no words and fails the base rule; a null host is a host of its own;
-repeated rows are judged alike and count as one text; lines without words count nowhere; an empty
-table gives no rows; of the input only doc_id, text and the host column are read.
+rows of one doc_id are judged each and count as one document of their host, as do those without one; lines without words count
+nowhere; an empty table gives no rows; of the input only doc_id, text and the host column are read.
 """
 
 from __future__ import annotations
@@ -29,7 +29,7 @@ _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
 _HEAD = (~_SPACE & ((np.arange(256) & 0xC0) != 0x80)).astype(np.int64)
 
-SCHEMA = "doc_id long, host string, text_key long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, lines array<long>, line_words array<int>"
+SCHEMA = "doc_id long, host string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, lines array<long>, line_words array<int>"
 
 
 @dataclass(frozen=True)
@@ -37,11 +37,11 @@ class Rules:
     min_words: int = 50
     repeat_percent: int = 50
     line_share: float = 0.05
-    """A line is boilerplate in a host when more than this share of the host's distinct texts hold it,"""
+    """A line is boilerplate in a host when more than this share of the host's documents hold it,"""
     line_least: int = 10
     """and more than this many."""
     keep_share: float = 0.2
-    """Documents left with less than this share of their words are rejected."""
+    """Documents left with less than this share of their words, or fewer than min_words, are rejected."""
 
 
 def _sums(values: np.ndarray, off: np.ndarray) -> np.ndarray:
@@ -76,10 +76,9 @@ def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             starts, ends, first = tk.word_spans(raw, off)
             words = tk.word_hashes(raw, starts, ends, lower=False)
             data = raw.tobytes()
-            keys, dup, lines, counts, at = np.zeros(b.num_rows, np.int64), np.zeros(b.num_rows, np.int64), [], [], [0]
+            dup, lines, counts, at = np.zeros(b.num_rows, np.int64), [], [], [0]
             for i in range(b.num_rows):
                 text = data[off[i] : off[i + 1]]
-                keys[i] = xxhash.xxh64_intdigest(text) - 2**63
                 seen, own = set(), {}
                 for line in text.split(b"\n"):
                     if parts := line.split():
@@ -94,11 +93,11 @@ def _measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             at = pa.array(at, pa.int32())
             yield pa.RecordBatch.from_arrays(
                 [
-                    b.column("doc_id").cast(pa.int64()), b.column("host").cast(pa.string()), pa.array(keys),
+                    b.column("doc_id").cast(pa.int64()), b.column("host").cast(pa.string()),
                     pa.array(np.diff(first)), pa.array(_sums(_HEAD[raw], off)), pa.array(_sums(_SYMBOL[raw], off)), pa.array(dup), pa.array(_repeated(words, first)),
                     pa.ListArray.from_arrays(at, pa.array(lines, pa.int64())), pa.ListArray.from_arrays(at, pa.array(counts, pa.int32())),
                 ],
-                ["doc_id", "host", "text_key", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "lines", "line_words"],
+                ["doc_id", "host", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "lines", "line_words"],
             )
 
 
@@ -109,13 +108,14 @@ def measure(docs: DataFrame, host: str = "source") -> DataFrame:
 
 
 def boilerplate(measured: DataFrame, rules: Rules = Rules()) -> DataFrame:
-    """(host, line, n_texts) of the lines above their host's limit."""
-    texts = measured.groupBy("host", "text_key").agg(F.first("lines").alias("lines"))
-    per_host = texts.groupBy(F.col("host").alias("_host")).agg(F.count(F.lit(1)).alias("texts"))
-    lines = texts.select("host", F.explode("lines").alias("line")).groupBy("host", "line").agg(F.count(F.lit(1)).alias("n_texts"))
-    lines = lines.where(F.col("n_texts") > rules.line_least)
+    """(host, line, n_docs) of the lines above their host's limit. Documents are gathered by doc_id, then lines are counted with
+    partial counts before the shuffle, so neither a large host nor a frequent line is one task."""
+    docs = measured.groupBy("host", "doc_id").agg(F.array_distinct(F.flatten(F.collect_list("lines"))).alias("lines"))
+    per_host = docs.groupBy(F.col("host").alias("_host")).agg(F.count(F.lit(1)).alias("docs"))
+    lines = docs.select("host", F.explode("lines").alias("line")).groupBy("host", "line").agg(F.count(F.lit(1)).alias("n_docs"))
+    lines = lines.where(F.col("n_docs") > rules.line_least)
     out = lines.join(per_host, F.col("host").eqNullSafe(F.col("_host")))
-    return out.where(F.col("n_texts") > rules.line_share * F.col("texts")).select("host", "line", "n_texts")
+    return out.where(F.col("n_docs") > rules.line_share * F.col("docs")).select("host", "line", "n_docs")
 
 
 def _judged(docs: DataFrame, rules: Rules, host: str) -> DataFrame:
@@ -131,7 +131,7 @@ def _judged(docs: DataFrame, rules: Rules, host: str) -> DataFrame:
     failed = (F.col("n_words") < rules.min_words) | (100 * F.col("n_repeat_words") > rules.repeat_percent * F.col("n_words"))
     left = F.col("n_words") - F.col("n_boilerplate_words")
     out = out.withColumn("base_failed", failed)
-    return out.withColumn("kept", ~failed & (left >= rules.keep_share * F.col("n_words")))
+    return out.withColumn("kept", ~failed & (left >= rules.min_words) & (left >= rules.keep_share * F.col("n_words")))
 
 
 def judge(docs: DataFrame, rules: Rules = Rules(), host: str = "source") -> DataFrame:
