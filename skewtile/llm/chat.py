@@ -4,7 +4,8 @@ Grammar of the rendered text: conversation := turn*, turn := START role NL text
 is deterministic: it cuts at START, reads the role up to the first NL and the text up to the first
 END, and then asks for exactly NL. A turn is rendered as it is; if parsing gives another turn than
 the source, control strings in its text get one more backslash behind their first character, and
-parsing takes one away, so any number of backslashes in a source survives.
+parsing takes one away, so any number of backslashes in a source survives. One such round makes every turn come back
+identical, as an escaped text holds no control string; round_trip tells it of the whole conversation.
 
 Cases: a null text or role counts as empty; turns of one conversation go by turn (null first), then
 role, then text; repeated rows are turns of their own; a null conv_id is a conversation; an empty
@@ -100,10 +101,15 @@ def format_conversations(turns: DataFrame, trained_roles: tuple[str, ...] = ("as
     return whole.select("conv_id", "formatted", "loss_spans", "turns", "n_escaped", (back == there).alias("round_trip"))
 
 
-def digests(formatted: DataFrame, trained_roles: tuple[str, ...] = ("assistant",)) -> DataFrame:
+def masked_texts(formatted: Column, loss_spans: Column) -> Column:
+    """The texts under the loss mask: its slices of the rendered conversation, unescaped."""
+    return F.transform(loss_spans, lambda s: unescape(F.substring(formatted, (s["start"] + 1).cast("int"), (s["end"] - s["start"]).cast("int"))))
+
+
+def digests(formatted: DataFrame) -> DataFrame:
     """What is read back from the rendered text: counts and hashes of the turns and of the text under the loss mask."""
     told = F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
-    loss = F.array_join(F.transform(F.filter("turns", lambda t: t["role"].isin(*trained_roles)), lambda t: t["text"]), "")
+    loss = F.array_join(masked_texts(F.col("formatted"), F.col("loss_spans")), "")
     return formatted.select(
         "conv_id",
         F.size("turns").cast("long").alias("n_turns"),

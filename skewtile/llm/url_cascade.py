@@ -7,7 +7,7 @@ parity of the first level that stops it, so judging a URL reads literals and nee
 
 Cases: a null url, or one without "://", has an empty host and path and takes the verdict of the
 empty key; ties of rules can't be (a rule is its string); repeated rows are judged alike; an empty
-table gives no rows; an empty list gives a cascade that lists nothing.
+table gives no rows; an empty list gives a cascade that lists nothing. A list too large for literals is joined instead.
 """
 
 from __future__ import annotations
@@ -81,7 +81,7 @@ class Cascade:
 
 
 class CascadeTooLarge(ValueError):
-    """The list needs more filter bytes than may be sent to every task; use a left semi join instead."""
+    """The list needs more filter bytes than may be sent to every task; judge_listed joins with it then."""
 
 
 def build_level(keys: DataFrame, n: int, bits_per_key: float, seed: int, most_bytes: int) -> Level:
@@ -115,9 +115,26 @@ def build_cascade(listed: DataFrame, universe: DataFrame, bits_per_key: float =
     return Cascade(tuple(levels))
 
 
-def judge_urls(pages: DataFrame, rules: list[tuple[str, str]], cascade: Cascade) -> DataFrame:
-    """page_id, host, path, rule, listed, verdict: the longest fitting rule's verdict, else block for listed hosts."""
-    sites = pages.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
+def _sites(pages: DataFrame) -> DataFrame:
+    return pages.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
+
+
+def _judged(sites: DataFrame, rules: list[tuple[str, str]]) -> DataFrame:
     rule, said = longest_rule(F.col("host"), F.col("path"), rules)
-    sites = sites.withColumn("listed", cascade.contains(F.col("host")))
     return sites.select("page_id", "host", "path", rule.alias("rule"), "listed", F.coalesce(said, F.when(F.col("listed"), F.lit("block")).otherwise(F.lit("allow"))).alias("verdict"))
+
+
+def judge_urls(pages: DataFrame, rules: list[tuple[str, str]], cascade: Cascade) -> DataFrame:
+    """page_id, host, path, rule, listed, verdict: the longest fitting rule's verdict, else block for listed hosts."""
+    return _judged(_sites(pages).withColumn("listed", cascade.contains(F.col("host"))), rules)
+
+
+def judge_listed(pages: DataFrame, rules: list[tuple[str, str]], listed: DataFrame, universe: DataFrame, **options) -> DataFrame:
+    """judge_urls with the cascade of the list; a list that no cascade of the allowed size holds is joined with the pages' distinct hosts."""
+    try:
+        return judge_urls(pages, rules, build_cascade(listed, universe, **options))
+    except CascadeTooLarge:
+        sites = _sites(pages)
+        bad = sites.select(F.col("host").alias("_host")).distinct().join(listed.toDF("_host").distinct(), "_host", "left_semi")
+        sites = sites.join(bad, F.col("host") == F.col("_host"), "left")
+        return _judged(sites.select("page_id", "host", "path", F.col("_host").isNotNull().alias("listed")), rules)

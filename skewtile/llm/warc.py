@@ -24,7 +24,7 @@ from collections.abc import Iterator
 
 import pyarrow as pa
 import pyarrow.fs as pafs
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceArrowWriter, DataSourceReader, EqualTo, In, InputPartition, WriterCommitMessage
 
@@ -317,11 +317,14 @@ def register(spark: SparkSession) -> None:
 def with_revisits(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     """page_id, url, html, refers_to: for all but the smallest page_id of equal payloads, that smallest page_id."""
     rows = pages.select(F.col("page_id").cast("long"), F.col("url").cast("string"), F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html"))
-    keyed = rows.withColumn("_sha", F.sha1(F.encode("html", "UTF-8")))
-    same = keyed.where(F.octet_length("html") >= least_bytes).groupBy(F.col("_sha").alias("_of")).agg(F.min("page_id").alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").drop("_n")
-    joined = keyed.join(same, F.col("_sha") == F.col("_of"), "left")
-    again = F.col("_first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("_first"))
-    return joined.select("page_id", "url", "html", F.when(again, F.col("_first")).alias("refers_to"))
+    sha = F.sha1(F.encode("html", "UTF-8"))
+    light = rows.where(F.octet_length("html") >= least_bytes).select("page_id", sha.alias("_sha"))
+    same = light.groupBy(F.col("_sha").alias("_of")).agg(F.min("page_id").alias("_first"), F.count(F.lit(1)).alias("_n")).where("_n > 1").drop("_n")
+    again = light.join(same, F.col("_sha") == F.col("_of")).where(~F.col("page_id").eqNullSafe(F.col("_first")) & F.col("_first").isNotNull())
+    again = again.select(F.col("page_id").alias("_page"), F.col("_of"), "_first").distinct()
+    # pages meet their verdict by page and payload, so the many copies of one payload do not meet in one task
+    joined = rows.withColumn("_sha", sha).join(again, F.col("page_id").eqNullSafe(F.col("_page")) & (F.col("_sha") == F.col("_of")), "left")
+    return joined.select("page_id", "url", "html", F.col("_first").alias("refers_to"))
 
 
 def write_archive(pages: DataFrame, path: str, least_bytes: int = 0) -> None:
@@ -339,18 +342,18 @@ def read_archive(spark: SparkSession, path: str, pushdown: bool = False, **optio
     return spark.read.format("warc").options(**options).load(path)
 
 
+def base32(sha1_hex: Column) -> Column:
+    """The upper-case base32 form of a hexadecimal SHA-1."""
+    eight = lambda i: F.lpad(F.conv(F.substring(sha1_hex, 10 * i + 1, 10), 16, 32), 8, "0")
+    return F.translate(F.concat(*(eight(i) for i in range(4))), "0123456789ABCDEFGHIJKLMNOPQRSTUV", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567")
+
+
 def round_trip(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
-    """Writes the pages as an archive in the shared folder and reads it back: page_id, http_length, payload_digest,
-    record_type, refers_to, and what the stored payload itself has: stored_bytes and sha1_hex."""
+    """Writes the pages as an archive in the shared folder and reads it back by two predicates: page_id, payload_bytes, payload_digest, record_type,
+    refers_to. Responses tell what their payload as read has; revisits, of which headers alone are decoded, what they state."""
     path = new_path(pages.sparkSession, "warc")
     write_archive(pages, path, least_bytes)
-    back = read_archive(pages.sparkSession, path)
-    return back.select(
-        "page_id",
-        "http_length",
-        F.octet_length("payload").cast("long").alias("stored_bytes"),
-        "payload_digest",
-        F.sha1("payload").alias("sha1_hex"),
-        "record_type",
-        "refers_to",
-    )
+    whole = read_archive(pages.sparkSession, path, record_type="response")
+    whole = whole.select("page_id", F.octet_length("payload").cast("long").alias("payload_bytes"), base32(F.sha1("payload")).alias("payload_digest"), "record_type", "refers_to")
+    heads = read_archive(pages.sparkSession, path, record_type="revisit", payload="false")
+    return whole.unionByName(heads.select("page_id", F.col("http_length").alias("payload_bytes"), "payload_digest", "record_type", "refers_to"))
