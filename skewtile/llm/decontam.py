@@ -3,8 +3,9 @@
 Texts and items are normalised alike (lower case, runs of other characters than letters and digits to
 one space). An item of m characters occurring with at most e edits shares at least
 m - q + 1 - q * e of its q-grams, whose diagonals (place in the text less place in the item) spread by at
-most e. Diagonals fall into overlapping bands of width 2(e + 1), so one band holds them all; bands
-with enough shared q-grams are aligned within their diagonals, and the edits counted.
+most e. Diagonals fall into overlapping bands of width 2(e + 1), so one band holds them all; bands in which enough
+places of the text share a q-gram are kept, neighbouring ones as one region of bounded width, and regions are aligned within their
+diagonals and the edits counted. Shared q-grams are counted in pieces of bounded size, however often text and items repeat themselves.
 
 The benchmark is the stated query set: it is sent to the tasks in blocks of bounded size, every
 block against all documents. Items too short for the lemma (under q + 1 characters at the given rate) are looked
@@ -33,9 +34,11 @@ Q = 12
 RATE = 0.05
 BLOCK_CHARS = 1 << 22
 """Normalised benchmark characters that go to the tasks at once."""
+PIECE, REGION = 1 << 19, 1 << 14
+"""Pairs of equal q-grams that are held at once, and diagonals that are aligned at once."""
 _OTHER = re.compile(r"[\W_]+")
 _B, _B2, _B4 = (np.uint64(pow(0x9E3779B97F4A7C15, k, 2**64)) for k in (1, 2, 4))
-_BITS = 22
+_BITS, _BAND_BITS = 22, 40
 SCHEMA = "doc_id long, item_id long, start long, end long, edits int"
 
 
@@ -104,6 +107,7 @@ class Block:
     gram_at: np.ndarray
     gram_item: np.ndarray
     gram_place: np.ndarray
+    long_enough: np.ndarray
     short: list[int]
 
     @classmethod
@@ -119,11 +123,11 @@ class Block:
         grams, first = np.unique(every[order], return_index=True)
         return cls(
             np.array([i for i, _ in rows], np.int64), items, [t for _, t in rows], budgets, sizes - Q + 1 - Q * budgets,
-            grams, np.append(first, len(every)), item[order], place[order], [i for i, c in enumerate(items) if len(c) < Q + 1],
+            grams, np.append(first, len(every)), item[order], place[order], sizes > Q, [i for i, c in enumerate(items) if len(c) <= Q],
         )
 
     def bands(self, text_codes: np.ndarray, flags: np.ndarray) -> Iterator[tuple[int, int, int]]:
-        """(item, first diagonal, last diagonal) of the bands with enough shared q-grams."""
+        """(item, first diagonal, last diagonal) of the regions with enough shared q-grams, diagonals ascending for each item."""
         h = q_grams(text_codes)
         maybe = np.flatnonzero(flags[h >> np.uint64(64 - _BITS)])
         if not len(maybe) or not len(self.grams):
@@ -132,20 +136,49 @@ class Block:
         g[g == len(self.grams)] = 0
         hit = self.grams[g] == h[maybe]
         maybe, g = maybe[hit], g[hit]
-        n = self.gram_at[g + 1] - self.gram_at[g]
-        if not n.sum():
+        total = np.append(0, np.cumsum(self.gram_at[g + 1] - self.gram_at[g]))
+        if not total[-1]:
             return
+        longest = max(len(self.items[i]) for i in np.unique(self.gram_item)) + Q
+        open_keys, open_counts = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        region: dict[int, list[int]] = {}
+        at = 0
+        while at < len(maybe):
+            to = max(at + 1, int(np.searchsorted(total, total[at] + PIECE, "right")) - 1)
+            keys, counts = self._counted(maybe[at:to], g[at:to])
+            open_keys, code = np.unique(np.concatenate([open_keys, keys]), return_inverse=True)
+            open_counts = np.bincount(code, weights=np.concatenate([open_counts, counts])).astype(np.int64)
+            item, band = open_keys >> _BAND_BITS, (open_keys & ((1 << _BAND_BITS) - 1)) - (1 << (_BAND_BITS - 1))
+            step = self.budgets[item] + 1
+            # later places of the text have diagonals above their own place less the longest item
+            done = (band + 2) * step <= maybe[to] - longest if to < len(maybe) else np.ones(len(open_keys), bool)
+            enough = done & (open_counts >= self.needed[item])
+            for i, b, s in zip(item[enough].tolist(), band[enough].tolist(), step[enough].tolist()):
+                low, high = b * s, (b + 2) * s - 1
+                if i in region and low <= region[i][1] + 1 and high - region[i][0] < max(REGION, 2 * s):
+                    region[i][1] = max(region[i][1], high)
+                else:
+                    if i in region:
+                        yield i, *region[i]
+                    region[i] = [low, high]
+            open_keys, open_counts = open_keys[~done], open_counts[~done]
+            at = to
+        for i, (low, high) in region.items():
+            yield i, low, high
+
+    def _counted(self, places: np.ndarray, g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(item and band as one number, places of the text that share a q-gram with the item in that band)."""
+        n = self.gram_at[g + 1] - self.gram_at[g]
         entry = np.repeat(self.gram_at[g] - np.append(0, np.cumsum(n)[:-1]), n) + np.arange(n.sum())
-        item = self.gram_item[entry]
-        step = self.budgets[item] + 1
-        band = (np.repeat(maybe, n) - self.gram_place[entry]) // step
-        key = np.concatenate([np.stack([item, band], 1), np.stack([item, band - 1], 1)])
-        found, count = np.unique(key, axis=0, return_counts=True)
-        for (i, b), c in zip(found, count):
-            if c >= self.needed[i] and len(self.items[i]) > Q:
-                s = self.budgets[i] + 1
-                yield int(i), int(b * s), int((b + 2) * s - 1)
-
+        item, at = self.gram_item[entry], np.repeat(places, n)
+        use = self.long_enough[item]
+        item, at, diagonal = item[use], at[use], (at - self.gram_place[entry])[use]
+        key = (item << _BAND_BITS) + diagonal // (self.budgets[item] + 1) + (1 << (_BAND_BITS - 1))
+        key, at = np.concatenate([key, key - 1]), np.concatenate([at, at])
+        order = np.lexsort((at, key))
+        key, at = key[order], at[order]
+        new = np.append(True, (key[1:] != key[:-1]) | (at[1:] != at[:-1])) if len(key) else np.zeros(0, bool)  # a place counts once a band
+        return np.unique(key[new], return_counts=True)
 
 def _matches(text: str, block: Block, flags: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
     """(item, start, end, edits): the best occurrence of each item found."""
@@ -153,6 +186,8 @@ def _matches(text: str, block: Block, flags: np.ndarray) -> Iterator[tuple[int,
     c = codes(text)
     for i, low, high in block.bands(c, flags):
         e = int(block.budgets[i])
+        if i in best and best[i][0] == 0:  # an exact occurrence that stands before all others
+            continue
         near = (max(0, low - e), min(len(c), high + e + len(block.items[i])))
         exact = text.find(block.texts[i], *near)
         if exact >= 0:
