@@ -7,7 +7,8 @@ above and below the middle, serial correlation. The smallest of the three p-valu
 evidence for randomness. Ordinary tokens give the null: for each length class, the share of words made
 of letters alone, of that or a shorter class, that score as high, joined with what the score alone tells. That p-value is weighed by length (a longer token
 can show more) and a false discovery rate is held over all candidates of the corpus by the
-step-up rule, on a table of score bins of fixed size.
+step-up rule, on a table of score bins of fixed size. Tokens within base spans are candidates like others: they add no span, but
+how many of them look random is told.
 
 Cases: null and empty texts have no spans; repeated rows are scanned alike; a tie of spans goes by the
 kind as listed; an empty table gives no rows; of the input only doc_id and text are read.
@@ -15,7 +16,6 @@ kind as listed; an empty table gives no rows; of the input only doc_id and text
 
 from __future__ import annotations
 
-import hashlib
 import math
 import re
 from collections import Counter
@@ -121,16 +121,16 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             base = base_spans(text)
             tokens = []
             for m in TOKEN.finditer(text):
-                if not any(s < m.end() and m.start() < e for s, e, _ in base):
-                    kind, size, at, plain = score(m.group())
-                    tokens.append({"start": m.start(), "end": m.end(), "encoding": kind, "size": size, "score": at, "plain": plain})
+                kind, size, at, plain = score(m.group())
+                known = any(s < m.end() and m.start() < e for s, e, _ in base)
+                tokens.append({"start": m.start(), "end": m.end(), "encoding": kind, "size": size, "score": at, "plain": plain, "known": known})
             rows.append(([{"start": s, "end": e, "kind": k} for s, e, k in base], tokens))
         yield pa.RecordBatch.from_arrays([b.column("doc_id").cast(pa.int64()), pa.array([r[0] for r in rows], _BASE), pa.array([r[1] for r in rows], _TOKENS)], ["doc_id", "base", "tokens"])
 
 
 _BASE = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("kind", pa.string())]))
-_TOKENS = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("encoding", pa.string()), ("size", pa.int32()), ("score", pa.int32()), ("plain", pa.bool_())]))
-SCAN = "doc_id long, base array<struct<start:int,end:int,kind:string>>, tokens array<struct<start:int,end:int,encoding:string,size:int,score:int,plain:boolean>>"
+_TOKENS = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("encoding", pa.string()), ("size", pa.int32()), ("score", pa.int32()), ("plain", pa.bool_()), ("known", pa.bool_())]))
+SCAN = "doc_id long, base array<struct<start:int,end:int,kind:string>>, tokens array<struct<start:int,end:int,encoding:string,size:int,score:int,plain:boolean,known:boolean>>"
 
 
 def accepted_bins(scanned: DataFrame, rate: float) -> dict[tuple[int, int], bool]:
@@ -167,14 +167,17 @@ def accepted_cells(null: np.ndarray, seen: np.ndarray, rate: float) -> dict[tupl
 
 
 def find_secrets(docs: DataFrame, rate: float = 0.01) -> DataFrame:
-    """doc_id, base and found: arrays of (start, end, kind) in code points, end exclusive; found has the base spans too."""
+    """doc_id, base and found: arrays of (start, end, kind) in code points, end exclusive; found has the base spans too. n_confirmed:
+    tokens within base spans that the battery accepts."""
     rows = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     scanned = settle(rows.mapInArrow(_scan, SCAN), "scanned")
     yes = [size * BINS + at for (size, at), ok in accepted_bins(scanned, rate).items() if ok]
     cell = lambda t: t["size"] * BINS + t["score"]
-    random = F.filter("tokens", lambda t: (~t["plain"]) & F.array_contains(F.array(*(F.lit(x) for x in yes)).cast("array<int>"), cell(t)))
-    random = F.transform(random, lambda t: F.struct(t["start"], t["end"], F.lit("random").alias("kind")))
-    return scanned.select("doc_id", "base", F.array_sort(F.concat("base", random), _by_start).alias("found"))
+    accepted = F.filter("tokens", lambda t: (~t["plain"]) & F.array_contains(F.array(*(F.lit(x) for x in yes)).cast("array<int>"), cell(t)))
+    scanned = scanned.withColumn("accepted", accepted)
+    random = F.transform(F.filter("accepted", lambda t: ~t["known"]), lambda t: F.struct(t["start"], t["end"], F.lit("random").alias("kind")))
+    confirmed = F.size(F.filter("accepted", lambda t: t["known"])).cast("long").alias("n_confirmed")
+    return scanned.select("doc_id", "base", F.array_sort(F.concat("base", random), _by_start).alias("found"), confirmed)
 
 
 def _by_start(a, b):
@@ -189,9 +192,4 @@ def told(spans) -> F.Column:
 
 def digests(found: DataFrame) -> DataFrame:
     count = lambda k: F.size(F.filter("base", lambda s: s["kind"] == k)).cast("long").alias(f"n_{k}")
-    return found.select("doc_id", *(count(k) for k in KINDS[:3]), F.sha2(told("base"), 256).alias("base_sha256"), told("found").alias("spans"))
-
-
-def brute_base(text: str | None) -> str:
-    """The base digest of one text, for tests."""
-    return hashlib.sha256(",".join(f"{k}:{s}:{e}" for s, e, k in base_spans(text or "")).encode()).hexdigest()
+    return found.select("doc_id", *(count(k) for k in KINDS[:3]), F.sha2(told("base"), 256).alias("base_sha256"), told("found").alias("spans"), "n_confirmed")
