@@ -5,7 +5,10 @@ from __future__ import annotations
 import atexit
 import shutil
 import tempfile
+import threading
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -30,6 +33,26 @@ def new_path(spark: SparkSession, name: str) -> str:
 
 
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+_LOCK = threading.Lock()
+_WRITES = {"open": 0, "before": None}
+
+
+@contextmanager
+def _shuffles_deleted(spark: SparkSession) -> Iterator[None]:
+    """The clean-up is on while any thread writes, and then as it was before the first of them."""
+    with _LOCK:
+        if not _WRITES["open"]:
+            _WRITES["before"] = spark.conf.get(_CLEANUP, None)
+            spark.conf.set(_CLEANUP, "true")
+        _WRITES["open"] += 1
+    try:
+        yield
+    finally:
+        with _LOCK:
+            _WRITES["open"] -= 1
+            if not _WRITES["open"]:
+                before = _WRITES["before"]
+                spark.conf.unset(_CLEANUP) if before is None else spark.conf.set(_CLEANUP, before)
 
 
 def settle(df: DataFrame, name: str = "table") -> DataFrame:
@@ -37,12 +60,8 @@ def settle(df: DataFrame, name: str = "table") -> DataFrame:
     written table are of no more use, so Spark deletes their files when the write ends."""
     spark = df.sparkSession
     path = new_path(spark, name)
-    before = spark.conf.get(_CLEANUP, None)
-    spark.conf.set(_CLEANUP, "true")
-    try:
+    with _shuffles_deleted(spark):
         df.write.option("compression", "zstd").parquet(path)
-    finally:
-        spark.conf.unset(_CLEANUP) if before is None else spark.conf.set(_CLEANUP, before)
     return spark.read.schema(df.schema).parquet(path)
 
 

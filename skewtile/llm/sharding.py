@@ -121,9 +121,9 @@ def equal_text_links(rows: DataFrame) -> DataFrame:
     return rows.join(hubs, F.col("text_key") == F.col("hub")).select("_row", "hub")
 
 
-def shard_documents(docs: DataFrame, n_shards: int = SHARDS, rounds: int = ROUNDS) -> DataFrame:
+def shard_documents(docs: DataFrame, n_shards: int = SHARDS, rounds: int = ROUNDS, hubs: DataFrame | None = None) -> DataFrame:
     """doc_id, size, text_crc32, text_key, shard, slot: every document in a shard, sizes in bytes near equal, slots
-    gapless from 0 within each shard."""
+    gapless from 0 within each shard. hubs: (doc_id, hub long) of other links than equal texts, such as classes of near copies."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     rows = docs.select(
         "doc_id",
@@ -134,7 +134,8 @@ def shard_documents(docs: DataFrame, n_shards: int = SHARDS, rounds: int = ROUND
         F.monotonically_increasing_id().alias("_row"),
     )
     rows = settle(rows, "documents")
-    links = settle(equal_text_links(rows), "links")
+    links = equal_text_links(rows) if hubs is None else rows.join(hubs.select(F.col("doc_id").alias("_doc"), "hub").distinct(), F.col("doc_id") == F.col("_doc")).select("_row", "hub")
+    links = settle(links, "links")
     start = rows.select("_row", "h", "size", F.pmod("h", F.lit(n_shards)).cast("int").alias("shard"))
     state = propagate(start, links, n_shards, rounds)
     for _ in range(2):  # the second pass evens out what the first one's borders left
@@ -144,8 +145,10 @@ def shard_documents(docs: DataFrame, n_shards: int = SHARDS, rounds: int = ROUND
 
 
 def cut_bytes(sharded: DataFrame) -> DataFrame:
-    """One row: bytes of linked documents outside their hub's fullest shard, and the largest and smallest shard's bytes."""
-    hub = sharded.where("text_key is not null").groupBy("text_key", "shard").agg(F.sum("size").alias("b"))
-    hub = hub.groupBy("text_key").agg((F.sum("b") - F.max("b")).alias("cut")).agg(F.coalesce(F.sum("cut"), F.lit(0)).alias("cut_bytes"))
+    """One row: bytes of documents whose text another one has too, those of them outside their hub's fullest shard, and the largest and
+    smallest shard's bytes."""
+    hub = sharded.where("text_key is not null").groupBy("text_key", "shard").agg(F.sum("size").alias("b"), F.count(F.lit(1)).alias("n"))
+    hub = hub.groupBy("text_key").agg((F.sum("b") - F.max("b")).alias("cut"), F.sum("b").alias("b"), F.sum("n").alias("n")).where("n > 1")
+    hub = hub.agg(F.coalesce(F.sum("b"), F.lit(0)).alias("linked_bytes"), F.coalesce(F.sum("cut"), F.lit(0)).alias("cut_bytes"))
     sizes = sharded.groupBy("shard").agg(F.sum("size").alias("b")).agg(F.max("b").alias("most_bytes"), F.min("b").alias("least_bytes"))
     return hub.join(sizes)
