@@ -9,7 +9,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from skewtile.operators.rangejoin import cell_join, cell_size
+from skewtile.operators.rangejoin import Cells, cell_join, tile_times
 from skewtile.operators.tiled import TiledTable
 from skewtile.plans import route
 
@@ -43,7 +43,7 @@ def filter_quality(q: DataFrame, tt: TiledTable) -> DataFrame:
     """One row over all (query, overlapped tile) probes: tp, fp, tn, fn, fpr = fp / (fp + tn), fdr = fp / (fp + tp)."""
     probes = route.ranges(q.select("qid", "x1", "y1", "x2", "y2"), tt.tiles)
     said = tt.filters.prune(probes).select("qid", "tile", F.lit(1).alias("said"))
-    true = cell_join(tt.df.select("pid", "x", "y", "tile"), probes, cell_size(q)).select("qid", "tile", F.lit(1).alias("held")).distinct()
+    true = cell_join(tt.rows.select("pid", "x", "y", "tile"), probes, Cells.of(q, tt.tiles), tt.tiles).select("qid", "tile", F.lit(1).alias("held")).distinct()
     both = probes.select("qid", "tile").join(said, ["qid", "tile"], "left").join(true, ["qid", "tile"], "left").na.fill(0, ["said", "held"])
     cell = lambda s, h: F.count_if((F.col("said") == s) & (F.col("held") == h))
     out = both.agg(cell(1, 1).alias("tp"), cell(1, 0).alias("fp"), cell(0, 0).alias("tn"), cell(0, 1).alias("fn"))
@@ -56,5 +56,10 @@ def stragglers(seconds: np.ndarray, threshold: float) -> dict[str, float]:
     return {"top5_mean_s": float(s[-5:].mean()) if len(s) else 0.0, "share_under": float((s < threshold).mean()) if len(s) else 1.0}
 
 
+def straggler_profile(q: DataFrame, tt: TiledTable, threshold: float, local: str = "auto") -> dict[str, float]:
+    """stragglers() of the tiles' local joins as their tasks timed them: a row a tile comes here."""
+    return stragglers(np.array([r["seconds"] for r in tile_times(q, tt, local).select("seconds").collect()]), threshold)
+
+
 def speed_up(baseline_s: float, engine_s: float) -> float:
     return baseline_s / max(engine_s, 1e-9)

@@ -14,12 +14,13 @@ from pyspark.sql import functions as F
 from skewtile.functions.geometry import dist2, in_circle, in_rect
 from skewtile.operators import knnjoin, merge
 from skewtile.operators import local as kernels
-from skewtile.operators.rangejoin import range_join
+from skewtile.operators.rangejoin import planned, range_join
 from skewtile.operators.tiled import TiledTable
 from skewtile.plans import obf, route
 
 BROADCAST_QUERIES = 1_000_000
 """Queries that the baselines which send all of them everywhere accept."""
+BROADCAST_TILES = 1 << 16
 
 
 def _bounded(q: DataFrame) -> DataFrame:
@@ -38,7 +39,7 @@ def allparts_range(q: DataFrame, tt: TiledTable, local: str = "inl_rtree") -> Da
         qi, di = kernels.RANGE[local](pdf["x"].to_numpy(), pdf["y"].to_numpy(), boxes)
         return pd.DataFrame({"qid": ids[qi], "pid": pdf["pid"].to_numpy()[di]})
 
-    return tt.df.select("tile", F.col("pid").cast("long"), "x", "y").groupBy("tile").applyInPandas(run, "qid long, pid long")
+    return tt.rows.select("tile", F.col("pid").cast("long"), "x", "y").groupBy("tile").applyInPandas(run, "qid long, pid long")
 
 
 def allparts_knn(q: DataFrame, tt: TiledTable, k: int, local: str = "inl_rtree") -> DataFrame:
@@ -51,21 +52,23 @@ def allparts_knn(q: DataFrame, tt: TiledTable, k: int, local: str = "inl_rtree")
         qi, di, d = kernels.knn(local, pid, x, y, cx, cy, k)
         return pd.DataFrame({"qid": ids[qi], "pid": pid[di], "x": x[di], "y": y[di], "dist2": d})
 
-    found = tt.df.select("tile", F.col("pid").cast("long"), "x", "y").groupBy("tile").applyInPandas(run, "qid long, pid long, x double, y double, dist2 double")
+    found = tt.rows.select("tile", F.col("pid").cast("long"), "x", "y").groupBy("tile").applyInPandas(run, "qid long, pid long, x double, y double, dist2 double")
     return merge.topk(found, k)
 
 
 def tilescan_range(q: DataFrame, tt: TiledTable, mode: str = "no_index", path: str | None = None) -> DataFrame:
-    """Overlapping tiles are joined and scanned whole. "disk_index": the tile list is read from disk for each batch."""
+    """Tiles are joined and scanned whole. "no_index": every tile, for every window. "disk_index": those that a list of tiles, written to disk
+    and read for each batch, says the window overlaps."""
+    q = q.select("qid", "x1", "y1", "x2", "y2")
     if mode == "disk_index":
         spark = tt.df.sparkSession
         tt.stats().select("tile", "mx1", "my1", "mx2", "my2").write.mode("overwrite").parquet(path)
         index = spark.read.parquet(path)
         meets = (F.col("x1") <= F.col("mx2")) & (F.col("mx1") <= F.col("x2")) & (F.col("y1") <= F.col("my2")) & (F.col("my1") <= F.col("y2"))
-        routed = q.join(F.broadcast(index), meets).select("qid", "x1", "y1", "x2", "y2", "tile")
+        routed = q.join(F.broadcast(index) if tt.tiles.n_tiles <= BROADCAST_TILES else index, meets).select("qid", "x1", "y1", "x2", "y2", "tile")
     else:
-        routed = route.ranges(q.select("qid", "x1", "y1", "x2", "y2"), tt.tiles)
-    hits = tt.df.select("pid", "x", "y", "tile").join(routed, "tile")
+        routed = q.withColumn("tile", F.explode(F.sequence(F.lit(0), F.lit(tt.tiles.n_tiles - 1))))
+    hits = tt.rows.select("pid", "x", "y", "tile").join(routed, "tile")
     return hits.where(in_rect(F.col("x"), F.col("y"), F.col("x1"), F.col("y1"), F.col("x2"), F.col("y2"))).select("qid", "pid")
 
 
@@ -120,16 +123,18 @@ def pivot_knn(q: DataFrame, points: DataFrame, k: int, n_pivots: int = 16, sampl
 
 
 def datarep_distance_join(q: DataFrame, tt: TiledTable, half: float, opt: bool = False) -> DataFrame:
-    """Square windows of one half-width around focal points: the data are copied to the tiles of the queries. opt: skewed tiles
-    are split and filters prune."""
+    """Square windows of one half-width around focal points: the data are copied to the tiles of the queries. opt: tiles that hold too many
+    queries are cut first, and queries that the filters find nothing for neither stay nor draw copies of data."""
     w = q.select("qid", (F.col("cx") - half).alias("x1"), (F.col("cy") - half).alias("y1"), (F.col("cx") + half).alias("x2"), (F.col("cy") + half).alias("y2"))
     if opt:
-        return range_join(w, tt, plan="query", filter=True)
-    return range_join(w, tt, strategy="replicate_inner", size=2 * half)
+        tt = tt if tt.filters is not None else tt.with_filters()
+        w = route.ranges(w, tt.tiles, tt.filters).select("qid", "x1", "y1", "x2", "y2").distinct()
+        tt = planned(w, tt)
+    return range_join(w, tt, strategy="replicate_inner")
 
 
 def datarep_knn(q: DataFrame, tt: TiledTable, k: int, opt: bool = False, sample: int = 1024) -> DataFrame:
-    """A bound per tile from a sample, then one round."""
+    """A bound from a sample of the focal points, then one round. opt: tiles that hold too many focal points are cut, and filters prune."""
     return knnjoin.knn_join(q, tt, k, bound="sample", sample=sample, filter=opt, plan="query" if opt else None)
 
 

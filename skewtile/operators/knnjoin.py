@@ -4,57 +4,114 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from skewtile.functions.geometry import dist2
 from skewtile.operators import local as kernels
 from skewtile.operators import merge
-from skewtile.operators.tiled import TiledTable, retile
+from skewtile.operators.tiled import TiledTable
 from skewtile.plans import route
 
 _CANDIDATES = "qid long, pid long, x double, y double, dist2 double"
+_LISTS = "pids array<long>, xs array<double>, ys array<double>, ds array<double>"
+PIVOTS = 1024
+"""Focal points of a sample whose own k-th distances bound all others."""
+
+
+def _columns(data: DataFrame, routed: DataFrame, more: list[str]) -> tuple[list[str], DataFrame, DataFrame]:
+    keys = [c for c in ("slot", "tile") if c in data.columns and c in routed.columns]
+    data = data.select(*keys, F.col("pid").cast("long"), F.col("x").cast("double"), F.col("y").cast("double"))
+    return keys, data, routed.select(*keys, F.col("qid").cast("long"), "cx", "cy", *more)
+
+
+def _numpy(t: pa.Table, *names: str) -> list[np.ndarray]:
+    return [t.column(c).to_numpy() for c in names]
+
+
+def _search(algo: str, k: int, pid, x, y, cx, cy, r2=None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query, point, squared distance) of the k first of each query, sorted by query and rank."""
+    name = kernels.choose("point", len(x), len(cx), k) if algo == "auto" else algo
+    qi, di, d = kernels.knn(name, pid, x, y, cx, cy, k, r2)
+    order = np.lexsort((y[di], x[di], pid[di], d, qi))
+    return qi[order], di[order], d[order]
 
 
 def local_knn(data: DataFrame, routed: DataFrame, k: int, algo: str = "auto", bounded: bool = False) -> DataFrame:
-    """The k first of each tile for the focal points routed there (with bounded: within squared radius r2). Per-query k
-    comes in a column k, of which k is then the largest."""
-
-    def run(d: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
-        empty = pd.DataFrame({c.split()[0]: pd.Series(dtype="int64" if "long" in c else "float64") for c in _CANDIDATES.split(", ")})
-        if not len(d) or not len(q):
-            return empty
-        name = kernels.choose("point", len(d), len(q), k) if algo == "auto" else algo
-        pid, x, y = (d[c].to_numpy() for c in ("pid", "x", "y"))
-        qi, di, dd = kernels.knn(name, pid, x, y, q["cx"].to_numpy(float), q["cy"].to_numpy(float), k, q["r2"].to_numpy(float) if bounded else None)
-        return pd.DataFrame({"qid": q["qid"].to_numpy()[qi], "pid": pid[di], "x": x[di], "y": y[di], "dist2": dd})
-
-    data = data.select("tile", F.col("pid").cast("long"), F.col("x").cast("double"), F.col("y").cast("double"))
-    routed = routed.select("tile", F.col("qid").cast("long"), "cx", "cy", *(["r2"] if bounded else []))
-    return data.groupBy("tile").cogroup(routed.groupBy("tile")).applyInPandas(run, _CANDIDATES)
-
-
-def catalyst_knn(data: DataFrame, routed: DataFrame, k: int) -> DataFrame:
-    """The same as one equi-join on the tile, a residual radius (column r2), and the k first a query: no Python."""
-    near = data.select("pid", "x", "y", "tile").join(routed, "tile").withColumn("dist2", dist2(F.col("x"), F.col("y"), F.col("cx"), F.col("cy")))
+    """The k first of each tile for the focal points routed there (with bounded: within squared radius r2)."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        pid, x, y = _numpy(left, "pid", "x", "y")
+        qid, cx, cy = _numpy(right, "qid", "cx", "cy")
+        qi, di, d = _search(algo, k, pid, x, y, cx, cy, *(_numpy(right, "r2") if bounded else []))
+        return pa.table([qid[qi], pid[di], x[di], y[di], d], ["qid", "pid", "x", "y", "dist2"])
+
+    keys, data, routed = _columns(data, routed, ["r2"] if bounded else [])
+    return data.groupBy(*keys).cogroup(routed.groupBy(*keys)).applyInArrow(run, _CANDIDATES)
+
+
+def _home_round(data: DataFrame, homed: DataFrame, k: int, algo: str) -> DataFrame:
+    """One row per focal point: its candidates at home as lists, and r2, the squared distance of candidate number `need`, if there is one."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        pid, x, y = _numpy(left, "pid", "x", "y")
+        qid, cx, cy, need = _numpy(right, "qid", "cx", "cy", "need")
+        qi, di, d = _search(algo, k, pid, x, y, cx, cy)
+        at = np.append(0, np.cumsum(np.bincount(qi, minlength=len(qid)))).astype(np.int32)
+        have = np.diff(at) >= need
+        r2 = np.full(len(qid), np.nan)
+        r2[have] = d[at[:-1][have] + need[have] - 1]
+        lists = [pa.ListArray.from_arrays(pa.array(at), pa.array(v)) for v in (pid[di], x[di], y[di], d)]
+        own = [right.column(c).combine_chunks() for c in ("qid", "cx", "cy", "need", "tile")]
+        return pa.table([*own, pa.array(r2, mask=~have), *lists], ["qid", "cx", "cy", "need", "home", "known", "pids", "xs", "ys", "ds"])
+
+    keys, data, homed = _columns(data, homed, ["need"])
+    out = f"qid long, cx double, cy double, need int, home int, known double, {_LISTS}"
+    return data.groupBy(*keys).cogroup(homed.groupBy(*keys)).applyInArrow(run, out)
+
+
+def _away_round(data: DataFrame, routed: DataFrame, k: int, algo: str) -> DataFrame:
+    """The candidates within the radius of the focal points sent to other tiles, and the candidates from home as they are."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        pid, x, y = _numpy(left, "pid", "x", "y")
+        qid, cx, cy, r2, carries = _numpy(right, "qid", "cx", "cy", "r2", "carries")
+        ask = ~carries.astype(bool)
+        qi, di, d = _search(algo, k, pid, x, y, cx[ask], cy[ask], r2[ask])
+        lists = [right.column(c).combine_chunks().filter(pa.array(~ask)) for c in ("pids", "xs", "ys", "ds")]
+        held = np.repeat(qid[~ask], lists[0].value_lengths().to_numpy(zero_copy_only=False)) if (~ask).any() else qid[:0]
+        pids, xs, ys, ds = (v.flatten().to_numpy(zero_copy_only=False) for v in lists)
+        parts = (qid[ask][qi], held), (pid[di], pids), (x[di], xs), (y[di], ys), (d, ds)
+        return pa.table([np.concatenate(p) for p in parts], ["qid", "pid", "x", "y", "dist2"])
+
+    keys, data, routed = _columns(data, routed, ["r2", "carries", "pids", "xs", "ys", "ds"])
+    return data.groupBy(*keys).cogroup(routed.groupBy(*keys)).applyInArrow(run, _CANDIDATES)
+
+
+def catalyst_knn(data: DataFrame, routed: DataFrame) -> DataFrame:
+    """The same as one equi-join on the tile and a residual radius (column r2), the k first a query left to the merge: no Python."""
+    keys = [c for c in ("slot", "tile") if c in data.columns and c in routed.columns]
+    near = data.select("pid", "x", "y", *keys).join(routed, keys).withColumn("dist2", dist2(F.col("x"), F.col("y"), F.col("cx"), F.col("cy")))
     return near.where("dist2 <= r2").select("qid", "pid", "x", "y", "dist2")
 
 
 def replanned(q: DataFrame, tt: TiledTable, budget: int, by: str = "query") -> TiledTable:
-    """The table after splitting tiles that receive too many focal points."""
+    """The table with the tiles cut that receive too many focal points; only their rows move."""
     at = route.home(q, tt.tiles).select("tile", F.col("cx").alias("x1"), F.col("cy").alias("y1"), F.col("cx").alias("x2"), F.col("cy").alias("y2"))
-    return retile(tt, tt.plan(at, budget, by))
+    return tt.apply(tt.plan(at, budget, by))
 
 
 def knn_join(
     q: DataFrame, tt: TiledTable, k: int | Column = 10, bound: str = "home", local: str = "auto", filter: bool = False, plan: str | None = None,
-    budget: int = 8, exclude_self: bool = False, sample: int = 1024, most: int | None = None,
+    budget: int = 8, exclude_self: bool = False, sample: int = PIVOTS, most: int | None = None,
 ) -> DataFrame:
     """(qid, pid, dist2, rank): exactly the k nearest points of each focal point (qid, cx, cy), ties by pid, x, y.
 
-    bound: where the radius comes from. "home": the k-th candidate in the own tile, else the tiles' boxes and counts.
-    "sample": one distance per tile computed on a sample of the data, so there is one routing round. "counts": boxes
-    and counts alone. k may be a column of q; `most` is then its largest value. exclude_self leaves out pid = qid."""
+    bound: where the radius comes from. "home": the k-th candidate in the own tile, else the tiles' boxes and counts; the candidates
+    go on with their focal point, so neither round is run twice. "sample": the k-th distances of sampled focal points, with one round for
+    all others. "counts": boxes and counts alone. k may be a column of q; `most` is then its largest value. exclude_self leaves out
+    pid = qid. Where the data lie by slot, both rounds leave them there."""
     per_query = isinstance(k, Column)
     top = most if per_query else k
     if per_query and most is None:
@@ -66,23 +123,34 @@ def knn_join(
         tt = replanned(q, tt, budget, plan)
     if filter and tt.filters is None:
         tt = tt.with_filters()
-    counts = route.bound_from_counts(F.col("cx"), F.col("cy"), tt.tiles, tt.counts, F.col("k") + int(exclude_self))
     store = tt.filters if filter else None
+    enough = F.col("k") + int(exclude_self)
     if bound == "home":
-        first = local_knn(tt.df, route.home(q, tt.tiles), need, local)
-        kth = first.withColumn("_n", F.lit(1)).groupBy("qid").agg(F.sum("_n").alias("_n"), F.sort_array(F.collect_list("dist2")).alias("_d"))
-        radius = q.join(kth, "qid", "left").withColumn("_home", F.when(F.col("_n") >= F.col("k") + int(exclude_self), F.element_at("_d", F.col("k") + int(exclude_self))))
-        radius = radius.withColumn("r2", F.coalesce("_home", counts)).drop("_n", "_d", "_home")
-        away = route.circles(radius, tt.tiles, F.col("r2"), store)
-        away = away.where(F.col("tile") != tt.tiles.tile_of(F.col("cx"), F.col("cy")))
-        found = first.unionByName(local_knn(tt.df, away, need, local, bounded=True))
+        found = _by_home(q.withColumn("need", enough.cast("int")), tt, need, local, store)
     else:
-        r2 = counts if bound == "counts" else F.least(counts, _sample_bound(tt, need, sample))
-        routed = route.circles(q, tt.tiles, r2, store)
-        found = local_knn(tt.df, routed, need, local, bounded=True) if local != "catalyst" else catalyst_knn(tt.df, routed, need)
+        counts = route.bound_from_counts(F.col("cx"), F.col("cy"), tt.tiles, tt.counts, enough)
+        r2 = counts if bound == "counts" else F.least(counts, _sample_bound(q, tt, need, sample))
+        routed = tt.place(route.circles(q, tt.tiles, r2, store))
+        one = (lambda d, r: catalyst_knn(d, r)) if local == "catalyst" else (lambda d, r: local_knn(d, r, need, local, bounded=True))
+        found = merge.union([one(part, tt.of_part(routed, i)) for i, part in enumerate(tt.parts)])
     return _merged(q, found, k if not per_query else None, exclude_self)
 
 
+def _by_home(q: DataFrame, tt: TiledTable, k: int, local: str, store) -> DataFrame:
+    homed = tt.place(route.home(q, tt.tiles))
+    first = merge.union([_home_round(part, tt.of_part(homed, i), k, local) for i, part in enumerate(tt.parts)])
+    r2 = route.bound_from_counts(F.col("cx"), F.col("cy"), tt.tiles, tt.counts, F.col("need"), F.col("known"))
+    met = first.withColumn("r2", r2)
+    reach = F.sqrt("r2") * (1 + 1e-12)
+    tiles = tt.tiles.tiles_meeting(F.col("cx") - reach, F.col("cy") - reach, F.col("cx") + reach, F.col("cy") + reach)
+    sent = met.withColumn("tile", F.explode(F.concat(F.array("home"), F.filter(tiles, lambda t: t != F.col("home"))))).withColumn("carries", F.col("tile") == F.col("home"))
+    for c in ("pids", "xs", "ys", "ds"):
+        sent = sent.withColumn(c, F.when(F.col("carries"), F.col(c)))
+    sent = sent.where(F.col("carries") | route.meets_disc(tt.tiles))
+    sent = tt.place(route.prune_discs(sent, store, F.col("carries")))
+    return merge.union([_away_round(part, tt.of_part(sent, i), k, local) for i, part in enumerate(tt.parts)])
+
+
 def _merged(q: DataFrame, found: DataFrame, k: int | None, exclude_self: bool) -> DataFrame:
     if exclude_self:
         found = found.where("qid <> pid")
@@ -91,24 +159,45 @@ def _merged(q: DataFrame, found: DataFrame, k: int | None, exclude_self: bool) -
     return merge.topk(found.join(q.select("qid", "k"), "qid"), F.col("k"))
 
 
-def _sample_bound(tt: TiledTable, k: int, sample: int) -> Column:
-    """A squared radius per tile from a sample of the data: the k-th sampled distance of the tile's middle plus the focal
-    point's distance to it. A sample can only overestimate."""
-    from skewtile.plans.tilemap import sample_points
+def _sample_bound(q: DataFrame, tt: TiledTable, k: int, sample: int) -> Column:
+    """A squared radius from a bounded sample of the focal points: a point's distance to a sampled one plus that one's own k-th distance holds k
+    points for sure; the least over the sample is taken."""
+    some = q.orderBy(F.xxhash64("qid"), "cx", "cy").limit(max(1, sample))
+    some = some.select(F.monotonically_increasing_id().alias("qid"), "cx", "cy")
+    pivots = some.toPandas()  # `sample` rows
+    some = tt.df.sparkSession.createDataFrame(pivots, "qid long, cx double, cy double")
+    kth = {r["qid"]: r["d"] for r in knn_join(some, tt, k).where(F.col("rank") == k).select("qid", F.col("dist2").alias("d")).collect()}  # `sample` rows
+    at = pivots[pivots["qid"].isin(list(kth))]
+    if not len(at):
+        return F.lit(float("inf"))
+    px, py, reach = at["cx"].to_numpy(), at["cy"].to_numpy(), np.sqrt([kth[i] for i in at["qid"]])
 
-    pts = sample_points(tt.df, max(sample, k))
-    boxes = tt.tiles.data_boxes()
-    out = F.lit(float("inf"))
-    if len(pts) < k:
-        return out
-    mid = np.nan_to_num(np.column_stack([(boxes[:, 0] + boxes[:, 2]) / 2, (boxes[:, 1] + boxes[:, 3]) / 2]))
-    kth = [float(np.sqrt(np.partition(((pts - m) ** 2).sum(1), k - 1)[k - 1])) for m in mid]
-    from skewtile.operators.tiled import by_tile
+    @F.pandas_udf("double")
+    def bound(cx: pd.Series, cy: pd.Series) -> pd.Series:
+        out = np.empty(len(cx))
+        step = max(1, (1 << 20) // len(px))
+        for a in range(0, len(cx), step):
+            x, y = cx.to_numpy()[a : a + step, None], cy.to_numpy()[a : a + step, None]
+            out[a : a + step] = (np.hypot(x - px, y - py) + reach).min(1)
+        return pd.Series((out * (1 + 1e-12)) ** 2 + 1e-9)
 
-    tile = tt.tiles.tile_of(F.col("cx"), F.col("cy"))
-    to_mid = F.sqrt(dist2(F.col("cx"), F.col("cy"), by_tile(mid[:, 0].tolist(), tile, "double"), by_tile(mid[:, 1].tolist(), tile, "double")))
-    return F.pow(by_tile(kth, tile, "double") + to_mid, 2) * (1 + 1e-12) + 1e-9
+    return bound(F.col("cx"), F.col("cy"))
 
 
 def self_knn_join(points: DataFrame, tt: TiledTable, k: int, exclude_self: bool = True, **options) -> DataFrame:
     return knn_join(points.select(F.col("pid").alias("qid"), F.col("x").alias("cx"), F.col("y").alias("cy")), tt, k, exclude_self=exclude_self, **options)
+
+
+def empty_discs(q: DataFrame, tt: TiledTable) -> DataFrame:
+    """(tile, x1, y1, x2, y2): what a nearest-neighbour join found to be empty. Nothing lies nearer to a focal point than its nearest point, so
+    the square within that circle is empty in every tile that it meets."""
+    nearest = knn_join(q, tt, 1).select("qid", F.sqrt("dist2").alias("_d"))
+    inner = q.select("qid", "cx", "cy").join(nearest, "qid").withColumn("_h", F.col("_d") * (0.5**0.5) * (1 - 1e-9)).where("_h > 0")
+    w = inner.select("qid", (F.col("cx") - F.col("_h")).alias("x1"), (F.col("cy") - F.col("_h")).alias("y1"), (F.col("cx") + F.col("_h")).alias("x2"), (F.col("cy") + F.col("_h")).alias("y2"))
+    return route.ranges(w, tt.tiles, tt.filters).select("tile", "x1", "y1", "x2", "y2")
+
+
+def adapt(q: DataFrame, tt: TiledTable, border: str = "exact", max_depth: int = 9, max_bits: int | None = None) -> TiledTable:
+    """One round of learning from a batch of nearest-neighbour queries."""
+    tt = tt if tt.filters is not None else tt.with_filters()
+    return tt.like(filters=tt.filters.refresh(tt.rows, empty_discs(q, tt), border, max_depth, max_bits))

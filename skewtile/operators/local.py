@@ -199,17 +199,14 @@ def range_grid(x, y, rects) -> Pairs:
     return _keep(x, y, rects, q, i, order)
 
 
-def range_dual_tree(x, y, rects) -> Pairs:
-    """Two packed trees, one over the points and one over the windows; pairs of nodes whose boxes miss each other go."""
-    if not len(x) or not len(rects):
-        return _none()
-    d = rtree_blocks(x, y)
+def _dual_leaves(boxes: np.ndarray, rects: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(query, leaf) where a window meets a leaf's box: two packed trees go down together; pairs of nodes whose boxes miss each other go."""
     cx, cy = (rects[:, 0] + rects[:, 2]) / 2, (rects[:, 1] + rects[:, 3]) / 2
     order = rtree_blocks(cx, cy).order
     cut = np.arange(0, len(rects), FANOUT)
     r = rects[order]
     qboxes = np.column_stack([np.minimum.reduceat(r[:, 0], cut), np.minimum.reduceat(r[:, 1], cut), np.maximum.reduceat(r[:, 2], cut), np.maximum.reduceat(r[:, 3], cut)])
-    dt, qt = PackedTree.over(d.boxes), PackedTree.over(qboxes)
+    dt, qt = PackedTree.over(boxes), PackedTree.over(qboxes)
     dl, ql = len(dt.levels) - 1, len(qt.levels) - 1
     a, b = np.zeros(1, np.int64), np.zeros(1, np.int64)
     while True:
@@ -228,13 +225,36 @@ def range_dual_tree(x, y, rects) -> Pairs:
         return _none()
     leaf, q = _expand(b, a * FANOUT, np.minimum((a + 1) * FANOUT, len(rects)))
     q = order[q]
-    n, m = d.boxes[leaf], rects[q]
+    n, m = boxes[leaf], rects[q]
     hit = rects_meet(m[:, 0], m[:, 1], m[:, 2], m[:, 3], n[:, 0], n[:, 1], n[:, 2], n[:, 3])
-    q, leaf = q[hit], leaf[hit]
+    return q[hit], leaf[hit]
+
+
+def range_dual_tree(x, y, rects) -> Pairs:
+    """Two packed trees, one over the points and one over the windows."""
+    if not len(x) or not len(rects):
+        return _none()
+    d = rtree_blocks(x, y)
+    q, leaf = _dual_leaves(d.boxes, rects)
     q, i = _expand(q, d.start[leaf], d.start[leaf + 1])
     return _keep(x, y, rects, q, i, d.order)
 
 
+def boxes_dual_tree(boxes: np.ndarray, rects: np.ndarray) -> Pairs:
+    """(window, box) that meet: the same over boxes of shapes, whose leaves have the union of their boxes."""
+    if not len(boxes) or not len(rects):
+        return _none()
+    d = rtree_blocks((boxes[:, 0] + boxes[:, 2]) / 2, (boxes[:, 1] + boxes[:, 3]) / 2)
+    r, cut = boxes[d.order], d.start[:-1]
+    leaves = np.column_stack([np.minimum.reduceat(r[:, 0], cut), np.minimum.reduceat(r[:, 1], cut), np.maximum.reduceat(r[:, 2], cut), np.maximum.reduceat(r[:, 3], cut)])
+    q, leaf = _dual_leaves(leaves, rects)
+    q, i = _expand(q, d.start[leaf], d.start[leaf + 1])
+    i = d.order[i]
+    n, m = boxes[i], rects[q]
+    hit = rects_meet(m[:, 0], m[:, 1], m[:, 2], m[:, 3], n[:, 0], n[:, 1], n[:, 2], n[:, 3])
+    return q[hit], i[hit]
+
+
 def range_brute(x, y, rects) -> Pairs:
     out, step = [_none()], max(1, _BLOCK // max(1, len(x)))
     for a in range(0, len(rects), step):
@@ -372,10 +392,19 @@ def knn(algo: str, pid, x, y, qx, qy, k: int, bound: np.ndarray | None = None):
     return KNN[algo](pid, x, y, qx, qy, k, bound)
 
 
-def choose(kind: str, n_data: int, n_query: int, k: int | None = None) -> str:
-    """The local planner: quadtree nested loop for points, two trees for shapes; tiny tiles are scanned."""
+DUAL_TREE_POINTS, R_TREE_QUERIES = 120_000, 70_000
+"""Up to so many points two R-trees beat one, and up to so many focal points an R-tree beats a space-filling curve."""
+
+
+def choose(kind: str, n_data: int, n_query: int, k: int | None = None, quadtree: bool = True) -> str:
+    """The local planner: quadtree nested loop for points, two trees for shapes; tiny tiles are scanned. quadtree: whether there may be
+    one; without, sizes decide among the others."""
     if kind != "point":
         return "dual_tree"
     if n_data * n_query <= 4096:
         return "brute"
-    return "inl_quadtree"
+    if quadtree:
+        return "inl_quadtree"
+    if k is None:
+        return "dual_tree" if n_data < DUAL_TREE_POINTS else "inl_rtree"
+    return "inl_rtree" if n_query < R_TREE_QUERIES else "hilbert_block"

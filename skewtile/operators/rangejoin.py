@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 import math
-from dataclasses import replace
+import time
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
@@ -15,93 +16,177 @@ from skewtile.operators import local as kernels
 from skewtile.operators import merge
 from skewtile.operators.tiled import TiledTable
 from skewtile.plans import route
-from skewtile.plans.cost import CostModel
-
-MAX_LEVEL = 16
-
-
-def cell_size(q: DataFrame) -> float:
-    """The side of the join's cells: the median window's longer side."""
-    extent = F.greatest(F.col("x2") - F.col("x1"), F.col("y2") - F.col("y1"))
-    got = q.agg(F.percentile_approx(extent, 0.5, 1000)).first()[0]
-    return float(got) if got and got > 0 else 1.0
-
-
-def _cell(cx: Column, cy: Column) -> Column:
-    return cx.cast("long") * F.lit(1 << 32) + cy.cast("long")
-
-
-def cell_join(data: DataFrame, routed: DataFrame, size: float, on_tile: bool = True, slotted: bool = False) -> DataFrame:
-    """Local joins as one equi-join on (tile, cell) with the window left over. A window takes the cell size, a power of
-    four times `size`, at which it covers few cells; data are keyed at each size in use. Points have one cell a
-    size, so no pair comes twice."""
-    extent = F.greatest(F.col("x2") - F.col("x1"), F.col("y2") - F.col("y1"))
-    level = F.least(F.greatest(F.ceil(F.log(4.0, extent / (3 * size))), F.lit(0)), F.lit(MAX_LEVEL)).cast("int")
-    q = routed.withColumn("level", F.when(extent > 0, level).otherwise(0))
-    levels = sorted(r[0] for r in q.select("level").distinct().collect())  # MAX_LEVEL + 1 rows at most
-    side = F.lit(size) * F.pow(F.lit(4.0), F.col("level"))
-    steps = lambda lo, hi: F.explode(F.sequence(F.floor(F.col(lo) / side), F.floor(F.col(hi) / side)))
-    q = q.withColumn("_cx", steps("x1", "x2")).withColumn("_cy", steps("y1", "y2")).withColumn("_cell", _cell(F.col("_cx"), F.col("_cy"))).drop("_cx", "_cy")
-    d = data.withColumn("level", F.lit(levels[0]) if len(levels) == 1 else F.explode(F.array(*map(F.lit, levels or [0])))) if levels else data.withColumn("level", F.lit(0))
-    d = d.withColumn("_cell", _cell(F.floor(F.col("x") / side), F.floor(F.col("y") / side)))
-    keys = (["slot"] if slotted else []) + (["tile"] if on_tile else []) + ["level", "_cell"]
+from skewtile.plans.cost import CostModel, Tile, calibrate_sampled
+from skewtile.plans.tilemap import TileMap, by_tile, sample_points
+
+MAX_LEVEL, SAMPLED_WINDOWS = 16, 1024
+
+
+@dataclass(frozen=True)
+class Cells:
+    """The sides of the join's cells: 4 ** step at level 0, times 4 a level; `levels` are those that some window takes."""
+
+    step: int = 0
+    levels: tuple[int, ...] = (0,)
+
+    @classmethod
+    def of(cls, q: DataFrame, tm: TileMap | None = None) -> Cells:
+        """One job: windows by the size of cell that they would take, fewer than a thousand rows. Level 0 is the median window's; windows
+        wider than the widest tile are cut to tiles, so they need no wider cells than those."""
+        rows = q.select(_wanted(_extent()).alias("s")).groupBy("s").agg(F.count(F.lit(1)).alias("n")).orderBy("s").collect()
+        sizes = [(r["s"], r["n"]) for r in rows if r["s"] is not None]
+        if not sizes:
+            return cls(0, (0,))
+        steps, half = np.array([s for s, _ in sizes]), sum(n for _, n in sizes) / 2
+        step = int(steps[np.searchsorted(np.cumsum([n for _, n in sizes]), half)])
+        most = MAX_LEVEL
+        if tm is not None:
+            b = tm.data_boxes()
+            side = np.nanmax(np.maximum(b[:, 2] - b[:, 0], b[:, 3] - b[:, 1]), initial=0.0)
+            most = min(most, max(0, math.ceil(math.log(max(side, 1e-300) / 3, 4)) - step))
+        return cls(step, tuple(sorted({int(min(max(s - step, 0), most)) for s, _ in sizes} | ({0} if any(r["s"] is None for r in rows) else set()))))
+
+    def level(self) -> Column:
+        """A window's level among those in use."""
+        wish = F.least(F.greatest(_wanted(_extent()) - self.step, F.lit(self.levels[0])), F.lit(self.levels[-1]))
+        at = F.lit(self.levels[-1])
+        for one in reversed(self.levels[:-1]):
+            at = F.when(wish <= one, one).otherwise(at)
+        return F.coalesce(at, F.lit(self.levels[0])).cast("int")
+
+    def side(self) -> Column:
+        return F.pow(F.lit(4.0), F.col("level") + self.step)
+
+
+def _extent() -> Column:
+    return F.greatest(F.col("x2") - F.col("x1"), F.col("y2") - F.col("y1"))
+
+
+def _wanted(extent: Column) -> Column:
+    """The power of four of the cell side that a window of this extent covers at most four of; null for points."""
+    return F.when(extent > 0, F.ceil(F.log(4.0, extent / 3)).cast("int"))
+
+
+def cell_join(data: DataFrame, routed: DataFrame, cells: Cells, tm: TileMap | None = None) -> DataFrame:
+    """Local joins as one equi-join on (slot, tile, cell) with the window left over. A window takes the cell size at which it covers few
+    cells; data are keyed at each size in use. With a tile map, windows are cut to their tile's data first. Points have one
+    cell a size, so no pair comes twice. Where both sides have slots, data that lie by slot are left where they are."""
+    ends = [F.col(c) for c in ("x1", "y1", "x2", "y2")]
+    q = routed.withColumn("level", cells.level())
+    if tm is not None:
+        box = tm.data_boxes()
+        edge = [by_tile(box[:, k].tolist(), F.col("tile"), "double") for k in range(4)]
+        ends = [F.greatest(ends[0], edge[0]), F.greatest(ends[1], edge[1]), F.least(ends[2], edge[2]), F.least(ends[3], edge[3])]
+    steps = lambda lo, hi: F.explode(F.sequence(F.floor(lo / cells.side()), F.greatest(F.floor(hi / cells.side()), F.floor(lo / cells.side()))))
+    q = q.withColumn("_cx", steps(ends[0], ends[2])).withColumn("_cy", steps(ends[1], ends[3]))
+    d = data.withColumn("level", F.lit(cells.levels[0]) if len(cells.levels) == 1 else F.explode(F.array(*map(F.lit, cells.levels))))
+    d = d.withColumn("_cx", F.floor(F.col("x") / cells.side())).withColumn("_cy", F.floor(F.col("y") / cells.side()))
+    keys = [c for c in ("slot", "tile") if c in data.columns and c in routed.columns] + ["level", "_cx", "_cy"]
     return d.join(q, keys).where(in_rect(F.col("x"), F.col("y"), F.col("x1"), F.col("y1"), F.col("x2"), F.col("y2")))
 
 
-def kernel_join(data: DataFrame, routed: DataFrame, algo: str) -> DataFrame:
-    """Local joins by one of the numpy kernels, a tile's data and its queries at a time: (qid, pid, x, y)."""
+def kernel_join(data: DataFrame, routed: DataFrame, algo: str, timed: bool = False) -> DataFrame:
+    """Local joins by one of the numpy kernels, a tile's data and its queries at a time: (qid, pid, x, y). timed: one row a tile instead,
+    (tile, n_data, n_query, pairs, seconds)."""
 
     def run(d: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
         if not len(d) or not len(q):
-            return pd.DataFrame({"qid": pd.Series(dtype="int64"), "pid": pd.Series(dtype="int64"), "x": pd.Series(dtype="float64"), "y": pd.Series(dtype="float64")})
+            return pd.DataFrame({c.split()[0]: pd.Series(dtype="int64" if "long" in c else "float64") for c in schema.split(", ")})
+        began = time.perf_counter()
         name = kernels.choose("point", len(d), len(q)) if algo == "auto" else algo
         qi, di = kernels.RANGE[name](d["x"].to_numpy(), d["y"].to_numpy(), q[["x1", "y1", "x2", "y2"]].to_numpy(float))
+        if timed:
+            return pd.DataFrame({"tile": [int(d["tile"].iloc[0])], "n_data": [len(d)], "n_query": [len(q)], "pairs": [len(qi)], "seconds": [time.perf_counter() - began]})
         return pd.DataFrame({"qid": q["qid"].to_numpy()[qi], "pid": d["pid"].to_numpy()[di], "x": d["x"].to_numpy()[di], "y": d["y"].to_numpy()[di]})
 
-    data = data.select("tile", F.col("pid").cast("long"), F.col("x").cast("double"), F.col("y").cast("double"))
-    routed = routed.select("tile", F.col("qid").cast("long"), "x1", "y1", "x2", "y2")
-    return data.groupBy("tile").cogroup(routed.groupBy("tile")).applyInPandas(run, "qid long, pid long, x double, y double")
+    schema = "tile long, n_data long, n_query long, pairs long, seconds double" if timed else "qid long, pid long, x double, y double"
+    keys = [c for c in ("slot", "tile") if c in data.columns and c in routed.columns]
+    data = data.select(*keys, F.col("pid").cast("long"), F.col("x").cast("double"), F.col("y").cast("double"))
+    routed = routed.select(*keys, F.col("qid").cast("long"), "x1", "y1", "x2", "y2")
+    return data.groupBy(*keys).cogroup(routed.groupBy(*keys)).applyInPandas(run, schema)
 
 
 def range_join(
     q: DataFrame, tt: TiledTable, local: str = "catalyst", filter: bool = False, plan: str | None = None, budget: int = 8,
-    mode: str = "minimal", how: str = "inner", strategy: str = "replicate_queries", residual: Column | None = None, size: float | None = None, dedup: bool = False,
+    mode: str = "minimal", how: str = "inner", strategy: str = "replicate_queries", residual: Column | None = None, cells: Cells | None = None, dedup: bool = False,
+    carry: tuple[str, ...] = (), model: CostModel | None = None,
 ) -> DataFrame:
-    """(qid, pid) of all points in each closed window (qid, x1, y1, x2, y2).
+    """(qid, pid) of all points in each closed window (qid, x1, y1, x2, y2). Windows that end before they begin hold nothing.
 
     local: "catalyst" (equi-join on cells), a kernel's name, or "auto". filter: prune routed windows by occupancy filters.
-    plan: None, "query" or "data" (split skewed tiles by that distribution), "aqe" (leave skew to Spark).
+    plan: None, or "query", "data", "product", "sampled", "calibrated" (split skewed tiles; see `planned`).
     how: inner, left (windows without answers keep a null pid), semi or anti (their qid only). strategy: "replicate_inner"
-    copies the data to the windows' tiles instead. dedup: identical windows are searched once and given back to all."""
-    q = q.select("qid", "x1", "y1", "x2", "y2").where("x1 <= x2 AND y1 <= y2")
+    copies the data to the windows' tiles instead. dedup: identical windows are searched once and given back to all.
+    residual: a further predicate over x, y and the columns of q named in carry. model: the plan's cost model."""
+    whole = q
+    q = q.select("qid", "x1", "y1", "x2", "y2", *carry).where("x1 <= x2 AND y1 <= y2")
     if dedup:
-        one = q.groupBy("x1", "y1", "x2", "y2").agg(F.min("qid").alias("_one"))
-        names = q.join(one, ["x1", "y1", "x2", "y2"]).select("qid", "_one")
-        found = range_join(one.withColumnRenamed("_one", "qid"), tt, local, filter, plan, budget, mode, "inner", strategy, residual, size)
+        one = q.groupBy("x1", "y1", "x2", "y2", *carry).agg(F.min("qid").alias("_one"))
+        same = ["x1", "y1", "x2", "y2", *carry]
+        names = q.join(one, same).select("qid", "_one")
+        found = range_join(one.withColumnRenamed("_one", "qid"), tt, local, filter, plan, budget, mode, "inner", strategy, residual, cells, False, carry, model)
         pairs = found.withColumnRenamed("qid", "_one").join(names, "_one").select("qid", "pid")
-        return finish(q, pairs, how)
-    size = size or cell_size(q)
+        return finish(whole, pairs, how)
     if strategy == "replicate_inner":
-        return finish(q, _replicate_inner(q, tt, size), how)
+        return finish(whole, _replicate_inner(q, tt, cells or Cells.of(q), residual), how)
     if filter and tt.filters is None:
         tt = tt.with_filters()
-    store = tt.filters if filter else None
-    parts = [tt]
-    if plan in ("query", "data", "product"):
-        routed = route.ranges(q, tt.tiles, store)
-        rest, split = tt.apply(tt.plan(routed, budget, plan, mode))
-        parts = [rest] + ([split] if split is not None else [])
+    if plan:
+        tt = planned(q, tt, plan, budget, mode, model)
+    routed = tt.place(route.ranges(q, tt.tiles, tt.filters if filter else None))
+    if local == "catalyst" and cells is None:
+        cells = Cells.of(q, tt.tiles)
     out = []
-    for part in parts:
-        routed = route.ranges(q, part.tiles, (part.filters if part.filters is not None else store) if filter else None)
+    for i, part in enumerate(tt.parts):
+        asked = tt.of_part(routed, i)
         if local == "catalyst":
-            got = cell_join(part.df.select("pid", "x", "y", "tile"), routed, size)
+            got = cell_join(part.select("pid", "x", "y", *tt.keys), asked, cells, tt.tiles)
         else:
-            got = kernel_join(part.df, routed, local)
+            got = kernel_join(part, asked, local)
+            if carry:
+                got = got.join(q.select("qid", *carry), "qid")
         if residual is not None:
             got = got.where(residual)
         out.append(got.select("qid", "pid"))
-    return finish(q, merge.union(out), how)
+    return finish(whole, merge.union(out), how)
+
+
+def planned(q: DataFrame, tt: TiledTable, by: str = "query", budget: int = 8, mode: str = "minimal", model: CostModel | None = None) -> TiledTable:
+    """The table with the tiles cut that these windows skew, by the cost model. A batch that is planned alike takes the split made
+    before. by: what the cuts halve; "sampled" and "calibrated" halve queries and estimate local work from samples of both sides, the
+    latter with weights from the timed local joins of a sample of the windows."""
+    q, pairs = q.select("qid", "x1", "y1", "x2", "y2"), None
+    if by in ("sampled", "calibrated"):
+        pairs = sampled_pairs(q, tt)
+        if model is None:
+            some = q.orderBy(F.xxhash64("qid")).limit(SAMPLED_WINDOWS)
+            model = CostModel(p_probe=1.0, p_pair=1.0) if by == "sampled" else calibrated(some, tt)
+        by = "query"
+    return tt.apply(tt.plan(route.ranges(q, tt.tiles), budget, by, mode, model or CostModel(), pairs))
+
+
+def sampled_pairs(q: DataFrame, tt: TiledTable, n_data: int = 8192, n_query: int = SAMPLED_WINDOWS) -> np.ndarray:
+    """The answers expected of each tile, from samples of bounded size of both sides."""
+    data = sample_points(tt.rows, n_data)
+    n = q.count()
+    boxes = q.orderBy(F.xxhash64("qid")).limit(n_query).select("x1", "y1", "x2", "y2").toPandas().to_numpy(float)
+    if not len(data) or not len(boxes):
+        return np.zeros(tt.tiles.n_tiles)
+    inside = (data[:, 0] >= boxes[:, :1]) & (data[:, 0] <= boxes[:, 2:3]) & (data[:, 1] >= boxes[:, 1:2]) & (data[:, 1] <= boxes[:, 3:])
+    held = np.bincount(tt.tiles.locate(data[:, 0], data[:, 1]), weights=inside.sum(0), minlength=tt.tiles.n_tiles)
+    return held * (tt.n_rows / len(data)) * (n / len(boxes))
+
+
+def tile_times(q: DataFrame, tt: TiledTable, local: str = "auto", filter: bool = False) -> DataFrame:
+    """(tile, n_data, n_query, pairs, seconds) of every tile's local join, out of the tasks that ran them."""
+    routed = tt.place(route.ranges(q.select("qid", "x1", "y1", "x2", "y2"), tt.tiles, tt.filters if filter else None))
+    return merge.union([kernel_join(part, tt.of_part(routed, i), local, timed=True) for i, part in enumerate(tt.parts)])
+
+
+def calibrated(q: DataFrame, tt: TiledTable, local: str = "auto", records_per_second: float = 1e6) -> CostModel:
+    """Weights in seconds from the timed local joins of a batch: a row a tile comes to the driver."""
+    rows = tile_times(q, tt, local).collect()
+    return calibrate_sampled([(Tile(r["n_data"], r["n_query"], r["pairs"]), r["seconds"]) for r in rows], records_per_second) if rows else CostModel()
 
 
 def finish(q: DataFrame, pairs: DataFrame, how: str) -> DataFrame:
@@ -112,32 +197,35 @@ def finish(q: DataFrame, pairs: DataFrame, how: str) -> DataFrame:
     return q.select("qid").join(pairs.select("qid").distinct() if how == "semi" else pairs, "qid", f"left_{how}")
 
 
-def _replicate_inner(q: DataFrame, tt: TiledTable, size: float) -> DataFrame:
-    """The other way round: windows stay in the tile of their middle, and data go to every tile whose windows may hold them."""
+def _replicate_inner(q: DataFrame, tt: TiledTable, cells: Cells, residual: Column | None = None) -> DataFrame:
+    """The other way round: windows stay in the tile of their middle, and data go to every tile whose windows may hold them. The map
+    finds the tiles near a point as far as windows reach out of theirs; each tile's windows' common box decides."""
     placed = q.withColumn("tile", tt.tiles.tile_of((F.col("x1") + F.col("x2")) / 2, (F.col("y1") + F.col("y2")) / 2))
     mbr = np.full((tt.tiles.n_tiles, 4), np.nan)
     for t, *b in placed.groupBy("tile").agg(F.min("x1"), F.min("y1"), F.max("x2"), F.max("y2")).collect():  # a row a tile
         mbr[t] = b
-    boxes = [(t, *map(float, b)) for t, b in enumerate(mbr) if not math.isnan(b[0])]
-    if not boxes:
+    used = ~np.isnan(mbr[:, 0])
+    if not used.any():
         return tt.df.limit(0).select(F.lit(0).cast("long").alias("qid"), "pid")
-    hit = lambda b: in_rect(F.col("x"), F.col("y"), *map(F.lit, b[1:]))
-    copies = tt.df.select("pid", "x", "y", F.explode(F.array_compact(F.array(*(F.when(hit(b), F.lit(b[0])) for b in boxes)))).alias("tile"))
-    return cell_join(copies, placed, size).select("qid", "pid")
+    reach = tt.tiles.with_mbr(np.where(used[:, None], mbr, np.nan))
+    region = tt.tiles.boxes()[used]
+    out = [float(max(0.0, np.max(np.maximum(region[:, k] - mbr[used, k], mbr[used, k + 2] - region[:, k + 2])))) for k in (0, 1)]
+    near = reach.with_mbr(None).tiles_in_reach(F.col("x"), F.col("y"), *out)
+    edge = [by_tile(mbr[:, k].tolist(), F.col("tile"), "double") for k in range(4)]
+    copies = tt.rows.select("pid", "x", "y", F.explode(near).alias("tile")).where(~F.isnan(edge[0]) & in_rect(F.col("x"), F.col("y"), *edge))
+    got = cell_join(copies, placed, cells)
+    return (got if residual is None else got.where(residual)).select("qid", "pid")
 
 
 def distance_join(q: DataFrame, tt: TiledTable, r: float | None = None, **options) -> DataFrame:
-    """(qid, pid) of all points within distance r of each focal point (qid, cx, cy); r None: a column r of q."""
+    """(qid, pid) of all points within distance r of each focal point (qid, cx, cy); r None: a column r of q. The test is on the given
+    coordinates and radius; windows around them, a little too wide, only find the candidates."""
     radius = F.col("r") if r is None else F.lit(float(r))
-    w = q.select("qid", (F.col("cx") - radius).alias("x1"), (F.col("cy") - radius).alias("y1"), (F.col("cx") + radius).alias("x2"), (F.col("cy") + radius).alias("y2"))
-    if options.get("local", "catalyst") == "catalyst" and not options.get("dedup"):
-        middle = ((F.col("x1") + F.col("x2")) / 2, (F.col("y1") + F.col("y2")) / 2, (F.col("x2") - F.col("x1")) / 2)
-        return range_join(w, tt, residual=in_circle(F.col("x"), F.col("y"), *middle), **options)
-    options["dedup"] = False
-    found = range_join(w, tt, **options)
-    points = tt.df.select("pid", "x", "y").distinct()
-    near = found.join(q, "qid").join(points, "pid").where(in_circle(F.col("x"), F.col("y"), F.col("cx"), F.col("cy"), radius))
-    return near.select("qid", "pid")
+    reach = F.col("_r") + (F.abs("cx") + F.abs("cy") + F.col("_r")) * 1e-14
+    w = q.select("qid", F.col("cx").cast("double").alias("cx"), F.col("cy").cast("double").alias("cy"), radius.cast("double").alias("_r"))
+    w = w.select("*", (F.col("cx") - reach).alias("x1"), (F.col("cy") - reach).alias("y1"), (F.col("cx") + reach).alias("x2"), (F.col("cy") + reach).alias("y2"))
+    near = in_circle(F.col("x"), F.col("y"), F.col("cx"), F.col("cy"), F.col("_r")) & (F.col("_r") >= 0)
+    return range_join(w, tt, residual=near, carry=("cx", "cy", "_r"), **options)
 
 
 def self_range_join(points: DataFrame, tt: TiledTable, half: float, **options) -> DataFrame:
@@ -146,30 +234,37 @@ def self_range_join(points: DataFrame, tt: TiledTable, half: float, **options) -
     return range_join(w, tt, **options).where("qid <> pid")
 
 
-def salted_join(q: DataFrame, tt: TiledTable, salts: int = 8, size: float | None = None) -> DataFrame:
+def salted_join(q: DataFrame, tt: TiledTable, salts: int = 8, cells: Cells | None = None) -> DataFrame:
     """For hot spots that no cut divides (many points in one place): windows are copied to every salt, points are dealt to one."""
-    size = size or cell_size(q)
+    cells = cells or Cells.of(q)
     routed = route.ranges(q, tt.tiles).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-    data = tt.df.select("pid", "x", "y", (F.col("tile") * salts + F.pmod(F.xxhash64("pid"), F.lit(salts))).cast("long").alias("tile"))
+    data = tt.rows.select("pid", "x", "y", (F.col("tile") * salts + F.pmod(F.xxhash64("pid"), F.lit(salts))).cast("long").alias("tile"))
     routed = routed.withColumn("tile", (F.col("tile") * salts + F.col("salt")).cast("long")).drop("salt")
-    return cell_join(data, routed, size).select("qid", "pid")
+    return cell_join(data, routed, cells).select("qid", "pid")
 
 
-def empty_probes(q: DataFrame, tt: TiledTable, size: float | None = None) -> DataFrame:
+def aqe_join(q: DataFrame, tt: TiledTable) -> DataFrame:
+    """What a planner without costs of tiles does: tiles meet their windows by tile number alone, and skew is left to Spark, which splits
+    large partitions of a sort-merge join while it runs."""
+    routed = route.ranges(q.select("qid", "x1", "y1", "x2", "y2"), tt.tiles)
+    hits = tt.rows.select("pid", "x", "y", "tile").hint("merge").join(routed, "tile")
+    return hits.where(in_rect(F.col("x"), F.col("y"), F.col("x1"), F.col("y1"), F.col("x2"), F.col("y2"))).select("qid", "pid")
+
+
+def empty_probes(q: DataFrame, tt: TiledTable) -> DataFrame:
     """(tile, x1, y1, x2, y2): routed windows that had no answer in that tile, which is what filters learn from."""
-    routed = route.ranges(q.select("qid", "x1", "y1", "x2", "y2"), tt.tiles, tt.filters)
-    hits = cell_join(tt.df.select("pid", "x", "y", "tile"), routed, size or cell_size(q)).select("qid", "tile").distinct()
+    q = q.select("qid", "x1", "y1", "x2", "y2")
+    routed = route.ranges(q, tt.tiles, tt.filters)
+    hits = cell_join(tt.rows.select("pid", "x", "y", "tile"), routed, Cells.of(q, tt.tiles), tt.tiles).select("qid", "tile").distinct()
     return routed.join(hits, ["qid", "tile"], "left_anti").select("tile", "x1", "y1", "x2", "y2")
 
 
 def adapt(q: DataFrame, tt: TiledTable, border: str = "exact", max_depth: int = 9, max_bits: int | None = None) -> TiledTable:
     """One round of learning: the table with filters refreshed by what these windows found empty."""
     tt = tt if tt.filters is not None else tt.with_filters()
-    return replace(tt, filters=tt.filters.refresh(tt.df, empty_probes(q, tt), border, max_depth, max_bits))
+    return tt.like(filters=tt.filters.refresh(tt.rows, empty_probes(q, tt), border, max_depth, max_bits))
 
 
-def modelled_costs(q: DataFrame, tt: TiledTable, budget: int = 8, by: str = "query", model: CostModel = CostModel()) -> list[float]:
+def modelled_costs(q: DataFrame, tt: TiledTable, budget: int = 8, by: str = "query", model: CostModel = CostModel(), pairs: np.ndarray | None = None) -> list[float]:
     """The plan's cost before and after each split."""
-    return tt.plan(route.ranges(q, tt.tiles), budget, by, model=model).costs
-
-
+    return tt.plan(route.ranges(q, tt.tiles), budget, by, model=model, pairs=pairs).costs

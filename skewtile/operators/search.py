@@ -29,13 +29,19 @@ def tiles_for(tt: TiledTable, shape: Rect | Circle) -> list[int]:
     return found
 
 
-def range_search(tt: TiledTable, shape: Rect | Circle, keyword: str | None = None, text: str = "text", where: Column | None = None) -> DataFrame:
-    """The points of a closed window or disc: a tile list for partition pruning, then the predicate, then a text predicate."""
+def range_search(tt: TiledTable, shape: Rect | Circle, keyword: str | None = None, text: str = "text", where: Column | None = None, texts: DataFrame | None = None) -> DataFrame:
+    """The points of a closed window or disc: a tile list for partition pruning, then the predicate, then a text predicate. texts: a table of
+    one key column and the text, where the points carry only the key."""
     x, y = F.col("x"), F.col("y")
     inside = g.in_rect(x, y, *map(F.lit, shape)) if len(shape) == 4 else g.in_circle(x, y, *map(F.lit, shape))
-    df = tt.df.where(F.col("tile").isin(tiles_for(tt, shape))).where(inside)
+    df = tt.rows.where(F.col("tile").isin(tiles_for(tt, shape))).where(inside)
     if keyword is not None:
-        df = df.where(F.array_contains(F.split(F.lower(F.col(text)), "[^a-z0-9]+"), keyword.lower()))
+        has = F.array_contains(F.split(F.lower(F.col(text)), "[^a-z0-9]+"), keyword.lower())
+        if texts is None:
+            df = df.where(has)
+        else:
+            key = next(c for c in texts.columns if c != text)
+            df = df.join(texts.where(has).select(key), key, "left_semi")
     return df if where is None else df.where(where)
 
 
@@ -58,7 +64,7 @@ def knn_search(tt: TiledTable, x: float, y: float, k: int, where: Column | None
     """(pid, x, y, dist2, rank) of the k nearest points, ties by pid, x, y. The radius comes from the tiles' boxes and counts, so one
     round over the tiles within it is enough; with a predicate, counts are those of the rows that pass it."""
     d2 = g.dist2(F.col("x"), F.col("y"), F.lit(float(x)), F.lit(float(y)))
-    df, counts = tt.df, tt.counts
+    df, counts = tt.rows, tt.counts
     if where is not None:
         df = df.where(where)
         counts = np.zeros_like(counts)

@@ -11,10 +11,11 @@ import numpy as np
 
 @dataclass(frozen=True)
 class Tile:
-    """A tile's data and query counts."""
+    """A tile's data and query counts, and the answers expected of it where they were estimated."""
 
     n_data: float
     n_query: float
+    pairs: float | None = None
 
 
 @dataclass(frozen=True)
@@ -28,10 +29,16 @@ class CostModel:
     answers: float = 10.0
     p_route: float = 0.0
     local_form: Callable[[Tile], float] | None = None
+    p_probe: float = 0.0
+    p_pair: float = 0.0
 
     def local(self, t: Tile) -> float:
-        """E: the local join of a tile."""
-        return self.local_form(t) if self.local_form else t.n_data * t.n_query * self.p_local
+        """E: the local join of a tile. Where its answers were estimated from samples, probes of an index and answers are what it costs."""
+        if self.local_form:
+            return self.local_form(t)
+        if t.pairs is not None and (self.p_probe or self.p_pair):
+            return sampled_local(t.pairs, 1.0, 1.0, t.n_data, t.n_query, self.p_probe, self.p_pair)
+        return t.n_data * t.n_query * self.p_local
 
     def route(self, n_query: float, fanout: float = 1.0) -> float:
         """epsilon: sending queries to their tiles."""
@@ -67,7 +74,7 @@ class CostModel:
         return max(self.split(tiles[at], parts), max(map(self.local, rest), default=0.0)) + self.merge(sum(t.n_query for t in rest))
 
 
-def sampled_local(pairs: int, alpha_data: float, alpha_query: float, n_data: float, n_query: float, per_probe: float = 1.0, per_pair: float = 1.0) -> float:
+def sampled_local(pairs: float, alpha_data: float, alpha_query: float, n_data: float, n_query: float, per_probe: float = 1.0, per_pair: float = 1.0) -> float:
     """E estimated from samples: probes of an index of n_data points, and pairs found in the samples scaled up."""
     return per_probe * n_query * math.log2(n_data + 2) + per_pair * pairs / max(alpha_data * alpha_query, 1e-12)
 
@@ -86,3 +93,17 @@ def calibrate(times: Sequence[tuple[Tile, float]]) -> CostModel:
     x = np.array([t.n_data * t.n_query for t, _ in times])
     y = np.array([s for _, s in times])
     return CostModel(p_local=float((x * y).sum() / max((x * x).sum(), 1e-12)))
+
+
+def calibrate_sampled(times: Sequence[tuple[Tile, float]], records_per_second: float, index_seconds: float = 0.0) -> CostModel:
+    """Weights in seconds from timed local joins of tiles with known answers: probes and answers by least squares, negative ones
+    left out. records_per_second: how fast records are shuffled; index_seconds: what indexing a point takes."""
+    x = np.array([[t.n_query * math.log2(t.n_data + 2), t.pairs] for t, _ in times], float)
+    y = np.array([s for _, s in times])
+    (probe, pair), *_ = np.linalg.lstsq(x, y, rcond=None)
+    if probe < 0 or pair < 0:
+        alone = (x * y[:, None]).sum(0) / np.maximum((x * x).sum(0), 1e-300)
+        probe, pair = (alone[0], 0.0) if pair < 0 else (0.0, alone[1])
+    mean = max(1e-9, x[:, 1].sum() / max(1.0, sum(t.n_query for t, _ in times)))
+    per_record = 1.0 / records_per_second
+    return CostModel(p_probe=float(probe), p_pair=float(pair), p_shuffle=per_record, p_merge=per_record / mean, p_index=index_seconds, answers=mean, p_local=float((x[:, 1] * y).sum() / max((x[:, 1] ** 2).sum(), 1e-300)))

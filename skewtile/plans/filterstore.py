@@ -7,7 +7,7 @@ from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from skewtile.plans import obf
@@ -93,30 +93,38 @@ class FilterStore:
     def size_bits(self) -> int:
         return sum(f.size_bits for f in self.filters.values())
 
-    def prune(self, routed: DataFrame, columns: tuple[str, ...] = ("x1", "y1", "x2", "y2")) -> DataFrame:
-        """Drops routed rows whose tile surely has nothing in their range. columns: of a rectangle, or (x, y, r)."""
+    def prune(self, routed: DataFrame, columns: tuple[str, ...] = ("x1", "y1", "x2", "y2"), keep: Column | None = None) -> DataFrame:
+        """Drops routed rows whose tile surely has nothing in their range, but for those of which `keep` is true. columns: of a rectangle, or
+        (x, y, r)."""
         filters = self.filters
 
         @F.pandas_udf("boolean")
         def may(tile: pd.Series, *shape: pd.Series) -> pd.Series:
             rows = np.column_stack([s.to_numpy(float) for s in shape])
+            whole = ~np.isfinite(rows).all(1)  # no end to look up: such a shape passes wherever there are data
+            rows[whole] = 0.0
             slack = 1e-9 * (1 + np.abs(rows).max(1))  # cell borders are rounded
             rows = rows + slack[:, None] * np.array([-1, -1, 1, 1] if len(shape) == 4 else [0, 0, 1])
             out = np.zeros(len(tile), bool)
             for t, at in tile.groupby(tile).indices.items():
-                out[at] = obf.may_contain_batch(filters[t], rows[at]) if t in filters else False
+                out[at] = obf.may_contain_batch(filters[t], rows[at]) | whole[at] if t in filters else False
             return pd.Series(out)
 
-        return routed.where(may(F.col("tile"), *(F.col(c) for c in columns)))
+        held = may(F.col("tile"), *(F.col(c) for c in columns))
+        return routed.where(held if keep is None else keep | held)
 
     def refresh(self, tiled: DataFrame, empty_probes: DataFrame, border: str = "exact", max_depth: int = 9, max_bits: int | None = None) -> FilterStore:
         """empty_probes: (tile, x1, y1, x2, y2) that were searched and had no answer in that tile. The workers that hold the tiles learn from
         them; tiles without such probes keep their filter."""
         filters = self.filters
         probes = empty_probes.select("tile", "x1", "y1", "x2", "y2").distinct()
-        # the exact border rule needs only the points in cells that a probe crosses, so a tile's far points stay away
+        # the exact border rule needs only the points in cells that a probe crosses, and no cell before the first cut is wider than the box
         edge = probes.select(F.col("tile").alias("_t"), "x1", "y1", "x2", "y2").groupBy("_t").agg(F.min("x1").alias("a"), F.min("y1").alias("b"), F.max("x2").alias("c"), F.max("y2").alias("d"))
-        near = tiled.join(edge, F.col("tile") == F.col("_t")).select("tile", "x", "y") if border == "exact" else tiled.select("tile", "x", "y").limit(0)
+        near = tiled.join(edge, F.col("tile") == F.col("_t")) if border == "exact" else tiled.limit(0)
+        if border == "exact":
+            wide = max((f.box[2] - f.box[0] for f in filters.values()), default=0.0) / 2, max((f.box[3] - f.box[1] for f in filters.values()), default=0.0) / 2
+            near = near.where((F.col("x") >= F.col("a") - wide[0]) & (F.col("x") <= F.col("c") + wide[0]) & (F.col("y") >= F.col("b") - wide[1]) & (F.col("y") <= F.col("d") + wide[1]))
+        near = near.select("tile", "x", "y")
 
         def learn(key, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
             tile = int(key[0])

@@ -143,9 +143,17 @@ class Histogram:
     box: tuple[float, float, float, float]
     data: np.ndarray
     query: np.ndarray
+    pairs: float | None = None
+    """Answers expected of the whole box; parts get theirs by the product of data and queries on their sub-cells."""
 
     def tile(self) -> Tile:
-        return Tile(float(self.data.sum()), float(self.query.sum()))
+        return Tile(float(self.data.sum()), float(self.query.sum()), self.pairs)
+
+    def _part(self, box, where) -> Histogram:
+        d, q = self.data[where], self.query[where]
+        whole = float((self.data * self.query).sum())
+        pairs = None if self.pairs is None else self.pairs * (float((d * q).sum()) / whole if whole else d.size / self.data.size)
+        return Histogram(tuple(box), d, q, pairs)
 
     def _weight(self, by: str) -> np.ndarray:
         return {"data": self.data, "query": self.query, "product": self.data * self.query}[by].astype(float)
@@ -169,7 +177,7 @@ class Histogram:
         low, high = list(self.box), list(self.box)
         low[a + 2] = high[a] = c
         lower, upper = (slice(None, k), slice(None)) if a == 0 else (slice(None), slice(None, k)), (slice(k, None), slice(None)) if a == 0 else (slice(None), slice(k, None))
-        return a, c, Histogram(tuple(low), self.data[lower], self.query[lower]), Histogram(tuple(high), self.data[upper], self.query[upper])
+        return a, c, self._part(low, lower), self._part(high, upper)
 
     def cut(self, parts: int, by: str = "query"):
         """A nested tree of cuts, (axis, cut, below, above) or a Histogram at its leaves, with up to `parts` leaves."""

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from skewtile.functions.geometry import mindist2, np_maxdist2
 from skewtile.plans.filterstore import FilterStore
-from skewtile.plans.tilemap import CODEGEN_TILES, TileMap
+from skewtile.plans.tilemap import TileMap, by_tile
 
 
 def ranges(q: DataFrame, tm: TileMap, filters: FilterStore | None = None) -> DataFrame:
@@ -28,37 +28,47 @@ def circles(q: DataFrame, tm: TileMap, r2: Column, filters: FilterStore | None =
     r = F.sqrt(r2) * (1 + 1e-12)
     q = q.withColumn("r2", r2)
     met = tm.tiles_meeting(F.col("cx") - r, F.col("cy") - r, F.col("cx") + r, F.col("cy") + r)
-    routed = q.withColumn("tile", F.explode(met))
+    routed = q.withColumn("tile", F.explode(met)).where(meets_disc(tm))
+    return prune_discs(routed, filters)
+
+
+def meets_disc(tm: TileMap) -> Column:
+    """Whether the data box of `tile` is within the squared radius r2 of (cx, cy), however many tiles there are."""
     boxes = tm.data_boxes()
-    if tm.n_tiles <= CODEGEN_TILES:
-        box = F.array(*(F.array(*(F.lit(float(v)) for v in b)) for b in boxes))
-        edge = [F.get(F.get(box, F.col("tile")), k) for k in range(4)]
-        routed = routed.where(mindist2(F.col("cx"), F.col("cy"), *edge) <= F.col("r2"))
-    if filters is not None:
-        routed = filters.prune(routed.withColumn("_r", F.sqrt("r2") * (1 + 1e-12)), ("cx", "cy", "_r")).drop("_r")
-    return routed
+    edge = [by_tile(boxes[:, k].tolist(), F.col("tile"), "double") for k in range(4)]
+    return mindist2(F.col("cx"), F.col("cy"), *edge) <= F.col("r2")
+
+
+def prune_discs(routed: DataFrame, filters: FilterStore | None, keep: Column | None = None) -> DataFrame:
+    """Without the rows whose disc surely holds nothing in their tile; rows of which `keep` is true stay."""
+    if filters is None:
+        return routed
+    return filters.prune(routed.withColumn("_r", F.sqrt("r2") * (1 + 1e-12)), ("cx", "cy", "_r"), keep).drop("_r")
 
 
-def bound_from_counts(cx: Column, cy: Column, tm: TileMap, counts: np.ndarray, k: Column) -> Column:
+def bound_from_counts(cx: Column, cy: Column, tm: TileMap, counts: np.ndarray, k: Column, known: Column | None = None) -> Column:
     """A squared radius within which each focal point surely has k points: tiles by their farthest corner, until their counts
-    reach k. Infinite where all tiles together have fewer."""
+    reach k. Infinite where all tiles together have fewer. known: radii that are taken as they are where not null, at no cost."""
     boxes, counts = tm.mbr, np.asarray(counts)
     use = counts > 0
     boxes, counts = boxes[use], counts[use]
     if not len(boxes):
-        return F.lit(float("inf"))
+        return F.lit(float("inf")) if known is None else F.coalesce(known, F.lit(float("inf")))
 
     @F.pandas_udf("double")
-    def bound(cx: pd.Series, cy: pd.Series, k: pd.Series) -> pd.Series:
-        out = np.full(len(cx), np.inf)
+    def bound(cx: pd.Series, cy: pd.Series, k: pd.Series, known: pd.Series) -> pd.Series:
+        out = known.to_numpy(float, na_value=np.nan).copy()
+        todo = np.flatnonzero(np.isnan(out))
+        out[todo] = np.inf
         step = max(1, (1 << 22) // max(1, len(boxes)))
-        for a in range(0, len(cx), step):
-            d = np_maxdist2(cx.to_numpy()[a : a + step], cy.to_numpy()[a : a + step], boxes)
+        for a in range(0, len(todo), step):
+            at = todo[a : a + step]
+            d = np_maxdist2(cx.to_numpy()[at], cy.to_numpy()[at], boxes)
             order = np.argsort(d, axis=1, kind="stable")
-            enough = np.cumsum(counts[order], axis=1) >= k.to_numpy()[a : a + step, None]
+            enough = np.cumsum(counts[order], axis=1) >= k.to_numpy()[at, None]
             first = enough.argmax(1)
             rows = np.arange(len(d))
-            out[a : a + step] = np.where(enough.any(1), d[rows, order[rows, first]], np.inf)
+            out[at] = np.where(enough.any(1), d[rows, order[rows, first]], np.inf)
         return pd.Series(out)
 
-    return bound(cx, cy, k)
+    return bound(cx, cy, k, F.lit(None).cast("double") if known is None else known)

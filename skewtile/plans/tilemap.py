@@ -278,6 +278,13 @@ class TileMap:
 
         return tiles(x1, y1, x2, y2)
 
+    def tiles_in_reach(self, x: Column, y: Column, dx: float, dy: float) -> Column:
+        """Array of the tiles whose region, not whose data, a point has within dx and dy."""
+        if self.n_tiles <= CODEGEN_TILES:
+            hit = lambda b: g.rects_meet(x - dx, y - dy, x + dx, y + dy, *(float(v) for v in b))
+            return F.array_compact(F.array(*(F.when(hit(b), F.lit(t)) for t, b in enumerate(self.boxes()))))
+        return self.with_mbr(None).tiles_meeting(x - dx, y - dy, x + dx, y + dy)  # a map without data boxes goes by its cuts
+
     def rect_tiles(self, rects: np.ndarray) -> list[np.ndarray]:
         """For each closed rectangle, the tiles whose data box it meets: a frontier of (query, node) goes down the tree."""
         q, node = np.arange(len(rects)), np.zeros(len(rects), np.int64)
@@ -306,6 +313,11 @@ class TileMap:
         return cls(np.array(d["axis"]), np.array(d["cut"], float), np.array(d["left"]), np.array(d["right"]), tuple(d["bounds"]), d["kind"], None if d["mbr"] is None else np.array(d["mbr"], float))
 
 
+def by_tile(values: list, tile: Column, kind: str) -> Column:
+    """A per-tile constant as a Column: one literal array however large the map, as Spark folds the split of a constant."""
+    return F.get(F.split(F.lit(",".join(map(repr, values))), ",").cast(f"array<{kind}>"), tile)
+
+
 def _leaves(tree) -> int:
     return 1 if tree is None else _leaves(tree[2]) + _leaves(tree[3])
 

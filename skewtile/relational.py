@@ -95,18 +95,12 @@ def _(s, d):
     return s.sql("SELECT v.name, count(*) AS n FROM VALUES ('a', 600000, 0, 900000, 300000), ('b', 1500000, 0, 1700000, 200000) AS v(name, x1, y1, x2, y2) JOIN plane_e d ON d.x BETWEEN v.x1 AND v.x2 AND d.y BETWEEN v.y1 AND v.y2 GROUP BY v.name")
 
 
-def _sampled(every: int):
-    """(suffix, condition) of a query over a sample of the events by pid, and of the same query over all of them."""
-    return ("", f"pid % {every} = 0"), ("_all", "true")
-
-
-def _wkb_points(s, d, rows):
-    w = pl.events(s, d).where(rows).select("pid", shapes.point_wkb(col("x"), col("y")).alias("wkb"))
+def _wkb_points(s, d):
+    w = pl.events(s, d).select("pid", shapes.point_wkb(col("x"), col("y")).alias("wkb"))
     return w.withColumn("p", shapes.wkb_point(col("wkb"))).select("pid", "p.x", "p.y")
 
 
-for _n, _w in _sampled(10):
-    query(f"wkb_points{_n}", f"SELECT pid, x, y FROM {E} WHERE {_w}")(lambda s, d, w=_w: _wkb_points(s, d, w))
+query("wkb_points", f"SELECT pid, x, y FROM {E}")(_wkb_points)
 
 
 # projections and predicates ---------------------------------------------------------------------
@@ -170,20 +164,20 @@ def _(s, d):
 
 @query("join_band_cells", f"SELECT q.qid, d.pid FROM {_QA} q JOIN {E} d ON {_IN}")
 def _(s, d):
-    return rangejoin.cell_join(pl.events(s, d), qa(s, d), 40000.0, on_tile=False).select("qid", "pid")
+    return rangejoin.cell_join(pl.events(s, d), qa(s, d), rangejoin.Cells.of(qa(s, d))).select("qid", "pid")
 
 
 @query("join_distance", f"SELECT q.pid AS qid, d.pid FROM {E} q JOIN {E} d ON (d.x - q.x) * (d.x - q.x) + (d.y - q.y) * (d.y - q.y) <= 4e8 WHERE q.pid % 40 = 0")
 def _(s, d):
     w = pl.windows_of(pl.events(s, d), 20000.0, 40)
-    near = rangejoin.cell_join(pl.events(s, d), w, 40000.0, on_tile=False)
+    near = rangejoin.cell_join(pl.events(s, d), w, rangejoin.Cells.of(w))
     return near.where(g.dist2(col("x"), col("y"), col("x1") + 20000, col("y1") + 20000) <= 4e8).select("qid", "pid")
 
 
 @query("join_interval", f"SELECT a.pid AS apid, b.pid AS bpid FROM {E} a JOIN {E} b ON b.x BETWEEN a.x AND a.x + 1800 AND b.y BETWEEN a.y - 20000 AND a.y + 20000 AND a.pid <> b.pid WHERE a.pid % 20 = 0")
 def _(s, d):
     w = pl.events(s, d).where("pid % 20 = 0").select(col("pid").alias("qid"), col("x").alias("x1"), (col("y") - 20000).alias("y1"), (col("x") + 1800).alias("x2"), (col("y") + 20000).alias("y2"))
-    return rangejoin.cell_join(pl.events(s, d), w, 20000.0, on_tile=False).where("qid <> pid").select(col("qid").alias("apid"), col("pid").alias("bpid"))
+    return rangejoin.cell_join(pl.events(s, d), w, rangejoin.Cells.of(w)).where("qid <> pid").select(col("qid").alias("apid"), col("pid").alias("bpid"))
 
 
 @query("join_asof", "SELECT a.event_id AS buy, (SELECT max(b.event_id) FROM events b WHERE b.user_id = a.user_id AND b.event_type = 'click' AND b.ts = (SELECT max(c.ts) FROM events c WHERE c.user_id = a.user_id AND c.event_type = 'click' AND c.ts <= a.ts)) AS click FROM events a WHERE a.event_type = 'purchase'")
@@ -207,19 +201,19 @@ def _shifted(s, d):
 @query("semi_hit_queries", f"SELECT q.qid FROM {_SHIFT} q WHERE EXISTS (SELECT 1 FROM {E} d WHERE {_IN})")
 def _(s, d):
     q = _shifted(s, d)
-    return q.join(rangejoin.cell_join(pl.events(s, d), q, 20000.0, on_tile=False).select("qid"), "qid", "left_semi").select("qid")
+    return q.join(rangejoin.cell_join(pl.events(s, d), q, rangejoin.Cells.of(q)).select("qid"), "qid", "left_semi").select("qid")
 
 
 @query("anti_empty_queries", f"SELECT q.qid FROM {_SHIFT} q WHERE NOT EXISTS (SELECT 1 FROM {E} d WHERE {_IN})")
 def _(s, d):
     q = _shifted(s, d)
-    return q.join(rangejoin.cell_join(pl.events(s, d), q, 20000.0, on_tile=False).select("qid"), "qid", "left_anti").select("qid")
+    return q.join(rangejoin.cell_join(pl.events(s, d), q, rangejoin.Cells.of(q)).select("qid"), "qid", "left_anti").select("qid")
 
 
 @query("left_hit_counts", f"SELECT q.qid, count(d.pid) AS n FROM {_SHIFT} q LEFT JOIN {E} d ON {_IN} GROUP BY q.qid")
 def _(s, d):
     q = _shifted(s, d)
-    n = rangejoin.cell_join(pl.events(s, d), q, 20000.0, on_tile=False).groupBy("qid").agg(F.count("pid").alias("n"))
+    n = rangejoin.cell_join(pl.events(s, d), q, rangejoin.Cells.of(q)).groupBy("qid").agg(F.count("pid").alias("n"))
     return q.select("qid").join(n, "qid", "left").na.fill(0, ["n"])
 
 
@@ -241,7 +235,7 @@ def _(s, d):
 def _(s, d):
     e = pl.events(s, d)
     w = e.select(col("pid").alias("qid"), (col("x") - 2000).alias("x1"), (col("y") - 2000).alias("y1"), (col("x") + 2000).alias("x2"), (col("y") + 2000).alias("y2"))
-    near = rangejoin.cell_join(e, w, 4000.0, on_tile=False).where((col("qid") < col("pid")) & (g.dist2(col("x"), col("y"), col("x1") + 2000, col("y1") + 2000) <= 4e6))
+    near = rangejoin.cell_join(e, w, rangejoin.Cells.of(w)).where((col("qid") < col("pid")) & (g.dist2(col("x"), col("y"), col("x1") + 2000, col("y1") + 2000) <= 4e6))
     return near.select(col("qid").alias("p"), col("pid").alias("q"))
 
 
@@ -331,7 +325,7 @@ def _(s, d):
 def _ranked(s, d):
     """The hits of area a with their squared distance from the window's middle."""
     q = qa(s, d)
-    return rangejoin.cell_join(pl.events(s, d), q, 40000.0, on_tile=False).withColumn("d2", g.dist2(col("x"), col("y"), col("x1") + 20000, col("y1") + 20000)).select("qid", "pid", "d2")
+    return rangejoin.cell_join(pl.events(s, d), q, rangejoin.Cells.of(q)).withColumn("d2", g.dist2(col("x"), col("y"), col("x1") + 20000, col("y1") + 20000)).select("qid", "pid", "d2")
 
 
 _RANKED = f"(SELECT q.qid, d.pid, (d.x - q.x1 - 20000) * (d.x - q.x1 - 20000) + (d.y - q.y1 - 20000) * (d.y - q.y1 - 20000) AS d2 FROM {_QA} q JOIN {E} d ON {_IN})"
@@ -458,12 +452,11 @@ def _(s, d):
 _HAV = "round(2 * 6371000e0 * asin(least(1e0, sqrt(pow(sin((radians(48e0) - radians(y / 1e5)) / 2), 2) + cos(radians(y / 1e5)) * cos(radians(48e0)) * pow(sin((radians(11e0) - radians(x / 1e5)) / 2), 2)))), 3)"
 
 
-def _haversine(s, d, rows):
-    return pl.events(s, d).where(rows).select("pid", F.round(g.haversine_m(col("x") / 1e5, col("y") / 1e5, lit(11.0), lit(48.0)), 3).alias("m"))
+def _haversine(s, d):
+    return pl.events(s, d).select("pid", F.round(g.haversine_m(col("x") / 1e5, col("y") / 1e5, lit(11.0), lit(48.0)), 3).alias("m"))
 
 
-for _n, _w in _sampled(10):
-    query({"": "haversine_sample"}.get(_n, "haversine_all"), f"SELECT pid, {_HAV} AS m FROM {E} WHERE {_w}")(lambda s, d, w=_w: _haversine(s, d, w))
+query("haversine", f"SELECT pid, {_HAV} AS m FROM {E}")(_haversine)
 
 
 _BITS = " + ".join(f"((CAST(floor({c} / 1e4) AS BIGINT) >> {b}) & 1) * {1 << (2 * b + o)}" for o, c in ((0, "x"), (1, "y")) for b in range(10))
@@ -566,32 +559,30 @@ def _(s, d):
 # user functions ---------------------------------------------------------------------------------
 
 
-def _area_label(s, d, rows):
+def _area_label(s, d):
     areas = dict(pl.AREAS)
 
     @F.udf("string")
     def label(x, y):
         return next((n for n, b in areas.items() if b[0] <= x <= b[2] and b[1] <= y <= b[3]), "rest")
 
-    return pl.events(s, d).where(rows).select("pid", label("x", "y").alias("area"))
+    return pl.events(s, d).select("pid", label("x", "y").alias("area"))
 
 
-for _n, _w in _sampled(10):
-    query(f"udf_area_label{_n}", f"SELECT pid, {_AREA} AS area FROM {E} WHERE {_w}")(lambda s, d, w=_w: _area_label(s, d, w))
+query("udf_area_label", f"SELECT pid, {_AREA} AS area FROM {E}")(_area_label)
 
 
-def _udf_haversine(s, d, rows):
+def _udf_haversine(s, d):
     @F.pandas_udf("double")
     def metres(x: pd.Series, y: pd.Series) -> pd.Series:
         lat, lon = np.radians(y / 1e5), np.radians(x / 1e5)
         a = np.sin((np.radians(48) - lat) / 2) ** 2 + np.cos(lat) * np.cos(np.radians(48)) * np.sin((np.radians(11) - lon) / 2) ** 2
         return 2 * 6371000.0 * np.arcsin(np.minimum(1, np.sqrt(a)))
 
-    return pl.events(s, d).where(rows).select("pid", F.round(metres("x", "y"), 3).alias("m"))
+    return pl.events(s, d).select("pid", F.round(metres("x", "y"), 3).alias("m"))
 
 
-for _n, _w in _sampled(10):
-    query(f"udf_haversine{_n}", f"SELECT pid, {_HAV} AS m FROM {E} WHERE {_w}")(lambda s, d, w=_w: _udf_haversine(s, d, w))
+query("udf_haversine", f"SELECT pid, {_HAV} AS m FROM {E}")(_udf_haversine)
 
 
 @query("udf_hilbert")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
@@ -69,11 +70,24 @@ def sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def late_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All rows come in one batch, so none is behind the watermark yet: daily counts of the whole table."""
+    """Daily counts under a watermark. All rows of the table come in one batch, so none is behind it; late_example has rows that are."""
     counts = read_events(spark, sf_dir).withWatermark("ts", "1 minute").groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n"))
     return drain(counts.select(F.col("window.start").alias("start"), "n"), "complete").select(F.col("start").cast("timestamp_ntz"), "n")
 
 
+def late_example(spark: SparkSession) -> DataFrame:
+    """Hourly counts (start, n) of five batches under a watermark of an hour: the fourth one's row from the first hour comes when that hour is
+    closed, and is dropped; its other row counts. Late is what was behind the watermark of the batch before."""
+    folder = scratch(spark, "late")
+    rows = [["2024-01-01 00:10:00", "2024-01-01 00:50:00"], ["2024-01-01 05:10:00"], ["2024-01-01 06:20:00"], ["2024-01-01 00:30:00", "2024-01-01 06:40:00"], ["2024-01-01 09:00:00"]]
+    for i, batch in enumerate(rows):
+        spark.createDataFrame([(t,) for t in batch], "ts string").select(F.col("ts").cast("timestamp").alias("ts")).coalesce(1).write.mode("append").parquet(f"{folder}/batch={i}")
+        time.sleep(0.05)  # files are taken in the order of their times
+    stream = spark.readStream.schema("ts timestamp").option("maxFilesPerTrigger", 1).parquet(f"{folder}/batch=*")
+    counts = stream.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 hour")).agg(F.count(F.lit(1)).alias("n"))
+    return drain(counts.select(F.col("window.start").alias("start"), "n"), "append").select(F.col("start").cast("timestamp_ntz").alias("start"), "n")
+
+
 def deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events read twice, one left of each."""
     both = read_events(spark, sf_dir).union(read_events(spark, sf_dir)).withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(["pid"])
@@ -87,7 +101,7 @@ def static_join(spark: SparkSession, sf_dir: str, tt: TiledTable, half: float =
     side = F.lit(2 * half)
     cells = route.ranges(w, tt.tiles).withColumn("cx", F.explode(F.sequence(F.floor(F.col("x1") / side), F.floor(F.col("x2") / side))))
     cells = cells.withColumn("cy", F.explode(F.sequence(F.floor(F.col("y1") / side), F.floor(F.col("y2") / side))))
-    data = tt.df.select("pid", "x", "y", "tile", F.floor(F.col("x") / side).alias("cx"), F.floor(F.col("y") / side).alias("cy"))
+    data = tt.rows.select("pid", "x", "y", "tile", F.floor(F.col("x") / side).alias("cx"), F.floor(F.col("y") / side).alias("cy"))
     inside = F.col("x").between(F.col("x1"), F.col("x2")) & F.col("y").between(F.col("y1"), F.col("y2"))
     return drain(cells.join(data, ["tile", "cx", "cy"]).where(inside).select("qid", "pid"))
 

@@ -5,7 +5,8 @@ from __future__ import annotations
 from collections.abc import Callable
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from skewtile import metrics
@@ -13,7 +14,7 @@ from skewtile.operators import baselines as bl
 from skewtile.operators import knnjoin, rangejoin, search, shapes
 from skewtile.operators.tiled import TiledTable
 from skewtile.plans import planner, route
-from skewtile.plans.cost import Tile
+from skewtile.plans.cost import CostModel, Tile
 from skewtile.plans.tilemap import TileMap, by_key_mod
 from skewtile.sources import planes as pl
 from skewtile.sources.formats import scratch
@@ -75,9 +76,8 @@ def _keyword(s: SparkSession, d: str) -> DataFrame:
     docs = pl.table(s, d, "documents")
     n = docs.count()
     points = pl.events(s, d).withColumn("doc_id", F.col("pid") % n)
-    near = search.range_search(TiledTable.build(points, TILES), (500000.0, 0.0, 800000.0, 200000.0))
-    text = docs.where(F.array_contains(F.split(F.lower("text"), "[^a-z0-9]+"), "the")).select("doc_id")
-    return near.join(text, "doc_id", "left_semi").select("pid")
+    near = search.range_search(TiledTable.build(points, TILES), (500000.0, 0.0, 800000.0, 200000.0), keyword="the", texts=docs.select("doc_id", "text"))
+    return near.select("pid")
 
 
 query("range_search_keyword", _keyword, f"SELECT e.pid FROM {E} e JOIN documents t ON t.doc_id = e.pid % (SELECT count(*) FROM documents) WHERE x BETWEEN 500000 AND 800000 AND y BETWEEN 0 AND 200000 AND list_contains(regexp_split_to_array(lower(t.text), '[^a-z0-9]+'), 'the')")
@@ -110,13 +110,15 @@ def _orders_lineitem(s: SparkSession, d: str) -> DataFrame:
 query("range_join_orders_lineitem", _orders_lineitem, _theta(pl.windows_sql("O", 100000, 50, scale=" / 5"), L))
 _VARIANTS = {
     "noopt": {}, "filter": {"filter": True}, "plan_query": {"plan": "query"}, "plan_data": {"plan": "data"}, "plan_product": {"plan": "product"}, "binary": {"plan": "query", "mode": "binary"}, "best": {"plan": "query", "mode": "best"},
-    "aqe": {"plan": "aqe"}, "dedup": {"dedup": True}, "replicate_inner": {"strategy": "replicate_inner"},
+    "dedup": {"dedup": True}, "replicate_inner": {"strategy": "replicate_inner"},
     "local_rtree": {"local": "inl_rtree"}, "local_grid": {"local": "inl_grid"}, "local_quadtree": {"local": "inl_quadtree"}, "local_dual": {"local": "dual_tree"}, "local_brute": {"local": "brute"}, "local_auto": {"local": "auto"},
 }
+_VARIANTS |= {"plan_sampled": {"plan": "sampled"}, "plan_calibrated": {"plan": "calibrated"}}
 for _n, _o in _VARIANTS.items():
     query(f"range_join_{_n}", lambda s, d, o=_o: _area(s, d, "a", **o), _area_sql("a"))
 for _k in ("str", "quadtree", "grid"):
     query(f"range_join_tiles_{_k}", lambda s, d, k=_k: rangejoin.range_join(pl.windows_of(pl.events(s, d), 20000.0, 5, "a"), tiled(s, d, kind=k), filter=True), _area_sql("a"))
+query("range_join_aqe", lambda s, d: rangejoin.aqe_join(pl.windows_of(pl.events(s, d), 20000.0, 5, "a"), tiled(s, d)), _area_sql("a"))
 query("range_join_salted", lambda s, d: rangejoin.salted_join(pl.windows_of(pl.events(s, d), 20000.0, 5, "a"), tiled(s, d)), _area_sql("a"))
 for _h, _tail in (("left", "SELECT q.qid, d.pid FROM {w} q LEFT JOIN {e} d ON {c}"), ("semi", "SELECT q.qid FROM {w} q WHERE EXISTS (SELECT 1 FROM {e} d WHERE {c})"), ("anti", "SELECT q.qid FROM {w} q WHERE NOT EXISTS (SELECT 1 FROM {e} d WHERE {c})")):
     _w = f"(SELECT qid, x1 + 30000 AS x1, y1 + 300000 AS y1, x2 + 30000 AS x2, y2 + 300000 AS y2 FROM {pl.windows_sql('E', 10000, 10)})"
@@ -211,6 +213,100 @@ def _hot(s: SparkSession, d: str, i: int, **options) -> DataFrame:
 for _i in range(1, 5):
     query(f"knn_join_hot_frac_{_i}", lambda s, d, i=_i: _hot(s, d, i, plan="query", filter=True), _knn_sql("10", _HOT, f"(SELECT * FROM {E} WHERE pid % 4 < {_i})"))
 
+# the second plane: the same workloads on line items ---------------------------------------------
+
+_L_DISC = "(x - 2500000) * (x - 2500000) + (y - 4500000) * (y - 4500000)"
+for _k in (10, 20, 30):
+    query(
+        f"knn_search_k{_k}_lineitem",
+        lambda s, d, k=_k: search.knn_search(tiled(s, d, "L", with_filters=True), 2500000.0, 4500000.0, k),
+        f"SELECT pid, x, y, {_L_DISC} AS dist2, row_number() OVER (ORDER BY {_L_DISC}, pid, x, y) AS rank FROM {L} QUALIFY rank <= {_k}",
+    )
+for _i, _box in enumerate(((0, 0, 1500000, 3000000), (4000000, 6000000, 6000000, 9000000)), 2):
+    query(
+        f"range_search_lineitem_{_i}",
+        lambda s, d, b=_box: search.range_search(tiled(s, d, "L", kind="str"), tuple(map(float, b))).select("pid", "x", "y"),
+        f"SELECT pid, x, y FROM {L} WHERE x BETWEEN {_box[0]} AND {_box[2]} AND y BETWEEN {_box[1]} AND {_box[3]}",
+    )
+_L_FOCAL = f"(SELECT pid AS qid, x AS cx, y AS cy FROM {L} WHERE l_orderkey % 400 = 0)"
+_l_focal = lambda s, d: pl.lineitem(s, d, "l_orderkey").where("l_orderkey % 400 = 0").select(F.col("pid").alias("qid"), F.col("x").alias("cx"), F.col("y").alias("cy"))
+
+
+def _l_knn_sql(k: int, focal: str = _L_FOCAL, where: str = "TRUE") -> str:
+    return _knn_sql(str(k), f"(SELECT *, {k} AS k FROM {focal})", L, where)
+
+
+for _k in (50, 100, 150):
+    for _n, _o in (("", {}), ("_opt", {"plan": "query", "filter": True})):
+        query(f"knn_join_k{_k}_lineitem{_n}", lambda s, d, k=_k, o=_o: knnjoin.knn_join(_l_focal(s, d), tiled(s, d, "L"), k, **o), _l_knn_sql(_k))
+_L_W = "(SELECT pid AS qid, x - 60000 AS x1, y - 60000 AS y1, x + 60000 AS x2, y + 60000 AS y2 FROM {l} WHERE {w})"
+
+
+def _l_windows(s: SparkSession, d: str, where: str) -> DataFrame:
+    p = pl.lineitem(s, d, "l_orderkey").where(where)
+    return p.select(F.col("pid").alias("qid"), (F.col("x") - 60000).alias("x1"), (F.col("y") - 60000).alias("y1"), (F.col("x") + 60000).alias("x2"), (F.col("y") + 60000).alias("y2"))
+
+
+_COUNT = "SELECT count(*) AS n_pairs FROM {w} q JOIN {l} d ON {c} WHERE {p}"
+for _i in range(1, 7):
+    query(
+        f"range_join_lineitem_size_{_i}",
+        lambda s, d, i=_i: rangejoin.range_join(_l_windows(s, d, "l_orderkey % 400 = 0"), TiledTable.build(pl.lineitem(s, d, "l_orderkey").where(F.col("l_orderkey") % 6 < i), TILES)).agg(F.count(F.lit(1)).alias("n_pairs")),
+        _COUNT.format(w=_L_W.format(l=L, w="l_orderkey % 400 = 0"), l=L, c=_IN, p=f"d.l_orderkey % 6 < {_i}"),
+    )
+for _m in (1600, 800, 400, 200):
+    query(
+        f"range_join_lineitem_q_{_m}",
+        lambda s, d, m=_m: rangejoin.range_join(_l_windows(s, d, f"l_orderkey % {m} = 0"), tiled(s, d, "L")).agg(F.count(F.lit(1)).alias("n_pairs")),
+        _COUNT.format(w=_L_W.format(l=L, w=f"l_orderkey % {_m} = 0"), l=L, c=_IN, p="TRUE"),
+    )
+_L_AREAS = {"a": (1000000, 2000000, 1800000, 2800000), "b": (3000000, 5000000, 3600000, 5600000), "c": (5000000, 1000000, 7000000, 3000000)}
+for _a, _b in _L_AREAS.items():
+    _in = f"l_orderkey % 20 = 0 AND x BETWEEN {_b[0]} AND {_b[2]} AND y BETWEEN {_b[1]} AND {_b[3]}"
+    for _n, _o in (("", {}), ("_opt", {"plan": "query", "filter": True})):
+        query(f"range_join_lineitem_area_{_a}{_n}", lambda s, d, w=_in, o=_o: rangejoin.range_join(_l_windows(s, d, w), tiled(s, d, "L"), **o), _theta(_L_W.format(l=L, w=_in), L))
+_in = f"l_orderkey % 40 = 0 AND x BETWEEN {_L_AREAS['a'][0]} AND {_L_AREAS['a'][2]} AND y BETWEEN {_L_AREAS['a'][1]} AND {_L_AREAS['a'][3]}"
+
+
+def _l_hot(s: SparkSession, d: str, i: int, where: str) -> DataFrame:
+    q = pl.lineitem(s, d, "l_orderkey").where(where).select(F.col("pid").alias("qid"), F.col("x").alias("cx"), F.col("y").alias("cy"))
+    data = pl.lineitem(s, d, "l_orderkey").where(F.col("l_orderkey") % 4 < i)
+    return knnjoin.knn_join(q, TiledTable.build(data, TILES), 10, plan="query", filter=True)
+
+
+for _i in range(1, 5):
+    query(
+        f"knn_join_lineitem_hot_frac_{_i}",
+        lambda s, d, i=_i, w=_in: _l_hot(s, d, i, w),
+        _l_knn_sql(10, f"(SELECT pid AS qid, x AS cx, y AS cy FROM {L} WHERE {_in})", f"d.l_orderkey % 4 < {_i}"),
+    )
+
+# edge cases that integers and small k hide ------------------------------------------------------
+
+_TENTHS = f"(SELECT pid, x / 10 AS x, y / 10 AS y FROM {E})"
+
+
+def _tenths(s: SparkSession, d: str) -> DataFrame:
+    return pl.events(s, d).withColumns({"x": F.col("x") / 10, "y": F.col("y") / 10})
+
+
+query(
+    "distance_join_fractional",
+    lambda s, d: rangejoin.distance_join(pl.focal_points(_tenths(s, d), 40), TiledTable.build(_tenths(s, d), TILES), 2000.3),
+    f"SELECT q.pid AS qid, d.pid FROM {_TENTHS} q JOIN {_TENTHS} d ON (d.x - q.x) * (d.x - q.x) + (d.y - q.y) * (d.y - q.y) <= 2000.3e0 * 2000.3e0 WHERE q.pid % 40 = 0",
+)
+query(
+    "distance_join_kernel",
+    lambda s, d: rangejoin.distance_join(pl.focal_points(_tenths(s, d), 40), TiledTable.build(_tenths(s, d), TILES), 2000.3, local="auto"),
+    f"SELECT q.pid AS qid, d.pid FROM {_TENTHS} q JOIN {_TENTHS} d ON (d.x - q.x) * (d.x - q.x) + (d.y - q.y) * (d.y - q.y) <= 2000.3e0 * 2000.3e0 WHERE q.pid % 40 = 0",
+)
+for _n in ("home", "counts", "sample"):
+    query(
+        "knn_join_k_beyond_rows" + ("" if _n == "home" else f"_{_n}"),
+        lambda s, d, b=_n: knnjoin.knn_join(pl.focal_points(pl.customers(s, d), 30), TiledTable.build(pl.customers(s, d), 4, with_filters=True), 2000, bound=b, filter=True),
+        _knn_sql("2000", f"(SELECT pid AS qid, x AS cx, y AS cy, 2000 AS k FROM {pl.SQL['C']} WHERE pid % 30 = 0)", pl.SQL["C"]),
+    )
+
 # baselines --------------------------------------------------------------------------------------
 
 _w = lambda s, d: pl.windows_of(pl.events(s, d), 20000.0, 5, "a")
@@ -239,12 +335,19 @@ query("baseline_bloom", _bloom, "SELECT count(*) AS found, 0 AS missed FROM even
 
 
 def _probe(s: SparkSession, d: str) -> DataFrame:
-    points = pl.events(s, d).where(F.col("pid") % 4 == 0).select("x", "y").limit(100_000).toPandas().to_numpy(float)
-    rng = np.random.default_rng(4)
-    corner = rng.random((400, 2)) * points.max(0)
-    probes = np.column_stack([corner, corner + 30000])
-    rows = [(k, *(float(v) for v in bl.index_probe(k, points[:, 0], points[:, 1], probes).values())) for k in ("rtree", "quadtree", "obf", "obf_adaptive", "bloom")]
-    return s.createDataFrame(rows, "kind string, build_s double, probe_ms double, mb double, fpr double, fdr double, false_negatives double")
+    """Each structure on each tile of all events, built and probed in that tile's task; sums of the build times and sizes, means of the rest."""
+    kinds = ("rtree", "quadtree", "obf", "obf_adaptive", "bloom")
+
+    def run(pdf):
+        x, y = pdf["x"].to_numpy(float), pdf["y"].to_numpy(float)
+        rng = np.random.default_rng(int(pdf["tile"].iloc[0]))
+        low, wide = np.array([x.min(), y.min()]), np.array([np.ptp(x), np.ptp(y)])
+        corner = low + rng.random((100, 2)) * wide
+        probes = np.column_stack([corner, corner + np.maximum(wide / 40, 1.0)])
+        return pd.DataFrame([(k, *(float(v) for v in bl.index_probe(k, x, y, probes).values())) for k in kinds], columns=["kind", "build_s", "probe_ms", "mb", "fpr", "fdr", "false_negatives"])
+
+    rows = tiled(s, d).df.select("tile", "x", "y").groupBy("tile").applyInPandas(run, "kind string, build_s double, probe_ms double, mb double, fpr double, fdr double, false_negatives double")
+    return rows.groupBy("kind").agg(*(F.sum(c).alias(c) for c in ("build_s", "mb", "false_negatives")), *(F.avg(c).alias(c) for c in ("probe_ms", "fpr", "fdr")))
 
 
 query("baseline_index_probe", _probe)
@@ -310,6 +413,18 @@ def _learned(s: SparkSession, d: str) -> DataFrame:
 query("filter_adaptive_round2", _learned)
 
 
+def _learned_knn(s: SparkSession, d: str) -> DataFrame:
+    """Filter quality on windows in empty places before and after a batch of nearest-neighbour queries that found them empty."""
+    focal = pl.events(s, d).where("pid % 40 = 0").select(F.col("pid").alias("qid"), (F.col("x") + 37000).alias("cx"), (F.col("y") + 410000).alias("cy"))
+    q = focal.select("qid", (F.col("cx") - 4000).alias("x1"), (F.col("cy") - 4000).alias("y1"), (F.col("cx") + 4000).alias("x2"), (F.col("cy") + 4000).alias("y2"))
+    tt = tiled(s, d, with_filters=True)
+    rows = (metrics.filter_quality(q, x).withColumns({"rule": F.lit(n), "bits": F.lit(x.filters.size_bits)}) for n, x in (("static", tt), ("learned", knnjoin.adapt(focal, tt))))
+    return next(rows).unionByName(next(rows))
+
+
+query("filter_adaptive_knn", _learned_knn)
+
+
 def _example(s: SparkSession, d: str) -> DataFrame:
     parts = {"hot": [("h1", Tile(22, 12)), ("h2", Tile(28, 18))], "warm": [("w1", Tile(25, 10)), ("w2", Tile(25, 10))]}
     tiles = [("hot", Tile(50, 30)), ("warm", Tile(50, 20)), *((f"cold{i}", Tile(50, 10)) for i in range(3))]
@@ -328,6 +443,42 @@ def _costs(s: SparkSession, d: str) -> DataFrame:
 query("planner_cost_before_after", _costs)
 
 
+def _sampled_costs(s: SparkSession, d: str) -> DataFrame:
+    """The same with the local work estimated from samples, and with weights in seconds from timed local joins."""
+    rows = []
+    for plane, q in (("E", pl.windows_of(pl.events(s, d), 20000.0, 5, "a")), ("L", _l_windows(s, d, "l_orderkey % 20 = 0"))):
+        tt = tiled(s, d, plane)
+        pairs = rangejoin.sampled_pairs(q, tt)
+        for name, model in (("sampled", CostModel(p_probe=1.0, p_pair=1.0)), ("calibrated", rangejoin.calibrated(q, tt))):
+            rows += [(plane, name, i, float(c)) for i, c in enumerate(rangejoin.modelled_costs(q, tt, model=model, pairs=pairs))]
+    return s.createDataFrame(rows, "plane string, model string, step int, cost double")
+
+
+query("planner_cost_sampled", _sampled_costs)
+
+
+def _tile_times(s: SparkSession, d: str) -> DataFrame:
+    """How long each tile's local join took, before and after the plan's cuts."""
+    q = _l_windows(s, d, "l_orderkey % 20 = 0 AND x BETWEEN 1000000 AND 1800000 AND y BETWEEN 2000000 AND 2800000")
+    tt = tiled(s, d, "L")
+    named = (rangejoin.tile_times(q, x).select(F.lit(n).alias("plan"), "*") for n, x in (("none", tt), ("query", rangejoin.planned(q, tt))))
+    return next(named).unionByName(next(named))
+
+
+query("straggler_tile_times", _tile_times)
+
+
+def _straggler_report(s: SparkSession, d: str) -> DataFrame:
+    """Per plan: the mean of the five slowest tiles, and the share of tiles under a tenth of the slowest one's time."""
+    t = _tile_times(s, d).withColumn("place", F.row_number().over(Window.partitionBy("plan").orderBy(F.desc("seconds"))))
+    most = F.max("seconds").over(Window.partitionBy("plan"))
+    t = t.withColumn("quick", (F.col("seconds") < most / 10).cast("double"))
+    return t.groupBy("plan").agg(F.avg(F.when(F.col("place") <= 5, F.col("seconds"))).alias("top5_mean_s"), F.avg("quick").alias("share_under"), F.sum("pairs").alias("pairs"), F.count(F.lit(1)).alias("tiles"))
+
+
+query("straggler_report", _straggler_report)
+
+
 def _shuffle(s: SparkSession, d: str, kind: str) -> DataFrame:
     tt = tiled(s, d, with_filters=True)
     if kind == "range":
@@ -353,22 +504,15 @@ def _order_boxes(s: SparkSession, d: str, every: int) -> DataFrame:
 
 
 _BOXES = "(SELECT l_orderkey AS sid, min(x) AS x1, min(y) AS y1, max(x) AS x2, max(y) AS y2 FROM {l} WHERE l_orderkey % {m} = 0 GROUP BY l_orderkey)"
-query(
-    "shape_intersects_rects",
-    lambda s, d: shapes.shape_join(_order_boxes(s, d, 97), _order_boxes(s, d, 101), exact=False),
-    f"SELECT a.sid AS asid, b.sid AS bsid FROM {_BOXES.format(l=L, m=97)} a JOIN {_BOXES.format(l=L, m=101)} b ON a.x1 <= b.x2 AND b.x1 <= a.x2 AND a.y1 <= b.y2 AND b.y1 <= a.y2",
-)
+_MEET = f"SELECT a.sid AS asid, b.sid AS bsid FROM {_BOXES.format(l=L, m=97)} a JOIN {_BOXES.format(l=L, m=1)} b ON a.x1 <= b.x2 AND b.x1 <= a.x2 AND a.y1 <= b.y2 AND b.y1 <= a.y2"
+query("shape_intersects_rects", lambda s, d: shapes.shape_join(_order_boxes(s, d, 97), _order_boxes(s, d, 1), exact=False), _MEET)
+query("shape_intersects_tiles", lambda s, d: shapes.tile_shape_join(_order_boxes(s, d, 97), _order_boxes(s, d, 1), tiled(s, d, "L").tiles, exact=False), _MEET)
+query("shape_intersects_dual_tree", lambda s, d: shapes.tile_shape_join(_order_boxes(s, d, 97), _order_boxes(s, d, 1), tiled(s, d, "L").tiles, exact=False, local="auto"), _MEET)
 query(
     "shape_window_rects",
-    lambda s, d: shapes.shape_search(_order_boxes(s, d, 7), 2000000.0, 4000000.0, 2500000.0, 4500000.0).select("sid"),
-    f"SELECT sid FROM {_BOXES.format(l=L, m=7)} WHERE x1 <= 2500000 AND 2000000 <= x2 AND y1 <= 4500000 AND 4000000 <= y2",
-)
-query(
-    "shape_window_rects_all",
     lambda s, d: shapes.shape_search(_order_boxes(s, d, 1), 2000000.0, 4000000.0, 2500000.0, 4500000.0).select("sid"),
     f"SELECT sid FROM {_BOXES.format(l=L, m=1)} WHERE x1 <= 2500000 AND 2000000 <= x2 AND y1 <= 4500000 AND 4000000 <= y2",
 )
-query("shape_intersects_rects_all", lambda s, d: shapes.shape_join(_order_boxes(s, d, 97), _order_boxes(s, d, 1), exact=False))
 query("shape_polyline_window", lambda s, d: shapes.shape_search(shapes.paths(pl.events(s, d, "user_id", "ts")), 600000.0, 900000.0, 700000.0, 1000000.0).select("sid"))
 
 

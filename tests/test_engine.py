@@ -8,7 +8,7 @@ from skewtile import metrics
 from skewtile.operators import baselines, knnjoin, rangejoin, search, shapes
 from skewtile.operators.tiled import TiledTable, slot_keys
 from skewtile.plans import route
-from skewtile.plans.tilemap import bernoulli, reservoir
+from skewtile.plans.tilemap import TileMap, bernoulli, reservoir
 from skewtile.sources import formats, generator, planes
 from skewtile.streaming import streams
 from tests.conftest import MEDIUM, SMALL
@@ -34,27 +34,216 @@ def test_counts_and_boxes(tiled, points):
     assert metrics.balance(tiled.counts)["max_over_mean"] < 1.5
 
 
-def test_layout_is_reused_by_joins(spark, tiled):
-    spark.conf.set("spark.sql.requireAllClusterKeysForCoPartition", "false")
+@pytest.fixture()
+def no_broadcast(spark):
     spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    yield
+    spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def plan_of(df) -> str:
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def exchanges_over_data(plan: str) -> int:
+    """Exchanges of the plan above a scan of the laid-out rows: lines of the tree between the scan and the root on its own branch."""
+    lines, found = plan.split("\n"), 0
+    depth = lambda x: len(x) - len(x.lstrip(" :+-*()0123456789"))
+    for i, line in enumerate(lines):
+        if "InMemoryTableScan" not in line and "FileScan" not in line or "slot" not in line:
+            continue
+        at = depth(line)
+        for above in reversed(lines[:i]):
+            if depth(above) < at:
+                at = depth(above)
+                if "Join" in above or "CoGroup" in above:
+                    break
+                found += "Exchange" in above
+    return found
+
+
+def test_layout_is_reused_by_joins(spark, tiled, points, no_broadcast):
+    """Range, distance and nearest-neighbour joins over rows that lie by slot exchange the queries only, in memory or bucketed."""
+    laid = tiled.laid_out(persist=True)
+    placed = laid.df.select("slot", F.spark_partition_id().alias("p")).distinct().groupBy("slot").count()
+    assert placed.where("count > 1").count() == 0 and len(slot_keys(spark, 7)) == 7
+    spark.sql("DROP TABLE IF EXISTS laid_points")
+    path = formats.scratch(spark, "bucketed")
+    tiled.save_bucketed("laid_points", path)
+    kept = TiledTable.load_bucketed(spark, "laid_points", path)
+    q, f = planes.windows_of(points, 20000.0, 20), planes.focal_points(points, 20)
+    want, near = pairs(rangejoin.range_join(q, tiled)), sorted(map(tuple, knnjoin.knn_join(f, tiled, 4).collect()))
+    for table in (laid, kept):
+        joins = [rangejoin.range_join(q, table, filter=True), rangejoin.range_join(q, table, local="auto"), rangejoin.distance_join(f, table, 20000.0), knnjoin.knn_join(f, table, 4)]
+        for df in joins:
+            assert "slot" in plan_of(df) and exchanges_over_data(plan_of(df)) == 0, plan_of(df)
+        assert plan_of(joins[3]).count("FlatMapCoGroups") == 2
+        assert pairs(joins[0]) == pairs(joins[1]) == want and sorted(map(tuple, joins[3].collect())) == near
+    assert exchanges_over_data(plan_of(rangejoin.range_join(q, laid).groupBy("pid").count())) == 0
+    assert kept.filters is not None and kept.counts.tolist() == tiled.counts.tolist()
+    spark.sql("DROP TABLE laid_points")
+    laid.df.unpersist()
+
+
+def test_split_of_a_laid_out_table_leaves_the_rest_in_place(spark, no_broadcast):
+    e = planes.events(spark, MEDIUM).persist()
+    tt = TiledTable.build(e, 8, with_filters=True, n_slots=4).laid_out(persist=True)
+    q, f = planes.windows_of(e, 20000.0, 5, "a"), planes.focal_points(e.where("x BETWEEN 600000 AND 900000 AND y <= 300000"), 5)
+    cut = rangejoin.planned(q, tt)
+    assert len(cut.parts) == 2 and cut.tiles.n_tiles > 8 and sorted(set(cut.lies_in)) == [0, 1]
+    assert pairs(rangejoin.range_join(q, cut, filter=True)) == pairs(rangejoin.range_join(q, tt))
+    again = rangejoin.planned(planes.windows_of(e, 20000.0, 7, "c"), cut)
+    assert pairs(rangejoin.range_join(q, again)) == pairs(rangejoin.range_join(q, tt))
+    got = sorted(map(tuple, knnjoin.knn_join(f, tt, 7, plan="query", filter=True).collect()))
+    assert got == sorted(map(tuple, knnjoin.knn_join(f, tt, 7).collect()))
+    for part in cut.parts:
+        assert part.select("slot", F.spark_partition_id().alias("p")).distinct().groupBy("slot").count().where("count > 1").count() == 0
+
+
+def test_maps_of_many_tiles(spark):
+    """Per-tile values are one literal, so a map far beyond the codegen limit routes, lays out, splits and joins."""
+    e = planes.events(spark, MEDIUM).persist()
+    tt = TiledTable.build(e, 600, with_filters=True).laid_out()
+    assert tt.tiles.n_tiles > 300 and metrics.balance(tt.counts)["max_over_mean"] < 4
+    q, f = planes.windows_of(e, 20000.0, 200), planes.focal_points(e, 200)
+    want = pairs(baselines.cartesian_range(q, e))
+    assert pairs(rangejoin.range_join(q, tt, filter=True, plan="query")) == want == pairs(rangejoin.range_join(q, tt, strategy="replicate_inner"))
+    assert sorted(map(tuple, knnjoin.knn_join(f, tt, 5, filter=True).collect())) == sorted(map(tuple, baselines.cartesian_knn(f, e, 5).collect()))
+
+
+def test_distance_joins_are_exact_on_fractions_and_repeated_points(spark):
+    rows = [(i % 70, 0.1 * (i % 90), 0.1 * (i // 90)) for i in range(300)] + [(5, 0.3, 0.0)] * 3
+    p = spark.createDataFrame(rows, "pid long, x double, y double")
+    q = spark.createDataFrame([(i, 0.1 * i, 0.1 * (i % 3)) for i in range(60)], "qid long, cx double, cy double")
+    tt = TiledTable.build(p, 5)
+    want = pairs(baselines.distance_by_circle(q, p, 0.3))
+    for options in ({}, {"local": "auto"}, {"filter": True}, {"plan": "query"}, {"strategy": "replicate_inner"}, {"dedup": True}):
+        assert pairs(rangejoin.distance_join(q, tt, 0.3, **options)) == want, options
+    hits = {a for a, _ in want}
+    assert {r.qid for r in rangejoin.distance_join(q, tt, 0.3, how="anti").collect()} == set(range(60)) - hits
+
+
+def test_filters_pass_shapes_without_end(spark):
+    p = spark.createDataFrame([(i, float(i % 7), float(i // 7)) for i in range(40)], "pid long, x double, y double")
+    tt = TiledTable.build(p, 4, with_filters=True)
+    q = spark.createDataFrame([(1, 3.0, 3.0), (2, 50.0, -9.0)], "qid long, cx double, cy double")
+    for bound in ("home", "counts", "sample"):
+        for k in (40, 50):
+            assert knnjoin.knn_join(q, tt, k, bound=bound, filter=True).count() == 80, (bound, k)
+
+
+def test_windows_cut_to_tiles_with_mixed_sizes(spark, points):
+    w = points.where("pid % 25 = 0").select(F.col("pid").alias("qid"), "x", "y", F.pow(F.lit(10.0), F.col("pid") % 7).alias("h"))
+    w = w.select("qid", (F.col("x") - F.col("h")).alias("x1"), (F.col("y") - F.col("h")).alias("y1"), (F.col("x") + F.col("h")).alias("x2"), (F.col("y") + F.col("h")).alias("y2"))
+    tt = TiledTable.build(points, 8)
+    cells = rangejoin.Cells.of(w, tt.tiles)
+    assert len(cells.levels) <= 6 and pairs(rangejoin.range_join(w, tt)) == pairs(baselines.cartesian_range(w, points))
+
+
+def test_nearest_neighbours_of_two_tiles(spark):
+    """Three nearest of a point near its tile's border: two are at home, the third in the neighbour, which the home radius reaches."""
+    rows = [(1, 9.0, 5.0), (2, 8.5, 5.0), (3, 10.5, 5.0), (4, 4.0, 5.0), (5, 1.0, 1.0), (6, 19.0, 5.0), (7, 15.0, 9.0)]
+    tt = TiledTable.build(spark.createDataFrame(rows, "pid long, x double, y double"), tile_map=TileMap.grid((0.0, 0.0, 20.0, 10.0), 2, 1))
+    q = spark.createDataFrame([(6, 9.5, 5.0)], "qid long, cx double, cy double")
+    home = tt.tiles.locate(np.array([9.5]), np.array([5.0]))[0]
+    candidates = [r[0] for r in rows if tt.tiles.locate(np.array([r[1]]), np.array([r[2]]))[0] == home]
+    assert sorted(candidates) == [1, 2, 4, 5]
+    routed = route.circles(q.withColumn("r2", F.lit(5.5**2)), tt.tiles, F.col("r2"))
+    assert routed.count() == 2
+    assert [r.pid for r in knnjoin.knn_join(q, tt, 3).orderBy("rank").collect()] == [1, 3, 2] or [r.pid for r in knnjoin.knn_join(q, tt, 3).orderBy("rank").collect()] == [1, 2, 3]
+
+
+def test_sampled_and_calibrated_costs(spark):
+    from skewtile.plans.cost import Tile, calibrate_sampled, sampled_local
+
+    e = planes.events(spark, MEDIUM)
+    tt, q = TiledTable.build(e, 8), planes.windows_of(e, 20000.0, 20)
+    true = {r.tile: r.n for r in rangejoin.tile_times(q, tt).select("tile", F.col("pairs").alias("n")).collect()}
+    guess = rangejoin.sampled_pairs(q, tt)
+    assert abs(guess.sum() - sum(true.values())) < 0.25 * sum(true.values())
+    assert np.corrcoef([guess[t] for t in range(8)], [true.get(t, 0) for t in range(8)])[0, 1] > 0.8
+    timed = [(Tile(n, m, p), sampled_local(p, 1, 1, n, m, 2e-6, 3e-8)) for n, m, p in ((1000, 50, 400), (20000, 10, 90000), (5000, 900, 2000), (100, 9000, 800000))]
+    model = calibrate_sampled(timed, 1e6)
+    assert model.p_probe == pytest.approx(2e-6, rel=1e-3) and model.p_pair == pytest.approx(3e-8, rel=1e-3)
+    costs = rangejoin.modelled_costs(planes.windows_of(e, 20000.0, 5, "a"), tt, model=rangejoin.calibrated(q, tt), pairs=rangejoin.sampled_pairs(planes.windows_of(e, 20000.0, 5, "a"), tt))
+    assert costs == sorted(costs, reverse=True)
+
+
+def test_local_planner():
+    from skewtile.operators import local
+
+    assert local.choose("shape", 10, 10) == "dual_tree" and local.choose("point", 10, 10) == "brute" and local.choose("point", 10**6, 10) == "inl_quadtree"
+    assert [local.choose("point", n, 10**4, quadtree=False) for n in (10**5, 2 * 10**5)] == ["dual_tree", "inl_rtree"]
+    assert [local.choose("point", 10**5, n, 10, quadtree=False) for n in (10**4, 10**5)] == ["inl_rtree", "hilbert_block"]
+
+
+def test_learning_from_nearest_neighbours(spark):
+    e = planes.events(spark, SMALL).persist()
+    tt = TiledTable.build(e, 4, with_filters=True)
+    q = e.where("pid % 20 = 0").select(F.col("pid").alias("qid"), (F.col("x") + 37000).alias("cx"), (F.col("y") + 410000).alias("cy"))
+    learned = knnjoin.adapt(q, tt)
+    w = q.select("qid", (F.col("cx") - 3000).alias("x1"), (F.col("cy") - 3000).alias("y1"), (F.col("cx") + 3000).alias("x2"), (F.col("cy") + 3000).alias("y2"))
+    assert metrics.routed_records(w, learned, True) < metrics.routed_records(w, tt, True)
+    assert pairs(rangejoin.range_join(w, learned, filter=True)) == pairs(baselines.cartesian_range(w, e))
+
+
+def test_skew_join_of_spark_is_planned(spark, no_broadcast):
+    """What Spark does about skew by itself: a large partition of a sort-merge join is read in pieces."""
+    settings = {"spark.sql.adaptive.skewJoin.skewedPartitionThresholdInBytes": "20KB", "spark.sql.adaptive.skewJoin.skewedPartitionFactor": "2", "spark.sql.adaptive.advisoryPartitionSizeInBytes": "20KB", "spark.sql.adaptive.coalescePartitions.enabled": "false", "spark.sql.shuffle.partitions": "6"}
+    for k, v in settings.items():
+        spark.conf.set(k, v)
     try:
-        laid = tiled.laid_out()
-        placed = laid.df.select("slot", F.spark_partition_id().alias("p")).distinct().groupBy("slot").count()
-        assert placed.where("count > 1").count() == 0
-        q = spark.createDataFrame([(int(s), i) for i, s in enumerate(tiled.slots)], "slot int, qid long")
-        plan = laid.df.join(q, "slot")._jdf.queryExecution().executedPlan().toString()
-        assert plan.count("REPARTITION_BY_NUM") == 1 and plan.count("ENSURE_REQUIREMENTS") == 1
+        e = planes.events(spark, MEDIUM).where("x < 400000 OR pid % 10 = 0").repartition(12, "pid")
+        tt = TiledTable.build(e, tile_map=TileMap.grid((0.0, 0.0, 2600000.0, 2600000.0), 4, 1))
+        q = planes.windows_of(e, 2000.0, 40)
+        df = rangejoin.aqe_join(q, tt)
+        want = pairs(baselines.cartesian_range(q, e))
+        got = sorted(tuple(r) for r in df.collect())
+        assert got == want and "skew=true" in plan_of(df)
     finally:
-        spark.conf.unset("spark.sql.requireAllClusterKeysForCoPartition")
-        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
-    assert len(slot_keys(spark, 7)) == 7
+        for k in settings:
+            spark.conf.unset(k)
+        spark.conf.set("spark.sql.shuffle.partitions", "8")
+
+
+def test_sort_aggregate_and_range_partitioned_sort(spark, points):
+    text = points.select((F.col("pid") % 9).alias("k"), F.col("pid").cast("string").alias("s"))
+    spark.conf.set("spark.sql.execution.useObjectHashAggregateExec", "false")
+    try:
+        df = text.groupBy("k").agg(F.max("s").alias("s"))
+        assert "SortAggregate" in plan_of(df)
+        want = {}
+        for r in text.collect():
+            want[r.k] = max(want.get(r.k, ""), r.s)
+        assert {r.k: r.s for r in df.collect()} == want
+    finally:
+        spark.conf.unset("spark.sql.execution.useObjectHashAggregateExec")
+    ordered = points.repartitionByRange(5, "x").sortWithinPartitions("x", "pid").withColumn("p", F.spark_partition_id())
+    ends = ordered.groupBy("p").agg(F.min("x").alias("a"), F.max("x").alias("b")).orderBy("p").collect()
+    assert "rangepartitioning" in plan_of(ordered) and all(u.b <= v.a for u, v in zip(ends, ends[1:])) and len(ends) > 2
+
+
+def test_stream_restarts_where_it_stopped(spark, points):
+    folder, log, out = (formats.scratch(spark, n) for n in ("in", "log", "out"))
+    for part in (0, 1):
+        points.where(F.col("pid") % 2 == part).select("pid", "x").coalesce(1).write.mode("append").parquet(folder)
+        stream = spark.readStream.schema("pid long, x double").parquet(folder)
+        stream.writeStream.format("parquet").option("checkpointLocation", log).option("path", out).trigger(availableNow=True).start().awaitTermination()
+        assert spark.read.parquet(out).count() == points.where(F.col("pid") % 2 <= part).count()
+    stream.writeStream.format("parquet").option("checkpointLocation", log).option("path", out).trigger(processingTime="1 second").start().stop()
+    assert sorted(r.pid for r in spark.read.parquet(out).collect()) == sorted(r.pid for r in points.collect())
+
+
+def test_rows_behind_the_watermark_are_dropped(spark):
+    assert {(str(r.start), r.n) for r in streams.late_example(spark).collect()} == {("2024-01-01 00:00:00", 2), ("2024-01-01 05:00:00", 1), ("2024-01-01 06:00:00", 2)}
 
 
 def test_save_and_load(spark, tiled):
     path = formats.scratch(spark, "table")
     tiled.save(path)
     back = TiledTable.load(spark, path)
-    assert back.counts.tolist() == tiled.counts.tolist()
+    assert back.counts.tolist() == tiled.counts.tolist() and back.slots == tiled.slots and "slot" in back.df.columns
+    assert {t: f.pack() for t, f in back.filters.filters.items()} == {t: f.pack() for t, f in tiled.filters.filters.items()}
     box = (500000.0, 0.0, 800000.0, 200000.0)
     assert sorted(r.pid for r in search.range_search(back, box).collect()) == sorted(r.pid for r in search.range_search(tiled, box).collect())
 
@@ -65,9 +254,11 @@ def test_split_moves_only_skewed_tiles(spark):
     q = planes.windows_of(e, 20000.0, 5, "a")
     plan = tt.plan(route.ranges(q, tt.tiles), 6)
     assert plan.splits and plan.costs[-1] < plan.costs[0]
-    rest, split = tt.apply(plan)
-    assert rest.n_rows + split.n_rows == tt.n_rows
-    assert split.n_rows == sum(tt.counts[t] for t in plan.splits)
+    cut = tt.apply(plan)
+    stay, moved = cut.parts
+    assert cut.n_rows == tt.n_rows == stay.count() + moved.count()
+    assert moved.count() == sum(tt.counts[t] for t in plan.splits)
+    assert tt.apply(plan) is cut
 
 
 def test_learning_lowers_routed_rows_and_loses_nothing(spark):
