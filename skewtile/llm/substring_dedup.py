@@ -5,8 +5,8 @@ reach the shard that can hold their repeats by content: each has as anchor the s
 its runs of GRAM words, so equal windows have equal anchors. Anchors of one document alone cannot repeat
 across documents and end there. Neighbouring windows of one anchor travel as one segment; equal
 segments are folded before the shuffle into one with its smallest doc_id; windows of an anchor that very many
-documents have travel on their own hash, so no shard gathers them. Each shard indexes its segments and
-streams them through backward search, which gives for every window the interval of its
+documents have travel on their own hash, so no shard gathers them. Each shard indexes its segments, compressed, and
+streams the documents' segments through backward search, which gives for every window the interval of its
 occurrences, and the smallest doc_id in it.
 
 Cases: null and empty texts have no words; texts shorter than a window lose nothing; ties (rows of one
@@ -122,12 +122,10 @@ def index_shard(segs: list[bytes], least: np.ndarray, window: int) -> list[np.nd
     of = np.repeat(np.arange(len(segs)), sizes + 1)
     text = np.unique(words, return_inverse=True)[1].astype(np.int64) + 1
     text[begin + sizes] = 0  # the stop symbol is the smallest
-    index = FMIndex(text, window)
-    group = np.flatnonzero(index.group_low == np.arange(len(index.rows)))
-    group_least = np.minimum.reduceat(least[of[index.rows]], group)
-    at, low, _ = index.match(begin, sizes)
+    index = FMIndex(text, window, least[of])
+    at, low, _ = index.match(text, begin, sizes)
     found = np.empty(len(text), np.int64)
-    found[at] = group_least[np.searchsorted(group, low)]
+    found[at] = index.least_label(low)
     return [found[b : b + n - window + 1] for b, n in zip(begin, sizes)]
 
 

@@ -509,20 +509,37 @@ def test_added_secrets_against_brute_force(spark):
 @given(st.lists(st.integers(1, 4), min_size=1, max_size=120), st.integers(2, 5), st.integers(1, 9))
 @settings(max_examples=60, deadline=None)
 def test_fm_index_intervals(symbols, pattern, lane):
-    text = np.array([*symbols, 0])
-    index = fm_index.FMIndex(text, pattern)
+    text = np.array([*symbols, 0, *symbols[::-1], 0])
+    index = fm_index.FMIndex(text, pattern, np.arange(len(text)) * 7 % 31)
+    every = np.arange(len(text))
+    assert sorted(index.locate(every).tolist()) == every.tolist()
     if len(symbols) < pattern:
         return
-    at, low, high = index.match(np.array([0]), np.array([len(symbols)]), lane=lane)
+    at, low, high = index.match(text, np.array([0]), np.array([len(symbols)]), lane)
     assert sorted(at.tolist()) == list(range(len(symbols) - pattern + 1))
-    for a, lo, hi in zip(at, low, high):
+    for a, lo, hi, least in zip(at, low, high, index.least_label(low)):
         want = [i for i in range(len(text) - pattern + 1) if (text[i : i + pattern] == text[a : a + pattern]).all()]
-        assert sorted(index.rows[lo:hi].tolist()) == want
+        assert sorted(index.locate(np.arange(lo, hi)).tolist()) == want and least == min(i * 7 % 31 for i in want)
     other = np.array([4, 3, 2, 1] * 5)
-    for a, lo, hi in zip(*index.match(np.array([0]), np.array([len(other)]), other, lane)):
+    for a, lo, hi in zip(*index.match(other, np.array([0]), np.array([len(other)]), lane)):
         assert hi - lo == sum((text[i : i + pattern] == other[a : a + pattern]).all() for i in range(len(text) - pattern + 1))
 
 
+def test_fm_index_is_compressed():
+    """Under an eighth more than its bits: rank and select against numpy, and the size of an index beside the 8 bytes a symbol of plain arrays."""
+    rng = np.random.default_rng(8)
+    bit = rng.random(200_001) < 0.3
+    bits, ones = fm_index.Bits(bit), np.flatnonzero(bit)
+    at = rng.integers(0, len(bit), 500)
+    assert (bits.rank(at) == np.append(0, np.cumsum(bit))[at]).all() and (bits.get(at) == bit[at]).all()
+    k = rng.integers(0, len(ones) + 50, 500)
+    assert (bits.select(k, -1) == np.array([ones[i] if i < len(ones) else -1 for i in k])).all()
+    text = rng.integers(1, 5000, 60_000)
+    text[19::20] = 0
+    index = fm_index.FMIndex(text, 13)
+    assert index.n_bytes() < 5 * len(text)
+
+
 def removed(rows, n):
     own, words = {}, {}
     for d, t in sorted(rows):
