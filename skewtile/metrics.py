@@ -6,7 +6,7 @@ import time
 from collections.abc import Callable
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from skewtile.operators.rangejoin import Cells, cell_join, tile_times
@@ -34,6 +34,12 @@ def routed_records(q: DataFrame, tt: TiledTable, filtered: bool) -> int:
     return route.ranges(q, tt.tiles, tt.filters if filtered else None).count()
 
 
+def observed(df: DataFrame, name: str = "join") -> tuple[DataFrame, Observation]:
+    """df and an observation that its next action fills: rows and distinct queries (about), counted as they pass."""
+    seen = Observation(name)
+    return df.observe(seen, F.count(F.lit(1)).alias("rows"), F.approx_count_distinct("qid").alias("queries")), seen
+
+
 def visited_tiles(q: DataFrame, tt: TiledTable, filtered: bool) -> DataFrame:
     """(qid, n_tiles) of queries that visit any tile."""
     return route.ranges(q, tt.tiles, tt.filters if filtered else None).groupBy("qid").agg(F.count(F.lit(1)).alias("n_tiles"))

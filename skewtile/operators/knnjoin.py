@@ -138,7 +138,8 @@ def knn_join(
 
 def _by_home(q: DataFrame, tt: TiledTable, k: int, local: str, store) -> DataFrame:
     homed = tt.place(route.home(q, tt.tiles))
-    first = merge.union([_home_round(part, tt.of_part(homed, i), k, local) for i, part in enumerate(tt.parts)])
+    asked = [tt.of_part(homed, i) for i in range(len(tt.parts))]
+    first = merge.union([_home_round(tt.visited(part, own), own, k, local) for part, own in zip(tt.parts, asked)])
     r2 = route.bound_from_counts(F.col("cx"), F.col("cy"), tt.tiles, tt.counts, F.col("need"), F.col("known"))
     met = first.withColumn("r2", r2)
     reach = F.sqrt("r2") * (1 + 1e-12)

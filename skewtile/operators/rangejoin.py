@@ -142,7 +142,7 @@ def range_join(
         if local == "catalyst":
             got = cell_join(part.select("pid", "x", "y", *tt.keys), asked, cells, tt.tiles)
         else:
-            got = kernel_join(part, asked, local)
+            got = kernel_join(tt.visited(part, asked), asked, local)
             if carry:
                 got = got.join(q.select("qid", *carry), "qid")
         if residual is not None:
@@ -259,10 +259,10 @@ def empty_probes(q: DataFrame, tt: TiledTable) -> DataFrame:
     return routed.join(hits, ["qid", "tile"], "left_anti").select("tile", "x1", "y1", "x2", "y2")
 
 
-def adapt(q: DataFrame, tt: TiledTable, border: str = "exact", max_depth: int = 9, max_bits: int | None = None) -> TiledTable:
+def adapt(q: DataFrame, tt: TiledTable, border: str = "exact", max_depth: int = 9, max_bits: int | None = None, policy: str = "deepest") -> TiledTable:
     """One round of learning: the table with filters refreshed by what these windows found empty."""
     tt = tt if tt.filters is not None else tt.with_filters()
-    return tt.like(filters=tt.filters.refresh(tt.rows, empty_probes(q, tt), border, max_depth, max_bits))
+    return tt.like(filters=tt.filters.refresh(tt.rows, empty_probes(q, tt), border, max_depth, max_bits, policy))
 
 
 def modelled_costs(q: DataFrame, tt: TiledTable, budget: int = 8, by: str = "query", model: CostModel = CostModel(), pairs: np.ndarray | None = None) -> list[float]:

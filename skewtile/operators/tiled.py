@@ -18,6 +18,8 @@ from skewtile.plans.tilemap import TileMap, build_map, by_tile
 
 CELLS = 16
 """Sub-cells a side on which a skewed tile's data and queries are counted before it is cut."""
+SKEW = 1.5
+"""Tiles whose work is above so many times the median's are candidates for a split; where none is, nothing is cut."""
 PLANNED_AT_ONCE = 1024
 """Maps of up to so many tiles have all routed queries counted on sub-cells in one job."""
 
@@ -43,7 +45,7 @@ def pack(weights: np.ndarray, n_slots: int) -> np.ndarray:
 
 
 CO_PARTITION = "spark.sql.requireAllClusterKeysForCoPartition"
-SAMPLE_PER_TILE = 128
+SAMPLE_PER_TILE, BROADCAST_TILES = 128, 1 << 20
 
 
 @dataclass(frozen=True)
@@ -108,6 +110,13 @@ class TiledTable:
         """The routed queries whose tile lies in that part."""
         return routed.where(by_tile(list(self.lies_in), F.col("tile"), "int") == part) if self.more else routed
 
+    def visited(self, part: DataFrame, asked: DataFrame) -> DataFrame:
+        """The rows of the tiles that some query was sent to, where they lie: what a Python kernel is worth being given. The tiles' numbers are
+        broadcast if the map has few enough."""
+        if self.tiles.n_tiles > BROADCAST_TILES:
+            return part
+        return part.join(F.broadcast(asked.select("tile").distinct()), "tile", "left_semi")
+
     def place(self, routed: DataFrame) -> DataFrame:
         """Routed queries with the slot of their tile, if the table has slots."""
         return routed.withColumn("slot", by_tile(self.slots, F.col("tile"), "int")) if "slot" in self.df.columns else routed
@@ -196,11 +205,12 @@ class TiledTable:
         expect = [None if pairs is None else float(pairs[t]) for t in range(n)]
         tiles = [Tile(float(self.counts[t]), float(asked[t]), expect[t]) for t in range(n)]
         work = np.array([model.local(t) for t in tiles])
-        heavy = [int(t) for t in np.argsort(-work, kind="stable")[: max(1, budget)] if work[t] > 0]
+        skewed = planner.classify(tiles, model, SKEW)
+        heavy = [int(t) for t in np.argsort(-work, kind="stable")[: max(1, budget)] if work[t] > 0 and skewed[t]]
         if n > PLANNED_AT_ONCE:
             for r in self._cells(routed.where(F.col("tile").isin(heavy)), *middle).collect():  # CELLS squared rows a tile, heavy tiles only
                 query.setdefault(r["tile"], np.zeros((CELLS, CELLS)))[r["gx"], r["gy"]] = r["n"]
-        boxes, data = self.tiles.data_boxes(), self._data_cells(heavy)
+        boxes, data = self.tiles.data_boxes(), self._data_cells(heavy) if heavy else {}
         empty = np.zeros((CELLS, CELLS))
         hist = {t: planner.Histogram(tuple(map(float, boxes[t])), data[t], query.get(t, empty), expect[t]) for t in heavy}
         handles = [(hist.get(t, t), tiles[t]) for t in range(n)]
@@ -249,6 +259,8 @@ class TiledTable:
                 slots[t] = keys[i]
                 load[i] += counts[t]
             moved = moved.withColumn("slot", by_tile(slots, F.col("tile"), "int")).repartition(self.n_slots, "slot").sortWithinPartitions("tile", "cell")
+        if self.df.storageLevel.useMemory:  # what moved stands beside what is kept
+            moved = moved.persist()
         store = None
         if self.filters is not None:  # a part asks its tile's filter, which knows the part's places too
             store = FilterStore({t: self.filters.filters[parent[t]] for t in range(new.n_tiles) if parent[t] in self.filters.filters}, self.filters.version)

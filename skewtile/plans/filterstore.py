@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass, replace
+from functools import cached_property
 
 import numpy as np
 import pandas as pd
@@ -71,6 +72,19 @@ def from_cells(gx: np.ndarray, gy: np.ndarray, n: np.ndarray, box: obf.Box, max_
     return obf.encode(cell(gx, gy, n, 1 << max_depth, 0), box)
 
 
+class _Unpacked:
+    """A worker's view of the broadcast filters: those that its rows ask for are unpacked, once."""
+
+    def __init__(self, sent):
+        self.sent, self.known = sent, {}
+
+    def get(self, tile: int) -> obf.Filter | None:
+        if tile not in self.known:
+            packed = self.sent.value.get(tile)
+            self.known[tile] = None if packed is None else obf.Filter.unpack(*packed)
+        return self.known[tile]
+
+
 @dataclass(frozen=True)
 class FilterStore:
     """The driver's copy: immutable, a refresh makes a new one."""
@@ -93,10 +107,16 @@ class FilterStore:
     def size_bits(self) -> int:
         return sum(f.size_bits for f in self.filters.values())
 
+    @cached_property
+    def _packed(self) -> dict[int, tuple]:
+        """What is sent: a tile's filter as packed bytes."""
+        return {t: (f.box, *f.pack(), f.n_internal, f.version, f.data_version) for t, f in self.filters.items()}
+
     def prune(self, routed: DataFrame, columns: tuple[str, ...] = ("x1", "y1", "x2", "y2"), keep: Column | None = None) -> DataFrame:
         """Drops routed rows whose tile surely has nothing in their range, but for those of which `keep` is true. columns: of a rectangle, or
         (x, y, r)."""
-        filters = self.filters
+        sent = routed.sparkSession.sparkContext.broadcast(self._packed)  # DRIVER_BITS at most
+        filters = _Unpacked(sent)
 
         @F.pandas_udf("boolean")
         def may(tile: pd.Series, *shape: pd.Series) -> pd.Series:
@@ -107,14 +127,17 @@ class FilterStore:
             rows = rows + slack[:, None] * np.array([-1, -1, 1, 1] if len(shape) == 4 else [0, 0, 1])
             out = np.zeros(len(tile), bool)
             for t, at in tile.groupby(tile).indices.items():
-                out[at] = obf.may_contain_batch(filters[t], rows[at]) | whole[at] if t in filters else False
+                f = filters.get(t)
+                out[at] = False if f is None else obf.may_contain_batch(f, rows[at]) | whole[at]
             return pd.Series(out)
 
         held = may(F.col("tile"), *(F.col(c) for c in columns))
         return routed.where(held if keep is None else keep | held)
 
-    def refresh(self, tiled: DataFrame, empty_probes: DataFrame, border: str = "exact", max_depth: int = 9, max_bits: int | None = None) -> FilterStore:
-        """empty_probes: (tile, x1, y1, x2, y2) that were searched and had no answer in that tile. The workers that hold the tiles learn from
+    def refresh(self, tiled: DataFrame, empty_probes: DataFrame, border: str = "exact", max_depth: int = 9, max_bits: int | None = None, policy: str = "deepest") -> FilterStore:
+        """policy: what goes first where a filter outgrows max_bits; "lru" and "mru" go by how many of the probes visit a node.
+
+        empty_probes: (tile, x1, y1, x2, y2) that were searched and had no answer in that tile. The workers that hold the tiles learn from
         them; tiles without such probes keep their filter."""
         filters = self.filters
         probes = empty_probes.select("tile", "x1", "y1", "x2", "y2").distinct()
@@ -132,9 +155,12 @@ class FilterStore:
                 return pd.DataFrame(columns=[c.split()[0] for c in ROW.split(", ")])
             f = filters[tile]
             points = (a["x"].to_numpy(), a["y"].to_numpy()) if border == "exact" else None
-            for shape in b[["x1", "y1", "x2", "y2"]].sort_values(["x1", "y1", "x2", "y2"]).to_numpy():
+            shapes = b[["x1", "y1", "x2", "y2"]].sort_values(["x1", "y1", "x2", "y2"]).to_numpy()
+            for shape in shapes:
                 f = obf.mark_empty(f, tuple(shape), border, max_depth, points)
-            f = replace(obf.shrink(f, max_bits) if max_bits else f, version=filters[tile].version + 1)
+            if max_bits:
+                f = obf.shrink(f, max_bits, policy, obf.visits(f, shapes) if policy != "deepest" else None)
+            f = replace(f, version=filters[tile].version + 1)
             return pd.DataFrame([to_row(tile, f)])
 
         rows = near.groupBy("tile").cogroup(probes.groupBy("tile")).applyInPandas(learn, ROW)

@@ -9,6 +9,7 @@ half-open towards north and east, except at the region's outer edges. A filter o
 from __future__ import annotations
 
 from dataclasses import dataclass, replace
+from functools import cached_property
 
 import numpy as np
 
@@ -39,10 +40,14 @@ class Filter:
     def size_bits(self) -> int:
         return len(self.internal) + len(self.leaf)
 
-    def prefix(self) -> np.ndarray:
-        """Ones before each bit, and in all."""
+    @cached_property
+    def _ones(self) -> np.ndarray:
         return np.append(0, np.cumsum(self.internal, dtype=np.int64))
 
+    def prefix(self) -> np.ndarray:
+        """Ones before each bit, and in all; counted once a filter."""
+        return self._ones
+
     def pack(self) -> tuple[bytes, bytes]:
         return np.packbits(self.internal).tobytes(), np.packbits(self.leaf).tobytes()
 
@@ -260,6 +265,22 @@ def mark_empty(f: Filter, shape, border: str = "exact", max_depth: int = 9, poin
     return replace(encode(_merge_equal(visit(decode(f), f.box, 0, idx)), f.box), version=f.version + 1, data_version=f.data_version)
 
 
+def visits(f: Filter, shapes) -> dict[tuple[int, ...], int]:
+    """How many of the shapes visit each internal node, by its path from the root."""
+    tree, seen = decode(f), {}
+
+    def walk(t, path: tuple[int, ...], b: Box, of: list) -> None:
+        of = [s for s in of if _meets(b, s)]
+        if isinstance(t, bool) or not of:
+            return
+        seen[path] = len(of)
+        for q, c in enumerate(t):
+            walk(c, (*path, q), quadrant(b, q), of)
+
+    walk(tree, (), f.box, [tuple(s) for s in shapes])
+    return seen
+
+
 def shrink(f: Filter, max_bits: int, policy: str = "deepest", visits: dict[tuple[int, ...], int] | None = None, prefer_lossless: bool = True) -> Filter:
     """Merges internal nodes whose children are all leaves into one leaf, occupied if any child was, until the filter fits.
     policy: "deepest" first (level order within a level), or "lru" / "mru" by a count of visits per node path."""

@@ -1,13 +1,16 @@
-"""The methods from SQL: registered functions, a table function, and views over tiled tables."""
+"""The methods from SQL: a tiled table becomes a view with routing functions of its own, so joins are written as SQL text."""
 
 from __future__ import annotations
 
 import math
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
-from skewtile.operators import knnjoin, rangejoin
+from skewtile.functions.geometry import np_maxdist2
 from skewtile.operators.tiled import TiledTable
 
 
@@ -24,12 +27,53 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("quad_cover", udtf(_QuadCover, returnType="gx: bigint, gy: bigint"))
 
 
-def range_join(spark: SparkSession, q: DataFrame, tt: TiledTable, **options) -> DataFrame:
-    """Registers the join's answer as view range_join_hits and selects from it."""
-    rangejoin.range_join(q, tt, **options).createOrReplaceTempView("range_join_hits")
-    return spark.sql("SELECT qid, pid FROM range_join_hits")
+def register_table(spark: SparkSession, name: str, tt: TiledTable) -> None:
+    """View `name` of the rows with their tile, and functions: name_tile(x, y); name_tiles(x1, y1, x2, y2), the tiles whose data a window may meet;
+    name_reach(x, y, k), a radius within which k points lie for sure (infinite where there are fewer)."""
+    tt.rows.createOrReplaceTempView(name)
+    locate, meet = tt.tiles.locate, tt.tiles.rect_tiles
+    boxes, counts = tt.tiles.mbr[tt.counts > 0], tt.counts[tt.counts > 0]
 
+    @F.pandas_udf("int")
+    def tile(x: pd.Series, y: pd.Series) -> pd.Series:
+        return pd.Series(locate(x.to_numpy(), y.to_numpy()).astype("int32"))
 
-def knn(spark: SparkSession, q: DataFrame, tt: TiledTable, k: int, **options) -> DataFrame:
-    knnjoin.knn_join(q, tt, k, **options).createOrReplaceTempView("knn_hits")
-    return spark.sql("SELECT qid, pid, rank FROM knn_hits")
+    @F.pandas_udf("array<int>")
+    def tiles(x1: pd.Series, y1: pd.Series, x2: pd.Series, y2: pd.Series) -> pd.Series:
+        return pd.Series(meet(np.column_stack([x1, y1, x2, y2])))
+
+    @F.pandas_udf("double")
+    def reach(x: pd.Series, y: pd.Series, k: pd.Series) -> pd.Series:
+        out = np.full(len(x), np.inf)
+        for i, (a, b, n) in enumerate(zip(x, y, k)):
+            d = np_maxdist2(np.array([a]), np.array([b]), boxes)[0] if len(boxes) else np.zeros(0)
+            order = np.argsort(d, kind="stable")
+            enough = np.flatnonzero(np.cumsum(counts[order]) >= n)
+            if len(enough):
+                out[i] = math.sqrt(d[order[enough[0]]]) * (1 + 1e-12)
+        return pd.Series(out)
+
+    for suffix, f in (("tile", tile), ("tiles", tiles), ("reach", reach)):
+        spark.udf.register(f"{name}_{suffix}", f)
+
+
+def range_join(spark: SparkSession, q: DataFrame, tt: TiledTable, name: str = "tiled_points") -> DataFrame:
+    """The range join as SQL over the registered table: (qid, pid)."""
+    register_table(spark, name, tt)
+    q.createOrReplaceTempView(f"{name}_windows")
+    return spark.sql(f"""
+        SELECT w.qid, d.pid
+        FROM (SELECT *, explode({name}_tiles(x1, y1, x2, y2)) AS tile FROM {name}_windows) w
+        JOIN {name} d ON d.tile = w.tile AND d.x BETWEEN w.x1 AND w.x2 AND d.y BETWEEN w.y1 AND w.y2""")
+
+
+def knn(spark: SparkSession, q: DataFrame, tt: TiledTable, k: int, name: str = "tiled_points") -> DataFrame:
+    """The nearest-neighbour join as SQL over the registered table: (qid, pid, rank)."""
+    register_table(spark, name, tt)
+    q.createOrReplaceTempView(f"{name}_focal")
+    return spark.sql(f"""
+        WITH r AS (SELECT qid, cx, cy, {name}_reach(cx, cy, {k:d}) AS r FROM {name}_focal),
+        t AS (SELECT *, explode({name}_tiles(cx - r, cy - r, cx + r, cy + r)) AS tile FROM r),
+        c AS (SELECT t.qid, d.pid, d.x, d.y, (d.x - cx) * (d.x - cx) + (d.y - cy) * (d.y - cy) AS dist2 FROM t JOIN {name} d ON d.tile = t.tile),
+        n AS (SELECT qid, pid, row_number() OVER (PARTITION BY qid ORDER BY dist2, pid, x, y) AS rank FROM c)
+        SELECT qid, pid, rank FROM n WHERE rank <= {k:d}""")

@@ -348,6 +348,23 @@ def test_shape_join_against_brute_force(spark):
     assert sorted(map(tuple, shapes.shape_join(lines, rects, "within_distance", 30000.0, cell=300000.0).collect())) == near
 
 
+def test_joins_are_observed_as_they_run(tiled, points):
+    df, seen = metrics.observed(rangejoin.range_join(planes.windows_of(points, 20000.0, 20), tiled))
+    n = len(df.collect())
+    assert seen.get["rows"] == n and seen.get["queries"] > 0
+
+
+def test_joins_written_in_sql_do_not_depend_on_the_map(spark, points):
+    from skewtile import sqlsurface
+
+    q, f = planes.windows_of(points, 20000.0, 20), planes.focal_points(points, 50)
+    for n in (5, 90):
+        tt = TiledTable.build(points, n)
+        assert pairs(sqlsurface.range_join(spark, q, tt)) == pairs(baselines.cartesian_range(q, points))
+        got = sorted(tuple(r) for r in sqlsurface.knn(spark, f, tt, 3).collect())
+        assert got == sorted((r.qid, r.pid, r.rank) for r in baselines.cartesian_knn(f, points, 3).collect())
+
+
 def test_measures():
     assert metrics.speed_up(10, 2) == 5
     assert metrics.stragglers(np.array([1, 1, 1, 9.0]), 2)["share_under"] == 0.75

@@ -234,3 +234,19 @@ def test_shape_predicates():
     assert g.shapes_intersect("polygon", square, "point", [(2, 2)]) and g.shapes_intersect("polygon", square, "point", [(4, 4)])
     assert g.shape_contains("polygon", square, "segment", [(1, 1), (2, 2)]) and not g.shape_contains("polygon", square, "polyline", cross)
     assert g.shapes_within("segment", [(0, 0), (1, 0)], "segment", [(0, 2), (1, 2)], 2.0) and not g.shapes_within("segment", [(0, 0), (1, 0)], "segment", [(0, 2), (1, 2)], 1.9)
+
+
+def test_visits_keep_what_queries_use():
+    """Shrinking by visits merges what no query visits first; the most visited part keeps its detail, and nothing is lost."""
+    rng = np.random.default_rng(12)
+    x, y = rng.random(4000) * 100, rng.random(4000) * 100
+    x, y = x[(x * 7 % 10 < 5) | (y * 3 % 10 < 4)], y[(x * 7 % 10 < 5) | (y * 3 % 10 < 4)]
+    f = obf.build(x, y, (0.0, 0.0, 100.0, 100.0))
+    hot = [(a, b, a + 1.0, b + 1.0) for a, b in rng.random((200, 2)) * 20]
+    seen = obf.visits(f, hot)
+    assert seen[()] == 200 and all(n <= seen[p[:-1]] for p, n in seen.items() if p)
+    small = {p: obf.shrink(f, f.size_bits // 3, p, seen, prefer_lossless=False) for p in ("lru", "mru")}
+    false = {p: sum(obf.may_contain(s, h) and not ((x >= h[0]) & (x <= h[2]) & (y >= h[1]) & (y <= h[3])).any() for h in hot) for p, s in small.items()}
+    assert false["lru"] <= false["mru"]
+    for s in small.values():
+        assert all(obf.may_contain(s, (a, b, a, b)) for a, b in zip(x[:300], y[:300]))
