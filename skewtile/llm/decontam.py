@@ -108,6 +108,7 @@ class Block:
     gram_item: np.ndarray
     gram_place: np.ndarray
     long_enough: np.ndarray
+    longest: int
     short: list[int]
 
     @classmethod
@@ -123,7 +124,7 @@ class Block:
         grams, first = np.unique(every[order], return_index=True)
         return cls(
             np.array([i for i, _ in rows], np.int64), items, [t for _, t in rows], budgets, sizes - Q + 1 - Q * budgets,
-            grams, np.append(first, len(every)), item[order], place[order], sizes > Q, [i for i, c in enumerate(items) if len(c) <= Q],
+            grams, np.append(first, len(every)), item[order], place[order], sizes > Q, int(sizes.max(initial=0)) + Q, [i for i, c in enumerate(items) if len(c) <= Q],
         )
 
     def bands(self, text_codes: np.ndarray, flags: np.ndarray) -> Iterator[tuple[int, int, int]]:
@@ -139,19 +140,21 @@ class Block:
         total = np.append(0, np.cumsum(self.gram_at[g + 1] - self.gram_at[g]))
         if not total[-1]:
             return
-        longest = max(len(self.items[i]) for i in np.unique(self.gram_item)) + Q
         open_keys, open_counts = np.zeros(0, np.int64), np.zeros(0, np.int64)
         region: dict[int, list[int]] = {}
         at = 0
         while at < len(maybe):
             to = max(at + 1, int(np.searchsorted(total, total[at] + PIECE, "right")) - 1)
             keys, counts = self._counted(maybe[at:to], g[at:to])
-            open_keys, code = np.unique(np.concatenate([open_keys, keys]), return_inverse=True)
-            open_counts = np.bincount(code, weights=np.concatenate([open_counts, counts])).astype(np.int64)
+            if len(open_keys):
+                open_keys, code = np.unique(np.concatenate([open_keys, keys]), return_inverse=True)
+                open_counts = np.bincount(code, weights=np.concatenate([open_counts, counts])).astype(np.int64)
+            else:
+                open_keys, open_counts = keys, counts
             item, band = open_keys >> _BAND_BITS, (open_keys & ((1 << _BAND_BITS) - 1)) - (1 << (_BAND_BITS - 1))
             step = self.budgets[item] + 1
             # later places of the text have diagonals above their own place less the longest item
-            done = (band + 2) * step <= maybe[to] - longest if to < len(maybe) else np.ones(len(open_keys), bool)
+            done = (band + 2) * step <= maybe[to] - self.longest if to < len(maybe) else np.ones(len(open_keys), bool)
             enough = done & (open_counts >= self.needed[item])
             for i, b, s in zip(item[enough].tolist(), band[enough].tolist(), step[enough].tolist()):
                 low, high = b * s, (b + 2) * s - 1
@@ -174,11 +177,15 @@ class Block:
         use = self.long_enough[item]
         item, at, diagonal = item[use], at[use], (at - self.gram_place[entry])[use]
         key = (item << _BAND_BITS) + diagonal // (self.budgets[item] + 1) + (1 << (_BAND_BITS - 1))
+        if not len(key):
+            return key, key
         key, at = np.concatenate([key, key - 1]), np.concatenate([at, at])
         order = np.lexsort((at, key))
         key, at = key[order], at[order]
-        new = np.append(True, (key[1:] != key[:-1]) | (at[1:] != at[:-1])) if len(key) else np.zeros(0, bool)  # a place counts once a band
-        return np.unique(key[new], return_counts=True)
+        new = np.append(True, (key[1:] != key[:-1]) | (at[1:] != at[:-1]))  # a place counts once a band
+        key = key[new]
+        edge = np.flatnonzero(np.append(True, key[1:] != key[:-1]))
+        return key[edge], np.diff(np.append(edge, len(key)))
 
 def _matches(text: str, block: Block, flags: np.ndarray) -> Iterator[tuple[int, int, int, int]]:
     """(item, start, end, edits): the best occurrence of each item found."""
