@@ -369,3 +369,25 @@ def test_measures():
     assert metrics.speed_up(10, 2) == 5
     assert metrics.stragglers(np.array([1, 1, 1, 9.0]), 2)["share_under"] == 0.75
     assert metrics.balance(np.array([5, 5, 5]))["gini"] == 0
+
+
+@pytest.mark.parametrize("local", ["dual_tree"])
+def test_kernel_joins_meet_once_in_bounded_blocks(spark, tiled, points, local, monkeypatch):
+    """Tiles of many parts and shares give each pair once, for windows, discs and timed joins alike."""
+    from skewtile.operators import blocks
+
+    q, f = planes.windows_of(points, 20000.0, 20), planes.focal_points(points, 20)
+    want, near = pairs(rangejoin.range_join(q, tiled)), pairs(rangejoin.distance_join(f, tiled, 20000.0))
+    monkeypatch.setattr(blocks, "PART_ROWS", 40)
+    monkeypatch.setattr(blocks, "SHARE_QUERIES", 20)
+    assert pairs(rangejoin.range_join(q, tiled, local=local)) == want
+    assert pairs(rangejoin.distance_join(f, tiled, 20000.0, local=local)) == near
+    times = rangejoin.tile_times(q, tiled, local).collect()
+    assert sum(r.pairs for r in times) == len(want) and {r.tile: r.n_data for r in times}.items() <= dict(enumerate(tiled.counts.tolist())).items()
+
+
+def test_all_parts_are_asked_in_bounded_pieces(spark, tiled, points, monkeypatch):
+    monkeypatch.setattr(baselines, "QUERIES_AT_ONCE", 7)
+    q = planes.windows_of(points, 20000.0, 20)
+    assert pairs(baselines.allparts_range(q, tiled, "inl_quadtree")) == pairs(rangejoin.range_join(q, tiled))
+    assert "InPandas" not in plan_of(baselines.allparts_range(q, tiled))

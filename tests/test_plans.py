@@ -250,3 +250,16 @@ def test_visits_keep_what_queries_use():
     assert false["lru"] <= false["mru"]
     for s in small.values():
         assert all(obf.may_contain(s, (a, b, a, b)) for a, b in zip(x[:300], y[:300]))
+
+
+@pytest.mark.parametrize("algo", sorted(local.RANGE))
+def test_range_kernels_answer_in_bounded_pieces(algo, monkeypatch):
+    """However many pairs a batch has, a kernel holds a bounded number of them at once; none is lost at the borders."""
+    monkeypatch.setattr(local, "_PIECE", 512)
+    rng = np.random.default_rng(3)
+    x, y = rng.integers(0, 40, 400).astype(float), rng.integers(0, 40, 400).astype(float)
+    rects = np.array([[a, b, a + 25, b + 25] for a, b in rng.integers(-5, 30, (60, 2))] + [[-1, -1, 50, 50], [7, 7, 7, 7], [60, 60, 70, 70]], float)
+    pieces = list(local.PROBES[algo](x, y)(rects))
+    got = [pair for p in pieces for pair in zip(*(c.tolist() for c in p))]
+    want = [(q, i) for q, (a, b, c, d) in enumerate(rects) for i in range(400) if a <= x[i] <= c and b <= y[i] <= d]
+    assert sorted(got) == want and len(pieces) > 3 and max(len(p[0]) for p in pieces) <= 512 + 400
