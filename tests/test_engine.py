@@ -391,3 +391,24 @@ def test_all_parts_are_asked_in_bounded_pieces(spark, tiled, points, monkeypatch
     q = planes.windows_of(points, 20000.0, 20)
     assert pairs(baselines.allparts_range(q, tiled, "inl_quadtree")) == pairs(rangejoin.range_join(q, tiled))
     assert "InPandas" not in plan_of(baselines.allparts_range(q, tiled))
+
+
+def test_theta_joins_do_not_nest_loops(spark):
+    """Baselines without an index and the plain theta join don't hold every window against every point."""
+    from __spark_entry__ import queries
+
+    for name in ("baseline_cartesian_range", "baseline_cartesian_knn", "join_window_theta", "baseline_tilescan_range"):
+        plan = plan_of(queries()[name](spark, SMALL))
+        assert "NestedLoop" not in plan and "CartesianProduct" not in plan and "SortMergeJoin [tile" not in plan, name
+
+
+def test_sweeps_without_index_equal_brute_force():
+    from skewtile.operators import local
+
+    rng = np.random.default_rng(5)
+    x, y = rng.integers(0, 50, 300).astype(float), rng.integers(0, 50, 300).astype(float)
+    pid, qx, qy = rng.permutation(300), rng.uniform(-5, 55, 40), rng.uniform(-5, 55, 40)
+    for k in (1, 7, 150, 400):
+        want = [c.tolist() for c in local.knn_brute(pid, x, y, qx, qy, k)]
+        for algo in ("sweep", "inl_quadtree", "inl_rtree", "inl_grid"):
+            assert [c.tolist() for c in local.knn(algo, pid, x, y, qx, qy, k)] == want, (algo, k)
