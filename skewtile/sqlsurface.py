@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
 from skewtile.functions.geometry import np_maxdist2
+from skewtile.operators import knnjoin, rangejoin
 from skewtile.operators.tiled import TiledTable
 
 
@@ -57,23 +58,36 @@ def register_table(spark: SparkSession, name: str, tt: TiledTable) -> None:
         spark.udf.register(f"{name}_{suffix}", f)
 
 
+def _cell_views(q: DataFrame, tt: TiledTable, name: str) -> None:
+    """Views name_windows_cells and name_cells: both sides with the cells (tile, level, _cx, _cy) that they meet in."""
+    cells = rangejoin.Cells.of(q, tt.tiles)
+    d, w, _ = rangejoin.cell_keyed(tt.rows.select("pid", "x", "y", "tile"), q, cells, tt.tiles)
+    d.createOrReplaceTempView(f"{name}_cells")
+    w.createOrReplaceTempView(f"{name}_windows_cells")
+
+
+_MEET = "d.tile = w.tile AND d.level = w.level AND d._cx = w._cx AND d._cy = w._cy AND d.x BETWEEN w.x1 AND w.x2 AND d.y BETWEEN w.y1 AND w.y2"
+
+
 def range_join(spark: SparkSession, q: DataFrame, tt: TiledTable, name: str = "tiled_points") -> DataFrame:
     """The range join as SQL over the registered table: (qid, pid)."""
     register_table(spark, name, tt)
     q.createOrReplaceTempView(f"{name}_windows")
-    return spark.sql(f"""
-        SELECT w.qid, d.pid
-        FROM (SELECT *, explode({name}_tiles(x1, y1, x2, y2)) AS tile FROM {name}_windows) w
-        JOIN {name} d ON d.tile = w.tile AND d.x BETWEEN w.x1 AND w.x2 AND d.y BETWEEN w.y1 AND w.y2""")
+    _cell_views(spark.sql(f"SELECT *, explode({name}_tiles(x1, y1, x2, y2)) AS tile FROM {name}_windows WHERE x1 <= x2 AND y1 <= y2"), tt, name)
+    return spark.sql(f"SELECT w.qid, d.pid FROM {name}_windows_cells w JOIN {name}_cells d ON {_MEET}")
 
 
 def knn(spark: SparkSession, q: DataFrame, tt: TiledTable, k: int, name: str = "tiled_points") -> DataFrame:
     """The nearest-neighbour join as SQL over the registered table: (qid, pid, rank)."""
     register_table(spark, name, tt)
-    q.createOrReplaceTempView(f"{name}_focal")
+    knnjoin.cell_bound(q, tt, F.lit(k)).createOrReplaceTempView(f"{name}_focal")
+    x1, y1, x2, y2 = tt.frame
+    routed = spark.sql(f"""
+        WITH r AS (SELECT qid, cx, cy, least({name}_reach(cx, cy, {k:d}), coalesce(sqrt(cell_r2) * (1 + 1e-12), double('infinity'))) AS r FROM {name}_focal),
+        b AS (SELECT *, greatest(cx - r, {x1!r}D) AS x1, greatest(cy - r, {y1!r}D) AS y1, least(cx + r, {x2!r}D) AS x2, least(cy + r, {y2!r}D) AS y2 FROM r)
+        SELECT *, explode({name}_tiles(x1, y1, x2, y2)) AS tile FROM b""")
+    _cell_views(routed, tt, name)
     return spark.sql(f"""
-        WITH r AS (SELECT qid, cx, cy, {name}_reach(cx, cy, {k:d}) AS r FROM {name}_focal),
-        t AS (SELECT *, explode({name}_tiles(cx - r, cy - r, cx + r, cy + r)) AS tile FROM r),
-        c AS (SELECT t.qid, d.pid, d.x, d.y, (d.x - cx) * (d.x - cx) + (d.y - cy) * (d.y - cy) AS dist2 FROM t JOIN {name} d ON d.tile = t.tile),
+        WITH c AS (SELECT w.qid, d.pid, d.x, d.y, (d.x - cx) * (d.x - cx) + (d.y - cy) * (d.y - cy) AS dist2 FROM {name}_windows_cells w JOIN {name}_cells d ON {_MEET}),
         n AS (SELECT qid, pid, row_number() OVER (PARTITION BY qid ORDER BY dist2, pid, x, y) AS rank FROM c)
         SELECT qid, pid, rank FROM n WHERE rank <= {k:d}""")

@@ -412,3 +412,23 @@ def test_sweeps_without_index_equal_brute_force():
         want = [c.tolist() for c in local.knn_brute(pid, x, y, qx, qy, k)]
         for algo in ("sweep", "inl_quadtree", "inl_rtree", "inl_grid"):
             assert [c.tolist() for c in local.knn(algo, pid, x, y, qx, qy, k)] == want, (algo, k)
+
+
+def test_cell_counts_bound_nearest_neighbours(spark, tiled, points):
+    """The bound holds k points, and is far below what whole tiles give."""
+    f = planes.focal_points(points, 20)
+    rows = knnjoin.cell_bound(f, tiled, F.lit(3)).collect()
+    at = points.select("x", "y").toPandas().to_numpy(float)
+    wide = route.bound_from_counts(F.col("cx"), F.col("cy"), tiled.tiles, tiled.counts, F.lit(3))
+    far = {r.qid: r.r for r in f.select("qid", wide.alias("r")).collect()}
+    for r in rows:
+        if r.cell_r2 is not None:
+            assert (((at - [r.cx, r.cy]) ** 2).sum(1) <= r.cell_r2).sum() >= 3
+    assert np.median([r.cell_r2 / far[r.qid] for r in rows if r.cell_r2 is not None]) < 0.5
+
+
+def test_sql_joins_meet_in_cells(spark, tiled, points):
+    from skewtile import sqlsurface
+
+    for df in (sqlsurface.range_join(spark, planes.windows_of(points, 20000.0, 20), tiled), sqlsurface.knn(spark, planes.focal_points(points, 20), tiled, 3), knnjoin.knn_join(planes.focal_points(points, 20), tiled, 3, bound="counts", local="catalyst")):
+        assert "_cx" in plan_of(df)
