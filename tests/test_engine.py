@@ -432,3 +432,16 @@ def test_sql_joins_meet_in_cells(spark, tiled, points):
 
     for df in (sqlsurface.range_join(spark, planes.windows_of(points, 20000.0, 20), tiled), sqlsurface.knn(spark, planes.focal_points(points, 20), tiled, 3), knnjoin.knn_join(planes.focal_points(points, 20), tiled, 3, bound="counts", local="catalyst")):
         assert "_cx" in plan_of(df)
+
+
+@pytest.mark.parametrize("exact", [False, True])
+def test_shape_trees_stream_bounded_blocks(spark, exact, monkeypatch):
+    from skewtile.operators import blocks
+    from skewtile.workloads import _order_boxes
+
+    monkeypatch.setattr(blocks, "PART_ROWS", 40)
+    a, b = _order_boxes(spark, SMALL, 97), _order_boxes(spark, SMALL, 11)
+    tm = TileMap.grid((0.0, 0.0, 1e7, 1.2e7), 2, 2)
+    got = shapes.tile_shape_join(a, b, tm, exact=exact, local="auto")
+    assert "InPandas" not in plan_of(got)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, shapes.tile_shape_join(a, b, tm, exact=exact).collect()))
