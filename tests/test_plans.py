@@ -263,3 +263,17 @@ def test_range_kernels_answer_in_bounded_pieces(algo, monkeypatch):
     got = [pair for p in pieces for pair in zip(*(c.tolist() for c in p))]
     want = [(q, i) for q, (a, b, c, d) in enumerate(rects) for i in range(400) if a <= x[i] <= c and b <= y[i] <= d]
     assert sorted(got) == want and len(pieces) > 3 and max(len(p[0]) for p in pieces) <= 512 + 400
+
+
+@pytest.mark.parametrize("algo", ["inl_quadtree", "inl_rtree", "dual_tree"])
+def test_blocks_within_a_window_are_not_tested(algo, monkeypatch):
+    """Points are tested along a window's border only; no pair is lost or comes twice for it."""
+    tested, keep = [], local._keep
+    monkeypatch.setattr(local, "_keep", lambda px, py, rects, q, i, order: tested.append(len(q)) or keep(px, py, rects, q, i, order))
+    rng = np.random.default_rng(8)
+    x, y = rng.integers(0, 1000, 5000).astype(float), rng.integers(0, 1000, 5000).astype(float)
+    rects = np.array([[100, 100, 900, 900], [-1, -1, 1000, 1000], [5, 5, 5, 5], [700, 0, 999, 999]], float)
+    q, i = (np.concatenate(c) for c in zip(*local.PROBES[algo](x, y)(rects)))
+    want = [(q, i) for q, (a, b, c, d) in enumerate(rects) for i in np.flatnonzero((x >= a) & (x <= c) & (y >= b) & (y <= d))]
+    assert sorted(zip(q.tolist(), i.tolist())) == want
+    assert sum(tested) < len(want) / 2
