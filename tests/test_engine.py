@@ -445,3 +445,31 @@ def test_shape_trees_stream_bounded_blocks(spark, exact, monkeypatch):
     got = shapes.tile_shape_join(a, b, tm, exact=exact, local="auto")
     assert "InPandas" not in plan_of(got)
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, shapes.tile_shape_join(a, b, tm, exact=exact).collect()))
+
+
+def groups_of(dealt):
+    """The rows of each group, as (data, queries)."""
+    from collections.abc import Iterator
+
+    import pyarrow as pa
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        second = [v for b in batches for v in b.column("second").to_pylist()]
+        yield pa.RecordBatch.from_arrays([pa.array([second.count(False)]), pa.array([second.count(True)])], ["d", "q"])
+
+    return [tuple(r) for r in dealt.applyInArrow(run, "d long, q long").collect()]
+
+
+def test_distance_kernel_streams_its_discs(spark, tiled, points, monkeypatch):
+    """The exact test is made in the kernel's pieces, and no task holds more than a part of a tile: fractional discs as by cells."""
+    from pyspark.sql import functions as F
+
+    from skewtile.operators import blocks
+
+    tenth = points.withColumns({"x": F.col("x") / 10, "y": F.col("y") / 10})
+    tt, f, dealt, seen = TiledTable.build(tenth, 4), planes.focal_points(tenth, 20), blocks.dealt, []
+    want = pairs(rangejoin.distance_join(f, tt, 2000.3))
+    monkeypatch.setattr(blocks, "PART_ROWS", 40)
+    monkeypatch.setattr(blocks, "dealt", lambda *a: seen.append(dealt(*a)) or seen[-1])
+    assert pairs(rangejoin.distance_join(f, tt, 2000.3, local="auto")) == want and want
+    assert max(d for d, _ in groups_of(seen[0])) < 80 < max(tt.counts)
