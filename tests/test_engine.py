@@ -473,3 +473,16 @@ def test_distance_kernel_streams_its_discs(spark, tiled, points, monkeypatch):
     monkeypatch.setattr(blocks, "dealt", lambda *a: seen.append(dealt(*a)) or seen[-1])
     assert pairs(rangejoin.distance_join(f, tt, 2000.3, local="auto")) == want and want
     assert max(d for d, _ in groups_of(seen[0])) < 80 < max(tt.counts)
+
+
+def test_all_parts_index_bounded_parts(spark, tiled, points, monkeypatch):
+    """A tile is indexed in parts, however few tiles there are."""
+    from functools import partial
+
+    from skewtile.operators import blocks
+
+    q, tt, parts, seen = planes.windows_of(points, 20000.0, 20), TiledTable.build(points, 4), blocks.parts, []
+    monkeypatch.setattr(blocks, "parts", lambda *a: seen.append(partial(parts, size=40)(*a)) or seen[-1])
+    assert pairs(baselines.allparts_range(q, tt, "inl_quadtree")) == pairs(rangejoin.range_join(q, tiled))
+    got = [d for d, _ in groups_of(seen[0])]
+    assert max(got) < 80 < max(tt.counts) and sum(got) == tt.n_rows
