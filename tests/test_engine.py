@@ -486,3 +486,15 @@ def test_all_parts_index_bounded_parts(spark, tiled, points, monkeypatch):
     assert pairs(baselines.allparts_range(q, tt, "inl_quadtree")) == pairs(rangejoin.range_join(q, tiled))
     got = [d for d, _ in groups_of(seen[0])]
     assert max(got) < 80 < max(tt.counts) and sum(got) == tt.n_rows
+
+
+@pytest.mark.parametrize("local", ["dual_tree"])
+def test_each_kernel_gets_bounded_parts(spark, tiled, points, local, monkeypatch):
+    from skewtile.operators import blocks
+
+    q, dealt, seen = planes.windows_of(points, 20000.0, 20), blocks.dealt, []
+    want = pairs(rangejoin.range_join(q, tiled))
+    monkeypatch.setattr(blocks, "PART_ROWS", 20)
+    monkeypatch.setattr(blocks, "dealt", lambda *a: seen.append(dealt(*a)) or seen[-1])
+    assert pairs(rangejoin.range_join(q, tiled, local=local)) == want
+    assert max(d for d, _ in groups_of(seen[0])) < 50 < max(tiled.counts)
