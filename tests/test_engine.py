@@ -488,7 +488,7 @@ def test_all_parts_index_bounded_parts(spark, tiled, points, monkeypatch):
     assert max(got) < 80 < max(tt.counts) and sum(got) == tt.n_rows
 
 
-@pytest.mark.parametrize("local", ["dual_tree", "inl_grid", "inl_quadtree", "inl_rtree"])
+@pytest.mark.parametrize("local", ["dual_tree", "inl_grid", "inl_quadtree", "inl_rtree", "brute"])
 def test_each_kernel_gets_bounded_parts(spark, tiled, points, local, monkeypatch):
     from skewtile.operators import blocks
 
