@@ -151,6 +151,27 @@ def test_filter_is_sound_in_every_version(crowd):
     assert (back.internal == f.internal).all() and (back.leaf == f.leaf).all() and back.levels == f.levels
 
 
+@pytest.mark.parametrize("border", ["exact", "keep"])
+@pytest.mark.parametrize("max_depth", [2, 6, 9, 12])
+def test_a_batch_of_empty_places_is_learned_in_one_pass(crowd, border, max_depth, monkeypatch):
+    """The filter is the one that learns from them one by one, whatever the border, and is read once, not once a place."""
+    x, y, rects, truth = crowd
+    box = (float(x.min()), float(y.min()), float(x.max()), float(y.max()))
+    small, wide = rects[~truth][:40], np.array([[*box[:2], box[0] - 1, box[3]], [box[2], box[3], box[2] + 9, box[3] + 9], [-50, -50, box[0] - 1, 9999]])
+    aligned = np.array([obf.quadrant(obf.quadrant(obf.quadrant(box, 1), 2), 0)])
+    for f, probes in ((obf.build(x, y, box), np.vstack([small, wide, aligned])), (obf.build(x[:9], y[:9], box, 2), rects[:30]), (obf.build(x[:1] * 0, y[:1] * 0, (0, 0, 0, 0)), rects[:5]), (obf.build(x, y * 0, (*box[:1], 0, box[2], 0)), small)):
+        one = f
+        for r in probes:
+            one = obf.mark_empty(one, tuple(r), border, max_depth, (x, y))
+        read, decode = [], obf.decode
+        with monkeypatch.context() as m:
+            m.setattr(obf, "decode", lambda g: read.append(1) or decode(g))
+            got = obf.mark_all_empty(f, probes, border, max_depth, (x, y))
+        assert (got.internal == one.internal).all() and (got.leaf == one.leaf).all() and got.levels == one.levels
+        assert (got.box, got.version, got.data_version) == (one.box, one.version, one.data_version)
+        assert len(read) == 1 or len(f.levels) > max_depth or max_depth > obf.GRID_DEPTH
+
+
 def test_filter_of_discs_and_of_nothing(crowd):
     x, y, _, _ = crowd
     f = obf.build(x, y, (float(x.min()), float(y.min()), float(x.max()), float(y.max())))
