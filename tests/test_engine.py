@@ -460,6 +460,41 @@ def groups_of(dealt):
     return [tuple(r) for r in dealt.applyInArrow(run, "d long, q long").collect()]
 
 
+@pytest.mark.parametrize("bound", ["counts", "sample"])
+@pytest.mark.parametrize("layout", ["plain", "laid out", "split"])
+def test_neighbours_stream_past_bounded_parts(spark, points, bound, layout, monkeypatch):
+    """However large the tiles and k, no task is given more than a part of a tile at once, and candidates leave in bounded pieces."""
+    from skewtile.operators import blocks
+    from skewtile.operators import local as kernels
+
+    f, tt = planes.focal_points(points, 10), TiledTable.build(points, 4, with_filters=True)
+    want = sorted(map(tuple, knnjoin.knn_join(f, tt, 30).collect()))
+    tt = tt if layout == "plain" else tt.laid_out()
+    monkeypatch.setattr(blocks, "PART_ROWS", 60)
+    monkeypatch.setattr(blocks, "SHARE_QUERIES", 20)
+    dealt, seen = blocks.dealt, []
+    monkeypatch.setattr(blocks, "dealt", lambda *a: seen.append(dealt(*a)) or seen[-1])
+    got = knnjoin.knn_join(f, tt, 30, bound=bound, filter=True, plan="query" if layout == "split" else None, budget=3)
+    assert sorted(map(tuple, got.collect())) == want and len(want) == 30 * f.count()
+    assert max(d for g in seen for d, _ in groups_of(g)) < 110 < max(tt.counts)
+    x = np.arange(500.0)
+    monkeypatch.setattr(kernels, "_PIECE", 100)
+    sizes = [len(q) for _, q, _, _ in kernels.knn_probe("inl_rtree", x.astype(int), x, x, 30)(x[:50], x[:50], np.full(50, np.inf))]
+    assert max(sizes) <= 100 and sum(sizes) == 30 * 50
+
+
+def test_counts_of_cells_keep_candidates_few(spark, points):
+    """With boxes and counts alone, not whole tiles are candidates."""
+    f, tt = planes.focal_points(points, 10), TiledTable.build(points, 1)
+    found = []
+    with pytest.MonkeyPatch.context() as m:
+        m.setattr(knnjoin.route, "circles", lambda q, tm, r2, *a, own=route.circles: found.append(q.withColumn("r2", r2).select("qid", "r2")) or own(q, tm, r2, *a))
+        got = sorted(map(tuple, knnjoin.knn_join(f, tt, 3, bound="counts").collect()))
+    assert got == sorted(map(tuple, knnjoin.knn_join(f, tt, 3).collect()))
+    held = found[0].alias("q").join(f, "qid").crossJoin(points.select("x", "y")).where("(x - cx) * (x - cx) + (y - cy) * (y - cy) <= r2")
+    assert held.count() < 0.2 * f.count() * tt.n_rows
+
+
 def test_distance_kernel_streams_its_discs(spark, tiled, points, monkeypatch):
     """The exact test is made in the kernel's pieces, and no task holds more than a part of a tile: fractional discs as by cells."""
     from pyspark.sql import functions as F
